@@ -43,23 +43,32 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-class Words:
-    """64-bit hashes of words; the table of known words is emptied at ``most``."""
+def _least(x: np.ndarray, width: int) -> np.ndarray:
+    """Minima of all stretches of ``width`` values."""
+    size = 1
+    while 2 * size <= width:
+        x = np.minimum(x[:-size], x[size:])
+        size *= 2
+    rest = width - size
+    return np.minimum(x[: len(x) - rest], x[rest:]) if rest else x
+
+
+class Words(dict):
+    """64-bit hashes of words, as signed numbers; the table is emptied at ``most`` words."""
 
     def __init__(self, most: int = 500_000):
-        self.known: dict[bytes, int] = {}
+        super().__init__()
         self.most = most
 
+    def __missing__(self, word: bytes) -> int:
+        value = xxhash.xxh64_intdigest(word)
+        self[word] = value = value - (value >> 63 << 64)
+        return value
+
     def hashes(self, ws: list[bytes]) -> np.ndarray:
-        known = self.known
-        if len(known) > self.most:
-            known.clear()
-        got = list(map(known.get, ws))
-        if None in got:
-            for i, w in enumerate(ws):
-                if got[i] is None:
-                    got[i] = known[w] = xxhash.xxh64_intdigest(w)
-        return np.array(got, np.uint64)
+        if len(self) > self.most:
+            self.clear()
+        return np.fromiter(map(self.__getitem__, ws), np.int64, len(ws)).view(np.uint64)
 
 
 class Paths:
@@ -79,12 +88,11 @@ class Paths:
         total = np.concatenate((np.zeros(1, np.uint64), np.cumsum(h * inverse[:-1], dtype=np.uint64)))
         self._total, self._power = total, power
         kmer = _mix(self._gram(np.arange(len(h) - k + 1), k))
-        view = np.lib.stride_tricks.sliding_window_view(kmer, window - k + 1)
-        at = np.arange(n) + view.argmin(axis=1)
+        least = _least(kmer, window - k + 1)
         self.window = _mix(self._gram(np.arange(n), window) + np.uint64(window))
-        self.begin = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
+        self.begin = np.flatnonzero(np.concatenate(([True], least[1:] != least[:-1])))
         self.end = np.concatenate((self.begin[1:], [n]))
-        self.kmer = kmer[at[self.begin]].view(np.int64)
+        self.kmer = least[self.begin].view(np.int64)
         words = (self.end - self.begin + window - 1).astype(np.uint64)
         self.path = _mix((total[self.end + window - 1] - total[self.begin]) * power[self.begin] + words * np.uint64(0xD6E8FEB86659FD93)).view(np.int64)
         self.window = self.window.view(np.int64)
@@ -146,7 +154,7 @@ def paths(docs: DataFrame, window: int = WINDOW, k: int = KMER) -> DataFrame:
 
 def repeated_paths(docs: DataFrame, window: int = WINDOW, k: int = KMER) -> DataFrame:
     """(k, whole, open): per document its paths that occur in an earlier document, and those to be opened."""
-    found = paths(docs, window, k)
+    found = park(paths(docs, window, k), "paths")
     shared = found.groupBy("m").agg(F.min("c").alias("c1"), F.max("c").alias("c2"), F.min("k").alias("k1"), F.max("k").alias("k2")).where("c1 <> c2 OR k1 <> k2")
     shared = park(shared.select("m", (F.col("c1") != F.col("c2")).alias("branches"), F.col("k1").alias("first")), "kmers")
     met = park(found.join(shared, "m").select("m", "c", "k", "branches", "first").where("branches OR k > first"), "kmer-paths")
