@@ -142,15 +142,15 @@ def blocks(page: str) -> list[Block]:
     return out
 
 
-def features(found: list[Block], inside: bool = False) -> np.ndarray:
+def features(found: list[Block]) -> np.ndarray:
     """Rows of: words, link density; the same of the block before and after; in a boilerplate element; in an article
-    element or on a page that has none."""
+    element or on a page that has none; in an article element."""
     n = len(found)
     own = np.array([[b.words, b.link_words / max(b.words, 1)] for b in found], float).reshape(n, 2)
     before, after = np.zeros_like(own), np.zeros_like(own)
     before[1:], after[:-1] = own[:-1], own[1:]
     has_article = any(b.article for b in found)
-    flags = np.array([[b.boiler, b.article or not has_article] for b in found], float).reshape(n, 2)
+    flags = np.array([[b.boiler, b.article or not has_article, b.article] for b in found], float).reshape(n, 3)
     return np.concatenate([own, before, after, flags], axis=1)
 
 
@@ -163,7 +163,7 @@ class Tree:
         if depth and 0 < y.sum() < len(y):
             best = (1e-9, 0, 0.0)
             impurity = lambda k, n: 2 * k * (n - k) / n
-            for f in (*range(x.shape[1] - 2, x.shape[1]), *range(x.shape[1] - 2)):
+            for f in (*range(x.shape[1] - 3, x.shape[1]), *range(x.shape[1] - 3)):
                 order = np.argsort(x[:, f], kind="stable")
                 v, k = x[order, f], np.cumsum(y[order])
                 for i in np.flatnonzero(v[1:] != v[:-1]) + 1:
@@ -206,6 +206,18 @@ LABELLED: list[tuple[str, str]] = [
     (f"<article><p>{_w(50)}</p><div class=ad>{_w(20)}</div><p>{_w(50)}</p><section class=comments><p>{_w(60)}</p></section></article>", "1010"),
     (f"<ul>{_links(3, 2)}</ul><div>{_w(100)}</div><ul>{_links(3, 4)}</ul>", "0001000"),
     (f"<main><h1>{_w(8)}</h1><p>{_w(3)}</p></main><div>{_w(18)}</div><div><a>{_w(12)}</a></div>", "1100"),
+    (f"<article><h1>{_w(2)}</h1><p>{_w(1)}</p><p>{_w(2)}</p><p>{_w(3)}</p><p>{_w(30)}</p><p>{_w(2)}</p></article><p>{_w(3)}</p><p>{_w(2)}</p>", "11111100"),
+    (f"<div><a>{_w(2)}</a></div><p>{_w(38)}</p><p>{_w(44)}</p><p><a>{_w(1)}</a></p><p><a>{_w(2)}</a> {_w(1)}</p>", "01100"),
+    (f"<p>{_w(35)}</p><p><a>{_w(5)}</a></p>", "10"),
+    (f"<div class=notice>{_w(5)}</div><p>{_w(66)}</p><div class=ad>{_w(4)}</div><p>{_w(58)}</p><p>{_w(7)}</p><p>{_w(61)}</p>", "010111"),
+    (f"<header>{_w(2)}</header><p>{_w(77)}</p><p>{_w(8)}</p><p>{_w(59)}</p><form>{_w(8)}</form><p>{_w(71)}</p>", "011101"),
+    (f"<p><a>{_w(2)}</a></p><p>{_w(41)}</p><p>{_w(42)}</p><p>{_w(9)}</p><p>{_w(33)}</p><p><a>{_w(1)}</a></p>", "011110"),
+    (f"<aside>{_w(64)}</aside><p>{_w(12)}</p><p>{_w(26)}</p><div class=ad>{_w(55)}</div><p>{_w(18)}</p><footer><p>{_w(70)}</p><p>{_w(48)}</p></footer>", "0110100"),
+    (f"<div id=sidebar><p>{_w(45)}</p></div><p>{_w(22)}</p><p>{_w(75)}</p><form>{_w(50)}</form><p>{_w(16)}</p><div class=menu><a>{_w(44)}</a></div>", "011010"),
+    (f"<article><p>{_w(44)}</p><p><a>{_w(5)}</a></p><p>{_w(2)}</p></article>", "111"),
+    (f"<p>{_w(2)}</p><article><p>{_w(4)}</p><p>{_w(1)}</p></article><p>{_w(1)}</p>", "0110"),
+    (f"<div>{_w(3)}</div><main><h2>{_w(3)}</h2><p>{_w(5)}</p><p>{_w(2)}</p></main><footer>{_w(3)}</footer>", "01110"),
+    (f"<p>{_w(30)}</p><p>{_w(12)}</p><article><p>{_w(2)}</p><p>{_w(2)}</p><p>{_w(6)} <a>{_w(3)}</a></p></article><p>{_w(40)}</p>", "001110"),
 ]
 
 
