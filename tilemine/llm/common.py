@@ -58,6 +58,12 @@ def back_to_id(column: str = "doc_id") -> Column:
     return F.when(F.col(column) != NULL_ID, F.col(column))
 
 
+def settled(df: DataFrame) -> DataFrame:
+    """The same rows through a generator of one row: what stands above uses computed columns instead of repeating, in
+    each filter and expression, all that they are computed from."""
+    return df.select(F.inline(F.array(F.struct(*[F.col(f"`{c}`") for c in df.columns]))))
+
+
 def by_batch(rows: Callable[[dict[str, list]], dict[str, list]], schema: pa.Schema) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """A mapInArrow function from one that takes and gives lists by column name."""
 

@@ -21,7 +21,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
-from tilemine.llm.common import back_to_id, id_key, park, table
+from tilemine.llm.common import back_to_id, id_key, park, settled, table
 
 WINDOW = 3
 
@@ -80,8 +80,10 @@ def deduplicate(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     repeated lines stay as they are; ``n_chars``, if there, follows the text."""
     names = docs.columns
     both, lines, places = _marked(docs, window)
+    both = settled(settled(both).withColumn("__places", places))
+    places = F.col("__places")
     text = F.when(F.col("__gone").isNull(), F.col("text")).otherwise(_kept_text(lines, places))
-    both = both.withColumn("__text", text).where(F.col("__gone").isNull() | F.col("__text").rlike(r"[^\x20\x09-\x0D]"))
+    both = settled(both.withColumn("__text", text)).where(F.col("__gone").isNull() | F.col("__text").rlike(r"[^\x20\x09-\x0D]"))
     n = F.when(F.col("__gone").isNull(), F.col("n_chars")).otherwise(F.char_length("__text").cast("long")) if "n_chars" in names else None
     return both.select(*[F.col("__text").alias(c) if c == "text" else n.alias(c) if c == "n_chars" else F.col(f"`{c}`") for c in names])
 
