@@ -232,7 +232,8 @@ def keep_one(docs: DataFrame, radius: int = 3, shingle: int = 3) -> DataFrame:
         return docs
     found = near_duplicates(docs, radius, shingle)
     first = park(found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("kept_id")).distinct(), "simhash-kept")
-    return docs.join(first, docs["doc_id"].eqNullSafe(first["kept_id"]), "left_semi")
+    # a merge join at every size: whether the ids would fit a broadcast depends on the corpus
+    return docs.join(first.hint("merge"), docs["doc_id"].eqNullSafe(first["kept_id"]), "left_semi")
 
 
 def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
