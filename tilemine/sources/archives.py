@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F, types as T
 
 WIDTH = 32
 LETTERS = "abcdefghijklmnopqrstuvwxyzäöüßéèêçñáíóú"
@@ -39,14 +41,22 @@ def vec_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("v"), F.col("label").cast("string").alias("label"))
 
 
+def letter_counts(texts: pd.Series) -> pd.Series:
+    """Per-mille counts of the letters of each text, None for one without any; one pass over the code points."""
+    place = np.full(512, len(LETTERS))
+    place[[ord(c) for c in LETTERS]] = np.arange(len(LETTERS))
+    out = []
+    for text in texts:
+        code = np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32)
+        n = np.bincount(place[np.minimum(code, 511)], minlength=len(LETTERS) + 1)[: len(LETTERS)]
+        total = n.sum()
+        out.append((n * 1000 // total).astype(np.int32) if total else None)
+    return pd.Series(out, dtype=object)
+
+
 def letter_histogram(text: Column) -> Column:
-    """Per-mille counts of the letters, null for a text without any."""
-    low = F.lower(text)
-    counts = F.array(*[F.char_length(low) - F.char_length(F.replace(low, F.lit(c), F.lit(""))) for c in LETTERS])
-    total = F.aggregate(counts, F.lit(0), lambda a, x: a + x)
-    # counts and total are bound to names of a lambda once, not repeated for each letter
-    shares = F.transform(F.array(F.struct(counts.alias("n"), total.alias("total"))), lambda p: F.when(p["total"] > 0, F.transform(p["n"], lambda x: F.floor(x * 1000 / p["total"]).cast("int"))))
-    return F.get(shares, 0)
+    """``letter_counts`` of a text column, in Arrow batches: as column functions it would take a pass over the text for each letter."""
+    return F.pandas_udf(letter_counts, T.ArrayType(T.IntegerType()))(text)
 
 
 def text_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
