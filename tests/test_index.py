@@ -51,7 +51,7 @@ def test_equal_points_and_ties(spark):
 def test_schedules_give_the_same_tree(cloud, init, other):
     if init != "axis" and other.get("schedule") != "hybrid":
         pytest.skip("covered by the axis rule")
-    stop = Stop(n_min=20, h_max=5)
+    stop = Stop(n_min=20, h_max=3)
     a, b = tsvq.grow(cloud, stop, init, seed=3), tsvq.grow(cloud, stop, init, seed=3, **other)
     assert codes(a) == codes(b)
     assert {c: (n.n, n.closed) for c, n in a.nodes.items()} == {c: (n.n, n.closed) for c, n in b.nodes.items()}
@@ -59,7 +59,7 @@ def test_schedules_give_the_same_tree(cloud, init, other):
 
 @pytest.mark.parametrize("init", INITS)
 def test_rows_sit_at_the_nearer_sibling(cloud, init):
-    index = tsvq.grow(cloud, Stop(n_min=20), init, max_iter=50, tol=0.0)
+    index = tsvq.grow(cloud, Stop(n_min=20, h_max=3), init, max_iter=50, tol=0.0)
     x = {r.id: np.array(r.v) for r in cloud.collect()}
     for i, code in codes(index).items():
         for d in range(len(code)):
@@ -75,7 +75,7 @@ def test_greedy_lowers_cost_and_stops_at_max_leaves(cloud):
 
 
 def test_rate_curve_is_monotone(cloud):
-    curve = measures.rate_curve(tsvq.grow(cloud, Stop(n_min=10)))
+    curve = measures.rate_curve(tsvq.grow(cloud, Stop(n_min=10), schedule="hybrid"))
     assert all(a["wcss"] >= b["wcss"] and a["code_length"] < b["code_length"] for a, b in zip(curve, curve[1:]))
 
 
@@ -101,7 +101,7 @@ def test_search_with_one_leaf_or_all_leaves_is_the_scan(cloud):
     single = tsvq.grow(cloud, Stop(h_max=0))
     got = search.batch(single, q, 7).select("query_id", "rank", "id").collect()
     assert sorted(map(tuple, got)) == [r[:3] for r in exact]
-    index = tsvq.grow(cloud, Stop(n_min=20))
+    index = tsvq.grow(cloud, Stop(n_min=20), schedule="hybrid")
     every = search.batch(index, q, 7, probes=len(index.leaves))
     assert sorted(tuple(r)[:3] for r in every.collect()) == [r[:3] for r in exact]
     recalls = [measures.recall_at(search.batch(index, q, 7, probes=p), search.scan_topk(cloud, q, 7), 7).first().recall for p in (1, 2, 4)]
@@ -109,7 +109,7 @@ def test_search_with_one_leaf_or_all_leaves_is_the_scan(cloud):
 
 
 def test_constraints_before_and_after(cloud):
-    index = tsvq.grow(cloud, Stop(n_min=20))
+    index = tsvq.grow(cloud, Stop(n_min=20), schedule="hybrid")
     v = search.vector_of(index, 7)
     ids = cloud.where("id % 2 = 1").select("id")
     pre = {r.id for r in search.constrained(index, v, ids, 1000).collect()}
@@ -120,7 +120,7 @@ def test_constraints_before_and_after(cloud):
 
 
 def test_back_off_and_several_signatures(cloud):
-    index = tsvq.grow(cloud, Stop(n_min=20))
+    index = tsvq.grow(cloud, Stop(n_min=20), schedule="hybrid")
     v, w = search.vector_of(index, 7), search.vector_of(index, 200)
     assert search.by_vectors(index, [v], 100, backoff=True).count() == 100
     ids = {r.id for r in search.by_vectors(index, [v, w], 10_000).collect()}
@@ -133,7 +133,7 @@ def test_back_off_and_several_signatures(cloud):
 def test_maintenance(cloud, spark):
     stop = Stop(n_min=20)
     some, rest = cloud.where("id % 3 <> 0"), cloud.where("id % 3 = 0")
-    index = tsvq.grow(some, stop)
+    index = tsvq.grow(some, stop, schedule="hybrid")
     more = tsvq.insert(index, rest)
     assert codes(more) == {r.id: r.code for r in tsvq.descend(tsvq.prepare(cloud), index.nodes).collect()}
     assert more.nodes[""].n == 240 and sum(n.n for n in more.leaves) == 240
@@ -142,12 +142,12 @@ def test_maintenance(cloud, spark):
     assert codes(back) == codes(index) and {c: n.n for c, n in back.nodes.items()} == {c: n.n for c, n in index.nodes.items()}
     moved = tsvq.modify(more, cloud.where("id = 4").select("id", F.array(*map(F.lit, (9.0, 0.0, 3.0))).alias("v")))
     assert moved.nodes[""].n == 240 and codes(moved)[4] == tsvq.descend_one(np.array([9.0, 0, 3]), index.nodes)
-    grown = tsvq.regrow(more, stop)
+    grown = tsvq.regrow(more, stop, schedule="hybrid")
     assert all(n.closed for n in grown.leaves) and sum(n.n for n in grown.leaves) == 240 and max(n.n for n in grown.leaves) <= 20
 
 
 def test_saved_index_is_the_same(cloud, spark, tmp_path):
-    index = tsvq.grow(cloud, Stop(n_min=20))
+    index = tsvq.grow(cloud, Stop(n_min=20), schedule="hybrid")
     tsvq.save(index, f"file://{tmp_path}/i")
     again = tsvq.load(spark, f"file://{tmp_path}/i")
     assert codes(again) == codes(index) and again.manifest["init"] == "axis"
@@ -158,7 +158,7 @@ def test_saved_index_is_the_same(cloud, spark, tmp_path):
 
 
 def test_plans(cloud):
-    index = tsvq.grow(cloud, Stop(n_min=20))
+    index = tsvq.grow(cloud, Stop(n_min=20), schedule="hybrid")
     q = cloud.limit(3).select(F.col("id").alias("query_id"), "v")
     assert measures.plan_facts(search.batch(index, q, 5))["WindowGroupLimit"] >= 1
     assert "TakeOrderedAndProject" in index.labelled.orderBy("id").limit(3)._jdf.queryExecution().executedPlan().toString()
@@ -168,13 +168,13 @@ def test_sampled_and_multi_index(cloud):
     index = search.sampled_index(cloud, 2, stop=Stop(n_min=10))
     assert index.nodes[""].n == 240
     q = cloud.where("id % 60 = 0").select(F.col("id").alias("query_id"), "v")
-    merged = search.multi_index({"a": index, "b": tsvq.grow(cloud, Stop(n_min=20))}, {"a": q, "b": q}, 5)
+    merged = search.multi_index({"a": index, "b": tsvq.grow(cloud, Stop(n_min=20), schedule="hybrid")}, {"a": q, "b": q}, 5)
     assert merged.where("rank = 1 AND id = query_id").count() == 4
 
 
 def test_documents_find_their_language(spark, sf):
     docs = archives.text_docs(spark, sf)
-    index = tsvq.grow(docs, Stop(n_min=32))
+    index = tsvq.grow(docs, Stop(n_min=32), schedule="hybrid")
     q = docs.where("id % 20 = 0").select(F.col("id").alias("query_id"), "v")
     assert measures.precision_at(search.batch(index, q, 10), docs.select("id", "label")).first().precision >= 0.9
 

@@ -95,7 +95,15 @@ def test_raster_and_queue_sources(spark):
     px = spark.read.format("polraster").option("products", 2).option("rows", 20).option("cols", 5).load()
     assert px.count() == 200 and px.rdd.getNumPartitions() == 4
     q = spark.readStream.format("taskqueue").option("total", 25).load()
-    assert run(q, "queue_").count() == 25
+    query = q.writeStream.format("memory").queryName("queue_").start()
+    try:
+        for _ in range(60):
+            query.processAllAvailable()
+            if spark.table("queue_").count() == 25:
+                break
+    finally:
+        query.stop()
+    assert spark.table("queue_").count() == 25 and spark.table("queue_").distinct().count() == 25
 
 
 def test_binary_rasters_and_foreign_files(spark, sf, tmp_path):

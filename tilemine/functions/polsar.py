@@ -92,7 +92,7 @@ def eigenvalues(df: DataFrame) -> DataFrame:
     df = df.withColumn("_p", F.sqrt((F.col("_k1") * F.col("_k1") + F.col("_k2") * F.col("_k2") + F.col("_k3") * F.col("_k3") + 2 * F.col("_off")) / 6))
     t12, t13, t23 = (Cx(F.col(f"t{ij}r"), F.col(f"t{ij}i")) for ij in ("12", "13", "23"))
     det = F.col("_k1") * F.col("_k2") * F.col("_k3") + 2 * (t12 * t23 * t13.conj()).re - F.col("_k1") * t23.power() - F.col("_k2") * t13.power() - F.col("_k3") * t12.power()
-    ratio = F.when(F.col("_p") > EPS * F.col("_m"), F.least(F.lit(1.0), F.greatest(F.lit(-1.0), det / (2 * F.col("_p") * F.col("_p") * F.col("_p"))))).otherwise(F.lit(1.0))
+    ratio = F.when(F.col("_p") > EPS * F.col("_m"), F.least(F.lit(1.0), F.greatest(F.lit(-1.0), F.try_divide(det, 2 * F.col("_p") * F.col("_p") * F.col("_p"))))).otherwise(F.lit(1.0))
     df = barrier(df.withColumn("_phi", F.acos(ratio) / 3))
     df = df.withColumn("l1", F.col("_m") + 2 * F.col("_p") * F.cos("_phi")).withColumn("_l3", F.col("_m") + 2 * F.col("_p") * F.cos(F.col("_phi") + 2 * math.pi / 3))
     df = df.withColumn("l2", F.greatest(F.lit(0.0), 3 * F.col("_m") - F.col("l1") - F.col("_l3"))).withColumn("l3", F.greatest(F.lit(0.0), F.col("_l3")))
@@ -108,7 +108,7 @@ def alphas(df: DataFrame) -> DataFrame:
     df = df.withColumn("degenerate", (F.col("l1") - F.col("l2") < GAP * trace) | (F.col("l2") - F.col("l3") < GAP * trace))
     for i, j, k in ((1, 2, 3), (2, 1, 3), (3, 1, 2)):
         li, lj, lk = (F.col(f"l{n}") for n in (i, j, k))
-        first = (li - F.col("_u1")) * (li - F.col("_u2")) / ((li - lj) * (li - lk))
+        first = F.try_divide((li - F.col("_u1")) * (li - F.col("_u2")), (li - lj) * (li - lk))
         df = df.withColumn(f"alpha{i}", F.when(~F.col("degenerate"), F.acos(F.sqrt(F.least(F.lit(1.0), F.greatest(F.lit(0.0), first))))))
     return df.drop("_u1", "_u2")
 
@@ -117,7 +117,7 @@ def pseudo_probabilities(df: DataFrame) -> DataFrame:
     """Adds p1..p3 and ``valid``; a pixel without power is invalid."""
     trace = F.col("l1") + F.col("l2") + F.col("l3")
     df = df.withColumn("valid", trace > EPS)
-    return df.withColumns({f"p{i}": F.when(F.col("valid"), F.col(f"l{i}") / trace) for i in (1, 2, 3)})
+    return df.withColumns({f"p{i}": F.when(F.col("valid"), F.try_divide(F.col(f"l{i}"), trace)) for i in (1, 2, 3)})
 
 
 def entropy(p: list[Column], n: int = 3) -> Column:

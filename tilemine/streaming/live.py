@@ -53,7 +53,7 @@ class LeaseProcessor(StatefulProcessor):
     def _row(self, task, outcome, attempt, ms) -> pd.DataFrame:
         return pd.DataFrame({"task_id": [task], "outcome": [outcome], "attempt": [attempt], "at_s": [int(ms // 1000)]})
 
-    def handleInputRows(self, key, rows, timer) -> Iterator[pd.DataFrame]:
+    def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
         for part in rows:
             for r in part.sort_values("ts").itertuples():
                 ms = int(r.ts.timestamp() * 1000)
@@ -69,8 +69,8 @@ class LeaseProcessor(StatefulProcessor):
                             self.handle.deleteTimer(t)
                         yield self._row(key[0], "done", n, ms)
 
-    def handleExpiredTimer(self, key, timer, expired) -> Iterator[pd.DataFrame]:
-        n, ms = self.attempt.get()[0], expired.getExpiryTimeInMs()
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
+        n, ms = self.attempt.get()[0], expiredTimerInfo.getExpiryTimeInMs()
         if n <= 0:
             return
         if n >= self.most:
