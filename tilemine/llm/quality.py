@@ -79,7 +79,7 @@ def base_failed(x: dict[str, int]) -> bool:
 RULES: dict[str, Callable[[dict[str, int], bytes], bool]] = {
     "words_too_short_or_long": lambda x, body: not 2 * x["n_words"] <= x["word_chars"] <= 14 * x["n_words"],
     "symbols": lambda x, body: 10 * x["n_symbols"] > 3 * x["n_words"],
-    "repeated_lines": lambda x, body: 10 * x["n_dup_lines"] > 3 * (body.count(b"\n") + 1),
+    "repeated_lines": lambda x, body: 2 * x["n_dup_lines"] > body.count(b"\n") + 1,
     "few_letter_words": lambda x, body: 2 * sum(1 for w in body.split() if _HAS_LETTER.search(w)) < x["n_words"],
     "shouting": lambda x, body: 10 * body.count(b"!!") > 3 * x["n_words"],
 }
@@ -154,7 +154,7 @@ f AS (SELECT d.doc_id, text, w, CAST(len(w) AS BIGINT) AS n_words, CAST(length(a
 b AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM f)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
        NOT base_failed AND word_chars BETWEEN 2 * n_words AND 14 * n_words AND 10 * n_symbols <= 3 * n_words
-       AND 10 * n_dup_lines <= 3 * len(string_split(text, chr(10))) AND 2 * len(list_filter(w, lambda x: regexp_matches(x, '[A-Za-z]|[^\x00-\x7F]'))) >= n_words
+       AND 2 * n_dup_lines <= len(string_split(text, chr(10))) AND 2 * len(list_filter(w, lambda x: regexp_matches(x, '[A-Za-z]|[^\x00-\x7F]'))) >= n_words
        AND 10 * ((length(text) - length(replace(text, '!!', ''))) // 2) <= 3 * n_words AS kept
 FROM b
 """
