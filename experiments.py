@@ -1,15 +1,18 @@
 """Scaling and cost-benefit experiments: the index on 1, 2, 4 .. cores and on profiles of worker types, then fits.
 
-python experiments.py [tables] prints one JSON line: runs, linear fit, outliers by the Bonferroni test, speed-up,
-cost trade-off against the smallest configuration, and transfer times by cores.
+python experiments.py [tables [cores]] prints one JSON line: runs, linear fit, outliers by the Bonferroni test, speed-up,
+cost trade-off against the smallest configuration, and transfer times by cores.  With the word ``cores`` the worker
+types are left out.  Each run is one process and one machine, so a core stands for a node.
 """
 
 from __future__ import annotations
 
 import json
 import os
+import shutil
 import subprocess
 import sys
+import tempfile
 import time
 
 HERE = os.path.dirname(os.path.abspath(__file__))
@@ -17,55 +20,88 @@ HERE = os.path.dirname(os.path.abspath(__file__))
 PROFILES = {"m1.small": (1, 1200), "m1.medium": (1, 2000), "m1.large": (2, 3000), "m1.xlarge": (4, 5000), "c1.medium": (2, 1200), "c1.xlarge": (8, 2800)}
 
 
-def one(d: str, cores: int) -> dict:
-    """In a process of its own: index and transfer seconds, and the median latency of a query."""
+def prepare(d: str, out: str) -> dict:
+    """The descriptors that all runs index, written once."""
+    sys.path.insert(0, HERE)
+    from bench import session
+    from tilemine.sources import archives
+
+    spark = session(os.cpu_count() or 1)
+    archives.vec_pairs(spark, d).repartition(48).write.mode("overwrite").parquet(out)
+    made = spark.read.parquet(out)
+    said = {"descriptors": made.count(), "dimensions": len(made.first().v)}
+    spark.stop()
+    return said
+
+
+def one(pairs: str, cores: int) -> dict:
+    """In a process of its own: seconds to load the descriptors into memory, to index and to copy them, and the median latency of a query."""
     sys.path.insert(0, HERE)
     from bench import session
     from tilemine.operators import measures, search, tsvq
     from tilemine.operators.tsvq import Stop
-    from tilemine.sources import archives, storage
+    from tilemine.sources import storage
 
     spark = session(cores)
-    parts = archives.vec_parts(spark, d).persist()
-    parts.count()
     began = time.perf_counter()
-    index = tsvq.grow(parts, Stop(n_min=500, h_max=3), max_iter=5)
+    docs = spark.read.parquet(pairs).persist()
+    docs.count()
+    loaded = time.perf_counter() - began
+    began = time.perf_counter()
+    index = tsvq.grow(docs, Stop(n_min=500, h_max=2), max_iter=5)
     took = time.perf_counter() - began
-    v = parts.orderBy("id").first().v
+    v = docs.orderBy("id").first().v
     latency = measures.timed(lambda: search.by_vectors(index, [v], 10).collect(), 3)["median"]
-    moved = storage.stage_in(spark, f"{d}/lineitem.parquet", f"{storage.shared_folder(spark)}/stage-{cores}")["seconds"]
+    target = f"{pairs}-copy"
+    moved = storage.stage_in(spark, pairs, target)["seconds"]
     spark.stop()
-    return {"index_s": round(took, 3), "query_s": round(latency, 3), "transfer_s": round(moved, 3)}
+    shutil.rmtree(target, ignore_errors=True)
+    return {"load_s": round(loaded, 3), "index_s": round(took, 3), "query_s": round(latency, 3), "transfer_s": round(moved, 3)}
 
 
-def child(d: str, cores: int, memory_mb: int) -> dict:
-    said = subprocess.run([sys.executable, os.path.abspath(__file__), "--one", d, str(cores)], env=os.environ | {"BENCH_MEMORY": f"{memory_mb}m"}, capture_output=True, text=True)
-    return json.loads(said.stdout.strip().splitlines()[-1]) if said.returncode == 0 else {"failed": said.stderr[-300:]}
+def child(memory_mb: int, *args: str) -> dict:
+    said = subprocess.run([sys.executable, os.path.abspath(__file__), *args], env=os.environ | {"BENCH_MEMORY": f"{memory_mb}m"}, capture_output=True, text=True)
+    found = json.loads(said.stdout.strip().splitlines()[-1]) if said.returncode == 0 else {"failed": said.stderr[-300:]}
+    print(*args, f"{memory_mb} MB", found, file=sys.stderr, flush=True)
+    return found
 
 
-def main() -> None:
-    d = sys.argv[1] if len(sys.argv) > 1 else "/root/testdata/sf0.1"
-    cores = [c for c in (1, 2, 3, 4, 6, 8) if c <= (os.cpu_count() or 1)]
-    by_cores = {c: child(d, c, 4000) for c in cores}
-    by_type = {name: child(d, min(c, os.cpu_count() or 1), m) for name, (c, m) in PROFILES.items()}
+def judge(by_cores: dict, by_type: dict) -> dict:
+    """Fits, outliers, speed-up and cost trade-off of the measured runs."""
     sys.path.insert(0, HERE)
     from bench import session
     from tilemine.operators import measures
     from tilemine.operators.ingest import TYPES
 
-    spark = session(2)
-    runs = spark.createDataFrame([(f"n{c}", c, x["index_s"] / 60, 0.1) for c, x in by_cores.items() if "index_s" in x], "config string, nodes int, minutes double, rate double")
+    spark, schema = session(2), "config string, nodes int, minutes double, rate double"
+    said: dict = {}
+    for what in ("load_s", "index_s"):
+        runs = spark.createDataFrame([(f"n{c}", c, x[what] / 60, 0.1) for c, x in by_cores.items() if what in x], schema)
+        said[what] = {"fit": measures.fit(runs).first().asDict(), "outliers": [r.config for r in measures.bonferroni_outliers(runs).collect() if r.outlier], "speedup": [r.asDict() for r in measures.speedup(runs).collect()]}
+        said[what]["tradeoff_cores"] = {r.config: r.tradeoff for r in measures.tradeoff(measures.relative(runs, f"n{min(by_cores)}")).collect()}
     rates = {t[0]: t[6] for t in TYPES}
-    types = spark.createDataFrame([(n, 3, x["index_s"] / 60, rates[n]) for n, x in by_type.items() if "index_s" in x], "config string, nodes int, minutes double, rate double")
-    said = {"by_cores": by_cores, "by_type": by_type, "fit": measures.fit(runs).first().asDict(), "outliers": [r.config for r in measures.bonferroni_outliers(runs).collect() if r.outlier], "speedup": [r.asDict() for r in measures.speedup(runs).collect()]}
-    said["tradeoff_cores"] = {r.config: r.tradeoff for r in measures.tradeoff(measures.relative(runs, "n1")).collect()}
-    said["tradeoff_types"] = {r.config: r.tradeoff for r in measures.tradeoff(measures.relative(types, "m1.small")).collect()}
+    types = [(n, 3, x["index_s"] / 60, rates[n]) for n, x in by_type.items() if "index_s" in x]
+    if any(t[0] == "m1.small" for t in types):
+        said["tradeoff_types"] = {r.config: r.tradeoff for r in measures.tradeoff(measures.relative(spark.createDataFrame(types, schema), "m1.small")).collect()}
     spark.stop()
-    print(json.dumps(said))
+    return said
+
+
+def main(args: list[str]) -> None:
+    d = args[0] if args else "/root/testdata/sf0.1"
+    top = os.cpu_count() or 1
+    with tempfile.TemporaryDirectory(prefix="experiments-") as folder:
+        pairs = f"{folder}/pairs"
+        made = child(6000, "--prepare", d, pairs)
+        by_cores = {c: child(6000, "--one", pairs, str(c)) for c in (8, 6, 4, 3, 2, 1) if c <= top}
+        by_type = {} if "cores" in args else {name: child(m, "--one", pairs, str(min(c, top))) for name, (c, m) in PROFILES.items()}
+        print(json.dumps(made | {"by_cores": by_cores, "by_type": by_type} | judge(by_cores, by_type)))
 
 
 if __name__ == "__main__":
     if sys.argv[1:2] == ["--one"]:
         print(json.dumps(one(sys.argv[2], int(sys.argv[3]))))
+    elif sys.argv[1:2] == ["--prepare"]:
+        print(json.dumps(prepare(*sys.argv[2:4])))
     else:
-        main()
+        main(sys.argv[1:])

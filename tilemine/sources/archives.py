@@ -59,6 +59,29 @@ def letter_histogram(text: Column) -> Column:
     return F.pandas_udf(letter_counts, T.ArrayType(T.IntegerType()))(text)
 
 
+def pair_counts(texts: pd.Series) -> pd.Series:
+    """Counts of neighbouring letters of each text in ten-thousandths, a bin a pair; None for one without any."""
+    side = len(LETTERS)
+    place = np.full(512, side)
+    place[[ord(c) for c in LETTERS]] = np.arange(side)
+    out = []
+    for text in texts:
+        code = np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32)
+        at = place[np.minimum(code, 511)]
+        both = (at[:-1] < side) & (at[1:] < side)
+        n = np.bincount((at[:-1] * side + at[1:])[both], minlength=side * side)
+        total = n.sum()
+        out.append((n * 10000 // total).astype(np.int32) if total else None)
+    return pd.Series(out, dtype=object)
+
+
+def vec_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Long descriptors: a joint histogram of neighbouring letters for each document, about 6 kB each; narrow."""
+    pairs = F.pandas_udf(pair_counts, T.ArrayType(T.IntegerType()))
+    docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), pairs("text").alias("v"), F.col("lang").alias("label"))
+    return docs.where(F.col("v").isNotNull())
+
+
 def text_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), letter_histogram(F.col("text")).alias("v"), F.col("lang").alias("label"))
     return docs.where(F.col("v").isNotNull())
