@@ -2,7 +2,7 @@
 
 python experiments.py [tables [cores]] prints one JSON line: runs, linear fit, outliers by the Bonferroni test, speed-up,
 cost trade-off against the smallest configuration, and transfer times by cores.  With the word ``cores`` the worker
-types are left out.  Each run is one process and one machine, so a core stands for a node.
+types are left out.  Each run is one process and one machine, so a core stands for a node; all have 6 GB.
 """
 
 from __future__ import annotations
