@@ -18,6 +18,11 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return lines.deduplicate(docs)
 
 
+def long_line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """As line_dedup, and later single lines and pairs of enough words are deleted too."""
+    return lines.deduplicate(docs, long_words=lines.LONG_WORDS)
+
+
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays."""
     return simhash.keep_one(docs)
@@ -41,12 +46,23 @@ STAGES = [
     ("sentencepiece", encoding),
 ]
 
+#: The same stages, with shorter runs of lines compared by their words.
+LONG_STAGES = [(name, long_line_dedup if name == "line_dedup" else stage) for name, stage in STAGES]
+
 #: The last stage needs the tokenizer and the third its fingerprints, which SQL has not.
 ORACLE_SQL = None
 
 
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _chain(spark: SparkSession, sf_dir: str, stages: list) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    for name, stage in STAGES[:-1]:
+    for name, stage in stages[:-1]:
         docs = park(stage(spark, docs, sf_dir), f"pipeline-{name}")
-    return park(STAGES[-1][1](spark, docs, sf_dir), f"pipeline-{STAGES[-1][0]}")
+    return park(stages[-1][1](spark, docs, sf_dir), f"pipeline-{stages[-1][0]}")
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _chain(spark, sf_dir, STAGES)
+
+
+def run_long(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _chain(spark, sf_dir, LONG_STAGES)

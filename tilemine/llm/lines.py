@@ -8,11 +8,15 @@ windows that selected them, and a window whose lines occur earlier (smaller doc_
 document and earlier start) is deleted.  Runs that overlap or touch join to maximal runs, so the
 result is the same as that of comparing all runs of at least ``window`` lines.
 
+With ``long_words`` a run of fewer than ``window`` lines is compared as well if it holds at least so many words, so
+that a repeated passage of whole lines is found by what it holds and not only by its number of lines; ``op1_line_dedup``
+and its SQL compare runs of ``window`` lines only, ``long_line_dedup`` and its SQL both.
+
 Groups are never gathered: fingerprints and windows are counted with partial aggregates and
 joined back from written tables, which lets adaptive execution split a hot fingerprint.
 
 Edge cases: a null or empty text has no lines; lines of white space alone are never matched and stay; a document
-with fewer than ``window`` lines that count loses none; rows that repeat a doc_id are one document in order, so no
+with fewer than ``window`` lines that count loses none unless they hold ``long_words``; rows that repeat a doc_id are one document in order, so no
 row is earlier than its repetition, and what is found in one is deleted in all; null ids sort first; other columns
 are kept by ``deduplicate`` and ignored by ``report``.
 """
@@ -24,6 +28,8 @@ from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 from tilemine.llm.common import back_to_id, id_key, park, settled, table
 
 WINDOW = 3
+#: The fewest words that make a shorter run worth comparing: documents with fewer go by the quality rules anyway.
+LONG_WORDS = 10
 
 
 def _lines(text: str = "text") -> Column:
@@ -35,38 +41,53 @@ def _counted(lines: Column) -> Column:
     return F.filter(F.sequence(F.lit(0), F.size(lines) - 1), lambda i: F.get(lines, i).rlike(r"[^\x20\x09-\x0D]"))
 
 
-def windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(k, start, fp, at, key, again) per window: its start among the counted lines, its fingerprint with its place,
-    the hash of its lines and whether an earlier window of the document has the same lines."""
+def windows(docs: DataFrame, window: int = WINDOW, long_words: int | None = None) -> DataFrame:
+    """(k, start, n, fp, at, key, again) per window: its start among the counted lines, its lines, its fingerprint with its
+    place, the hash of its lines and whether an earlier window of the document has the same lines."""
     base = docs.select(id_key().alias("k"), _lines().alias("lines"))
-    base = base.select("k", F.transform(F.filter("lines", lambda x: x.rlike(r"[^\x20\x09-\x0D]")), lambda x: F.xxhash64(x)).alias("h")).where(F.size("h") >= window)
-    cut = F.transform(F.sequence(F.lit(0), F.size("h") - window), lambda s: F.struct(s.alias("start"), F.slice("h", s + 1, window).alias("part")))
+    counted = F.filter("lines", lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
+    least = window if long_words is None else 1
+    names = ["k", "h"] if long_words is None else ["k", "h", "words"]
+    words = F.transform(counted, lambda x: F.regexp_count(x, F.lit(r"[^\x20\x09-\x0D]+")))
+    base = base.select("k", F.transform(counted, lambda x: F.xxhash64(x)).alias("h"), words.alias("words")).select(*names).where(F.size("h") >= least)
+
+    def cuts(n: int) -> Column:
+        return F.transform(F.sequence(F.lit(0), F.size("h") - n), lambda s: F.struct(s.alias("start"), F.lit(n).alias("n"), F.slice("h", s + 1, n).alias("part")))
+
+    def shorter(n: int) -> Column:
+        held = F.filter(cuts(n), lambda x: F.aggregate(F.slice("words", x["start"] + 1, n), F.lit(0), lambda a, b: a + b) >= long_words)
+        return F.when(F.size("h") >= n, held).otherwise(F.slice(cuts(1), 1, 0))
+
+    if long_words is None:
+        cut = cuts(window)
+    else:
+        cut = F.concat(*[shorter(n) for n in range(1, window)], F.when(F.size("h") >= window, cuts(window)).otherwise(F.slice(cuts(1), 1, 0)))
     base = base.select("k", cut.alias("cut"))
-    named = F.transform("cut", lambda x: F.struct(F.xxhash64(x["part"]).alias("key"), F.array_min(x["part"]).alias("fp"), x["start"].alias("start"), (x["start"] + F.array_position(x["part"], F.array_min(x["part"])) - 1).alias("at")))
+    named = F.transform("cut", lambda x: F.struct(F.xxhash64(x["part"]).alias("key"), F.array_min(x["part"]).alias("fp"), x["start"].alias("start"), x["n"].alias("n"), (x["start"] + F.array_position(x["part"], F.array_min(x["part"])) - 1).alias("at")))
     base = base.select("k", F.array_sort(named).alias("w"))
-    rows = base.select("k", F.explode(F.transform("w", lambda x, i: F.struct(x["start"].alias("start"), x["fp"].alias("fp"), x["at"].alias("at"), x["key"].alias("key"), ((i > 0) & (F.get("w", i - 1)["key"] == x["key"]) & (F.get("w", i - 1)["fp"] == x["fp"])).alias("again")))).alias("x"))
+    rows = base.select("k", F.explode(F.transform("w", lambda x, i: F.struct(x["start"].alias("start"), x["n"].alias("n"), x["fp"].alias("fp"), x["at"].alias("at"), x["key"].alias("key"), ((i > 0) & (F.get("w", i - 1)["key"] == x["key"]) & (F.get("w", i - 1)["fp"] == x["fp"])).alias("again")))).alias("x"))
     return rows.select("k", "x.*")
 
 
-def repeated(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(k, starts): per document the starts of its windows whose lines occur earlier."""
-    found = windows(docs, window)
+def repeated(docs: DataFrame, window: int = WINDOW, long_words: int | None = None) -> DataFrame:
+    """(k, runs): per document the starts and lines of its windows whose lines occur earlier."""
+    found = windows(docs, window, long_words)
     # a place is selected by neighbouring windows; its first one counts it
     shared = found.groupBy("fp").agg(F.min("at").alias("a"), F.max("at").alias("b"), F.min("k").alias("c"), F.max("k").alias("d")).where("a <> b OR c <> d").select("fp")
     shared = park(shared, "line-fingerprints")
-    near = park(found.join(shared, "fp").select("k", "start", "fp", "key", "again"), "line-windows")
+    near = park(found.join(shared, "fp").select("k", "start", "n", "fp", "key", "again"), "line-windows")
     first = park(near.groupBy("fp", "key").agg(F.min("k").alias("first"), F.max("k").alias("last")).where("first <> last").select("fp", "key", "first"), "line-first")
-    across = near.where("NOT again").join(first, ["fp", "key"]).where("k > first").select("k", "start")
-    return across.unionByName(near.where("again").select("k", "start")).groupBy("k").agg(F.collect_list("start").alias("starts"))
+    across = near.where("NOT again").join(first, ["fp", "key"]).where("k > first").select("k", "start", "n")
+    return across.unionByName(near.where("again").select("k", "start", "n")).groupBy("k").agg(F.collect_list(F.struct("start", "n")).alias("runs"))
 
 
-def _marked(docs: DataFrame, window: int) -> tuple[DataFrame, Column, Column]:
-    """Rows with their found starts, and the columns of all lines and of the kept lines' places."""
-    found = repeated(docs, window).select(F.col("k").alias("__k"), F.col("starts").alias("__starts"))
+def _marked(docs: DataFrame, window: int, long_words: int | None) -> tuple[DataFrame, Column, Column]:
+    """Rows with their found runs, and the columns of all lines and of the kept lines' places."""
+    found = repeated(docs, window, long_words).select(F.col("k").alias("__k"), F.col("runs").alias("__runs"))
     both = docs.withColumn("__key", id_key()).join(found, F.col("__key") == F.col("__k"), "left")
-    lines, count = _lines(), F.array_distinct(F.flatten(F.transform("__starts", lambda s: F.sequence(s, s + window - 1))))
-    both = both.withColumn("__lines", lines).withColumn("__counted", F.when(F.col("__starts").isNotNull(), _counted(F.col("__lines"))))
-    both = both.withColumn("__gone", F.when(F.col("__starts").isNotNull(), F.transform(count, lambda i: F.get("__counted", i))))
+    lines, count = _lines(), F.array_distinct(F.flatten(F.transform("__runs", lambda x: F.sequence(x["start"], x["start"] + x["n"] - 1))))
+    both = both.withColumn("__lines", lines).withColumn("__counted", F.when(F.col("__runs").isNotNull(), _counted(F.col("__lines"))))
+    both = both.withColumn("__gone", F.when(F.col("__runs").isNotNull(), F.transform(count, lambda i: F.get("__counted", i))))
     all_places = F.sequence(F.lit(0), F.size("__lines") - 1)
     return both, F.col("__lines"), F.when(F.col("__gone").isNull(), all_places).otherwise(F.array_except(all_places, "__gone"))
 
@@ -75,11 +96,11 @@ def _kept_text(lines: Column, places: Column) -> Column:
     return F.array_join(F.transform(places, lambda i: F.get(lines, i)), "\n")
 
 
-def deduplicate(docs: DataFrame, window: int = WINDOW) -> DataFrame:
+def deduplicate(docs: DataFrame, window: int = WINDOW, long_words: int | None = None) -> DataFrame:
     """The rows with repeated lines deleted from ``text``; a row that loses its last counted line goes.  Rows without
     repeated lines stay as they are; ``n_chars``, if there, follows the text."""
     names = docs.columns
-    both, lines, places = _marked(docs, window)
+    both, lines, places = _marked(docs, window, long_words)
     both = settled(settled(both).withColumn("__places", places))
     places = F.col("__places")
     text = F.when(F.col("__gone").isNull(), F.col("text")).otherwise(_kept_text(lines, places))
@@ -88,9 +109,9 @@ def deduplicate(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     return both.select(*[F.col("__text").alias(c) if c == "text" else n.alias(c) if c == "n_chars" else F.col(f"`{c}`") for c in names])
 
 
-def report(docs: DataFrame, window: int = WINDOW) -> DataFrame:
+def report(docs: DataFrame, window: int = WINDOW, long_words: int | None = None) -> DataFrame:
     """Per row: lines, deleted lines and the SHA-256 of the remaining lines joined by line ends."""
-    both, lines, places = _marked(docs.select("doc_id", "text"), window)
+    both, lines, places = _marked(docs.select("doc_id", "text"), window, long_words)
     n = F.when(F.coalesce(F.length("text"), F.lit(0)) == 0, F.lit(0)).otherwise(F.size(lines)).cast("long")
     whole = F.when(F.col("__gone").isNull(), F.coalesce("text", F.lit(""))).otherwise(_kept_text(lines, places))
     return both.select(back_to_id("__key").alias("doc_id"), n.alias("n_lines"), F.coalesce(F.size("__gone"), F.lit(0)).cast("long").alias("n_removed"), F.sha2(whole, 256).alias("kept_sha256"))
@@ -100,6 +121,11 @@ def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return report(table(spark, sf_dir, "documents"))
 
 
+def long_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """As op1, and single lines and pairs of at least LONG_WORDS words are compared too."""
+    return report(table(spark, sf_dir, "documents"), long_words=LONG_WORDS)
+
+
 def removed_sql(source: str, window: int = WINDOW) -> str:
     """DuckDB: common table expressions up to gone(doc_id, p), the deleted lines (from 1), by comparing all windows."""
     return rf"""
@@ -117,3 +143,17 @@ SELECT l.doc_id, CAST(CASE WHEN text = '' THEN 0 ELSE len(l) END AS BIGINT) AS n
        sha256(array_to_string(list_transform(list_filter(generate_series(1, len(l)), lambda i: NOT coalesce(list_contains(a, i), false)), lambda i: l[i]), chr(10))) AS kept_sha256
 FROM l LEFT JOIN g USING (doc_id)
 """
+
+
+def removed_long_sql(source: str, window: int = WINDOW, long_words: int = LONG_WORDS) -> str:
+    """As removed_sql, with the runs of fewer lines that hold enough words."""
+    return rf"""
+l AS (SELECT doc_id, coalesce(text, '') AS text, string_split(coalesce(text, ''), chr(10)) AS l FROM {source}),
+c AS (SELECT doc_id, l, list_filter(generate_series(1, len(l)), lambda i: regexp_matches(l[i], '[^\x20\x09-\x0D]')) AS c FROM l),
+a AS (SELECT doc_id, i, n, c, list_transform(generate_series(i, i + n - 1), lambda j: l[c[j]]) AS x FROM c, unnest(generate_series(1, len(c))) AS g(i), generate_series(1, {window}) AS h(n) WHERE i + n - 1 <= len(c)),
+w AS (SELECT doc_id, i, n, c, to_json(x) AS s FROM a WHERE n = {window} OR len(list_filter(regexp_split_to_array(array_to_string(x, chr(10)), '[\x20\x09-\x0D]+'), lambda y: y <> '')) >= {long_words}),
+f AS (SELECT doc_id, i, n, c, row_number() OVER (PARTITION BY s ORDER BY doc_id, i) AS m FROM w),
+gone AS (SELECT DISTINCT doc_id, unnest(list_transform(generate_series(i, i + n - 1), lambda j: c[j])) AS p FROM f WHERE m > 1)"""
+
+
+LONG_SQL = SQL.replace(removed_sql("documents"), removed_long_sql("documents"))

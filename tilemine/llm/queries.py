@@ -13,8 +13,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     for f in (
         lines.op1_line_dedup, decontaminate.op2_decontamination, simhash.op3_simhash_near_dedup, html.op4_html_extraction, warc.op5_warc_normaliser,
         language.op6_language_id, pieces.op7_sentencepiece_round_trip, quality.op8_quality_rules, tokens.op9_token_counts, substrings.op10_substring_dedup,
+        lines.long_line_dedup,
     )
 }
 
 #: No SQL: op3 (fingerprints), op4 (trained tree), op6 (trained model), op7 and op9 (tokenizers).
-SQL = {"op1_line_dedup": lines.SQL, "op2_decontamination": decontaminate.SQL, "op5_warc_normaliser": warc.SQL, "op8_quality_rules": quality.SQL, "op10_substring_dedup": substrings.SQL}
+SQL = {"op1_line_dedup": lines.SQL, "long_line_dedup": lines.LONG_SQL, "op2_decontamination": decontaminate.SQL, "op5_warc_normaliser": warc.SQL, "op8_quality_rules": quality.SQL, "op10_substring_dedup": substrings.SQL}
