@@ -7,6 +7,8 @@ is the same in any order, so the verdict is as exact as the rules and equal in e
 
 Edge cases: a null or wordless text has no words and fails the base rule; repeated rows give
 repeated results; other columns are ignored.
+
+No rule looks at toxic wording: toxic documents are kept unless a rule on form rejects them.
 """
 
 from __future__ import annotations
