@@ -1,8 +1,8 @@
-"""Substring dedup over a De Bruijn graph of token k-mers, compacted by minimizers.
+"""Substring dedup over paths of token k-mers cut at minimizers, which stand in for a compacted De Bruijn graph.
 
-A node is a word k-mer, an edge a word that follows it.  A path of ``window`` words is cut out
+No edge, degree or branching node is computed and neighbouring paths are not joined.  A path of ``window`` words is cut out
 at its smallest k-mer hash: consecutive windows of a document that share that k-mer make one
-nonbranching path (a super-window of about window + (window - k) / 2 words), which is compacted
+path (a super-window of about window + (window - k) / 2 words), which is compacted
 to one row (k-mer, path hash, document).  Equal windows have the same smallest k-mer, so they
 lie in paths of the same k-mer.
 
@@ -13,7 +13,7 @@ lie in paths of the same k-mer.
 * Windows that repeat inside one document are found there.
 
 Only k-mers with two rows or more pass the joins.  Keys are two independent 64-bit hashes (k-mer and
-path, or k-mer and window).  No group is gathered: counts and minima are partial aggregates, and what is
+path, or k-mer and window); equal hashes count as equal words and no text is compared.  No group is gathered: counts and minima are partial aggregates, and what is
 joined back comes from written tables, so that adaptive execution splits hot k-mers.
 
 Edge cases: null texts and texts of fewer than ``window`` words lose nothing; rows that repeat a doc_id are one
