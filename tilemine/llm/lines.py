@@ -2,11 +2,13 @@
 
 Lines that hold more than white space are hashed.  Each window of ``window`` consecutive lines
 selects its smallest hash (the leftmost of equal ones) as fingerprint, so any run of ``window``
-lines that occurs twice shares a fingerprint at the same offset.  Positions of fingerprints that
-occur once are left out; at the others the match is extended to the left and the right over the
-windows that selected them, and a window whose lines occur earlier (smaller doc_id, or same
-document and earlier start) is deleted.  Runs that overlap or touch join to maximal runs, so the
-result is the same as that of comparing all runs of at least ``window`` lines.
+lines that occurs twice shares a fingerprint at the same offset.  Fingerprints only prefilter:
+windows whose fingerprint is selected at one place are left out.  The others are grouped by
+fingerprint and hash of their lines, and a window whose lines occur earlier (smaller doc_id, or
+same document and earlier start) is deleted.  No two positions are joined and no match is extended:
+every window has its row, so runs that overlap or touch are deleted whole, and the result is the
+same as that of comparing all runs of at least ``window`` lines.  Lines and windows count as equal
+by 64-bit hash; no text is compared.
 
 With ``long_words`` a run of fewer than ``window`` lines is compared as well if it holds at least so many words, so
 that a repeated passage of whole lines is found by what it holds and not only by its number of lines; ``op1_line_dedup``
