@@ -1,6 +1,7 @@
 import gzip
 import hashlib
 import re
+import time
 import zlib
 
 import pytest
@@ -43,10 +44,57 @@ def test_unclosed_menu_ends_at_the_article():
     assert text_of(f"<nav><ul><li>x<article><p>{LONG}</p></article>") == LONG
 
 
-def test_tree_is_trained_from_its_table():
+def test_tree_is_trained_from_its_table_and_holds_on_other_pages():
     tree = H.train()
-    right = [int(y) == int(c) for page, labels in H.LABELLED for y, c in zip(tree.predict(H.features(H.blocks(page))), labels)]
-    assert sum(right) >= 0.97 * len(right) and len(right) < 200
+    x, y = H.rows(H.labelled_pages())
+    assert (tree.predict(x) == y).mean() >= 0.99 and len(y) < 12_000
+    x, y = H.rows(H.labelled_pages(20, seed=77))
+    assert (tree.predict(x) == y).mean() >= 0.99
+    assert 1 in tree.used() and tree.used() & {2, 3} and tree.used() & {4, 5}  # own link density and figures of both neighbours
+
+
+def test_layouts_that_were_left_out_of_training():
+    right = total = 0
+    for i, layout in enumerate(H.LAYOUTS):
+        tree = H.train([p for j, p in enumerate(H.labelled_pages()) if j % len(H.LAYOUTS) != i])
+        for seed in range(30):
+            page = H.Layout(990_000 + seed)
+            layout(page)
+            x, y = H.rows([page.page()])
+            right, total = right + (tree.predict(x) == y).sum(), total + len(y)
+    assert right >= 0.85 * total
+
+
+def test_verdict_follows_the_neighbours():
+    """The same line is a heading before a long text and the page's last line after links; the same link is text between paragraphs and one of a list."""
+    line, link = "one two three four", "<p><a href=x>one two three</a></p>"
+    menu = "".join(f"<li><a href={i}>go there</a></li>" for i in range(5))
+    assert text_of(f"<ul>{menu}</ul><h1>{line}</h1><p>{LONG}</p><ul>{menu}</ul><div>{line}</div>") == f"{line}\n{LONG}"
+    page = f"<nav><a>x</a></nav><article><h1>Head</h1><p>{LONG}</p>{link}<p>{LONG}</p>"
+    assert text_of(page + "</article>") == f"Head\n{LONG}\none two three\n{LONG}"
+    assert text_of(page + f"<ul>{menu}</ul></article>").count("go there") <= 1
+
+
+@pytest.mark.parametrize("n", [10, 3_900, 4_100, 100_000])
+@pytest.mark.parametrize("quote", "\"'")
+def test_long_attribute_values_hold_signs(n, quote):
+    page = f"<nav>menu</nav><article><p data-x={quote}a>b {'x' * n}> leaked words{quote} title = {quote}<p>{quote}>{LONG}</p></article>"
+    assert text_of(page) == LONG
+
+
+def test_quotes_that_open_no_value():
+    assert text_of(f'<article><p a"b>{LONG}</p><p x="never closed>{LONG}</p></article>') == f"{LONG}\n{LONG}"
+
+
+def test_class_words_of_paragraphs_and_article_headers():
+    assert text_of(f'<article><header><h1 class="post-header">Head line</h1></header><p class="more">{LONG}</p><p>{LONG}</p></article>') == f"Head line\n{LONG}\n{LONG}"
+
+
+def test_reading_is_linear():
+    began = time.perf_counter()
+    for part in ('<p class="a', "<a href=\"x'", "<p ='\"", "<!-", "< ", "<x y="):
+        text_of(part * 50_000)
+    assert time.perf_counter() - began < 20
 
 
 def test_extract_rows(spark):

@@ -1,15 +1,20 @@
 """Main text of web pages: flat text blocks, features of neighbours, a decision tree.
 
-A page is cut at block-level tags into flat blocks.  Each block has its word count and link
-density, those of the blocks before and after it, and whether it stands in an article element or in an element whose tag, role
-or class names say menu, notice, advert and so on.  A CART tree (Gini, numpy) is trained on the small
-labelled pages of ``LABELLED`` each time it is needed, which takes milliseconds, and
-gives each block's class.  Character references are decoded, white space inside a block becomes
-one space, and the blocks of class text are joined by line ends.
-
-One pass, no shuffle.  Edge cases: null and empty pages give the empty text; unclosed tags, comments
-and scripts end at the page's end; an unclosed container ends where an article or main element opens;
-repeated rows give repeated results; other columns are ignored.
+A page is cut at block-level tags into flat blocks.  Each block has its word count and link density, those of the
+block before and of the block after it, one mark (an element around it says menu, notice, advert and so on: by its
+class or id words, or, stronger, by its tag or role) and its zone (inside an article or main element, outside of it,
+or on a page without one).  A CART tree (Gini, numpy) trained on the labelled pages of ``labelled_pages`` gives each
+block's class.  They are written by a rule: eleven layouts, with and without article elements and class words, whose
+block lengths come from a seeded generator; training takes a moment on the driver.  Character references are decoded, white space
+inside a block becomes one space, and the blocks of class text are joined by line ends.
+
+Tags are read as the HTML standard reads them: a quote opens a value after an equals sign only, values have any
+length, and an unclosed quote leaves the tag to end at its first ``>``.  Reading is linear in the page.
+
+One pass, no shuffle; memory is that of one page and its blocks.  Edge cases: null and empty pages give the empty text; unclosed tags, comments
+and scripts end at the page's end; an unclosed container ends where an article or main element opens; very long pages, texts and
+attributes are read whole; blocks with equal figures get equal verdicts (a value equal to a split's limit goes to its low side);
+repeated rows give repeated results; an empty table gives none; other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,7 +30,9 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from tilemine.llm.common import table
 
-_TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:"[^"]{0,4000}"|'[^']{0,4000}'|[^'">])*+)(?:>|\Z)|<(/?)([A-Za-z][A-Za-z0-9:-]*)([^>]*)(?:>|\Z)""", re.S)
+_NAME = re.compile(r"(/?)([A-Za-z][^\s/>]*+)")
+#: White space and slashes, then the tag's end or one attribute with its value.
+_ATTRIBUTE = re.compile(r"""[\s/]*+(?:(>)|([^\s/>][^\s/>=]*+)(?:\s*+=\s*+("[^"]*+"|'[^']*+'|(?!["'])[^\s>]++)?+)?+)""")
 #: Element names of the HTML standard.
 _INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -33,15 +40,17 @@ _RAW = frozenset("script style textarea noscript template iframe svg math object
 _UNPUSHED = frozenset("p li dt dd tr td th option thead tbody tfoot html".split())
 _BOILER_TAGS = frozenset("nav aside footer header form menu dialog button fieldset head".split())
 _BOILER_ROLES = frozenset("navigation banner contentinfo complementary search form dialog alertdialog alert menu menubar note".split())
-#: Words of class and id attributes that name parts other than the article.
+_TEXT_TAGS = frozenset("p h1 h2 h3 h4 h5 h6 li dt dd td th blockquote pre figure figcaption".split())
+_HINTED = frozenset("span small strong em b i".split())
+#: Words of class and id attributes that name parts other than the article, on any element.
 _BOILER_NAMES = frozenset(
-    "ad ads advert adverts advertisement advertising adbox banner promo promotion sponsor sponsored sponsors cookie cookies consent gdpr notice notices notification popup modal overlay newsletter subscribe subscription "
-    "sidebar side menu menus nav navbar navigation breadcrumb breadcrumbs header masthead topbar toolbar footer foot comment comments disqus reply replies respond share sharing social related recommended recommendations more "
-    "widget widgets login signin signup register search pagination pager copyright disclaimer legal form tags tagcloud teaser skip".split()
+    "ad ads advert adverts advertisement advertising adbox banner promo promotion sponsor sponsored sponsors cookie cookies consent gdpr notification popup modal overlay newsletter subscribe subscription "
+    "sidebar nav navbar navigation breadcrumb breadcrumbs masthead topbar toolbar footer comments disqus login signin signup pagination pager copyright disclaimer widget widgets tagcloud".split()
 )
+#: Words that do so on containers only; a paragraph or heading may bear them for other reasons.
+_CONTAINER_NAMES = frozenset("notice notices side menu menus header foot comment reply replies respond share sharing social related recommended recommendations more register search legal form tags teaser skip".split())
 _CONTENT_NAMES = frozenset("article content post entry story main body text".split())
-_NAME = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden|style)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>]+))?""", re.I)
-_LINK_TAGS = frozenset(["a"])
+_READ = frozenset("class id role hidden aria-hidden style".split())
 
 
 @dataclass
@@ -49,128 +58,152 @@ class Block:
     text: str
     words: int
     link_words: int
-    boiler: bool
+    mark: int  # 0: none, 1: class or id words, 2: tag, role or hidden
     article: bool
 
 
-def _says_boiler(name: str, attributes: str) -> bool:
-    if name in _BOILER_TAGS:
-        return True
+def _tag(page: str, at: int) -> tuple[int, dict[str, str]]:
+    """The end of the tag whose name ends at ``at``, and its attributes of _READ."""
+    found: dict[str, str] = {}
+    while m := _ATTRIBUTE.match(page, at):
+        at = m.end()
+        if m[1]:
+            return at, found
+        key = m[2].lower()
+        if key in _READ:
+            found.setdefault(key, (m[3] or "").strip("\"'").lower())
+    return len(page), found
+
+
+def _mark(name: str, attributes: dict[str, str], in_article: bool) -> int:
+    """What an element says of the blocks in it; an article's own header holds its title."""
+    if name in _BOILER_TAGS and not (name == "header" and in_article):
+        return 2
     if not attributes or name in ("body", "html", "article", "main"):
-        return False
-    for key, value in _NAME.findall(attributes):
-        key, value = key.lower(), value.strip("\"'").lower()
-        if key == "role" and value in _BOILER_ROLES:
-            return True
-        if key == "hidden" or key == "aria-hidden" and value == "true" or key == "style" and re.search(r"display\s*:\s*none", value):
-            return True
-        if key in ("class", "id"):
-            for one in value.split():
-                parts = [x for x in re.split(r"[^a-z]+", one) if x]
-                if parts and (parts[0] in _BOILER_NAMES or parts[-1] in _BOILER_NAMES) and not (len(parts) > 1 and parts[-1] in _CONTENT_NAMES):
-                    return True
-    return False
+        return 0
+    if attributes.get("role") in _BOILER_ROLES or "hidden" in attributes or attributes.get("aria-hidden") == "true" or re.search(r"display\s*:\s*none", attributes.get("style", "")):
+        return 2
+    for one in f"{attributes.get('class', '')} {attributes.get('id', '')}".split():
+        parts = [x for x in re.split(r"[^a-z]+", one) if x]
+        if parts and not (len(parts) > 1 and parts[-1] in _CONTENT_NAMES):
+            if any(x in _BOILER_NAMES or x in _CONTAINER_NAMES and name not in _TEXT_TAGS for x in (parts[0], parts[-1])):
+                return 1
+    return 0
 
 
 def blocks(page: str) -> list[Block]:
     """The page's flat text blocks in order."""
     out: list[Block] = []
     parts: list[tuple[str, bool]] = []
-    stack: list[tuple[str, bool]] = []
-    boiler = article = link = 0
-    at = 0
+    stack: list[tuple[str, int]] = []
+    marked = [0, 0, 0]
+    article = link = at = begin = 0
 
     def close() -> None:
         if parts:
             text = " ".join("".join(t for t, _ in parts).split())
             if text:
                 linked = sum(len(t.split()) for t, is_link in parts if is_link)
-                out.append(Block(text, len(text.split()), linked, boiler > 0, article > 0))
+                out.append(Block(text, len(text.split()), linked, 2 if marked[2] else 1 if marked[1] else 0, article > 0))
             parts.clear()
 
-    while True:
-        m = _TAG.search(page, at)
+    def read(stop: int) -> None:
+        if stop > begin:
+            parts.append((references.unescape(page[begin:stop]), link > 0))
+
+    while (at := page.find("<", at)) >= 0:
+        opened = at
+        m = _NAME.match(page, at + 1)
         if m is None:
-            parts.append((references.unescape(page[at:]), link > 0))
-            break
-        if m.start() > at:
-            parts.append((references.unescape(page[at : m.start()]), link > 0))
-        at = m.end()
-        name = (m[2] or m[5] or "").lower()
-        if not name:
+            if page.startswith("<!--", at):
+                end = page.find("-->", at + 2)
+                at = len(page) if end < 0 else end + 3
+            elif page[at + 1 : at + 2] in ("!", "?", "/"):
+                end = page.find(">", at)
+                at = len(page) if end < 0 else end + 1
+            else:  # a literal sign
+                at += 1
+                continue
+            read(opened)
+            begin = at
             continue
-        closing, attributes = (m[1] or m[4]) == "/", m[3] or m[6] or ""
+        read(opened)
+        closing, name = m[1] == "/", m[2].lower()
+        at, attributes = (m.end() + 1, {}) if page.startswith(">", m.end()) else _tag(page, m.end())
+        begin = at
         if name == "a":
             link = 0 if closing else 1
             continue
         if name in _RAW:
-            if not closing and not attributes.endswith("/"):
+            if not closing and page[at - 2] != "/":
                 if name not in _INLINE:
                     close()
                 end = re.compile(rf"</{name}\b[^>]*>?", re.I).search(page, at)
-                at = end.end() if end else len(page)
+                at = begin = end.end() if end else len(page)
             continue
         if name == "br":
             parts.append((" ", False))
             continue
-        hinted = not closing and name in ("span", "small", "strong", "em", "b", "i") and attributes and _says_boiler(name, attributes)
-        if name in _INLINE and not hinted and not any(s[0] == name for s in stack[-3:]):
+        mark = 0 if closing else _mark(name, attributes, article > 0)
+        if name in _INLINE and not (mark and name in _HINTED) and not any(s[0] == name for s in stack[-3:]):
             continue
         close()
         link = 0
-        if name in _VOID or name in _UNPUSHED and not (not closing and _says_boiler(name, attributes)) and not any(s[0] == name for s in stack):
+        if name in _VOID or name in _UNPUSHED and not mark and not any(s[0] == name for s in stack):
             continue
         if closing:
             depth = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == name), None)
             if depth is not None:
-                for gone, bad in stack[depth:]:
-                    boiler -= bad
+                for gone, was in stack[depth:]:
+                    marked[was] -= 1
                     article -= gone in ("article", "main")
                 del stack[depth:]
         else:
             if name in ("body", "main") or name == "article" and not article and any(s[0] in _BOILER_TAGS for s in stack):
                 stack.clear()
-                boiler = article = 0
+                marked, article = [0, 0, 0], 0
             if name in _UNPUSHED and stack and stack[-1][0] == name:
-                boiler -= stack[-1][1]
-                stack.pop()
-            bad = _says_boiler(name, attributes)
-            stack.append((name, bad))
-            boiler += bad
+                marked[stack.pop()[1]] -= 1
+            stack.append((name, mark))
+            marked[mark] += 1
             article += name in ("article", "main")
+    read(len(page))
     close()
     return out
 
 
 def features(found: list[Block]) -> np.ndarray:
-    """Rows of: words, link density; the same of the block before and after; in a boilerplate element; in an article
-    element or on a page that has none; in an article element."""
+    """Rows of: words, link density; the same of the block before and after; the mark; the zone (0 outside of the page's
+    article, 1 on a page that has none, 2 inside)."""
     n = len(found)
     own = np.array([[b.words, b.link_words / max(b.words, 1)] for b in found], float).reshape(n, 2)
     before, after = np.zeros_like(own), np.zeros_like(own)
     before[1:], after[:-1] = own[:-1], own[1:]
-    has_article = any(b.article for b in found)
-    flags = np.array([[b.boiler, b.article or not has_article, b.article] for b in found], float).reshape(n, 3)
+    elsewhere = 0 if any(b.article for b in found) else 1
+    flags = np.array([[b.mark, 2 if b.article else elsewhere] for b in found], float).reshape(n, 2)
     return np.concatenate([own, before, after, flags], axis=1)
 
 
 class Tree:
     """A binary CART tree: Gini gain, midpoints between neighbouring values, the first best split."""
 
-    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 6, least: int = 2):
+    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 12, least: int = 8):
         self.verdict = bool(y.mean() >= 0.5)
         self.split: tuple[int, float] | None = None
         if depth and 0 < y.sum() < len(y):
             best = (1e-9, 0, 0.0)
-            impurity = lambda k, n: 2 * k * (n - k) / n
-            for f in (*range(x.shape[1] - 3, x.shape[1]), *range(x.shape[1] - 3)):
+            total = 2 * y.sum() * (len(y) - y.sum()) / len(y)
+            for f in range(x.shape[1]):
                 order = np.argsort(x[:, f], kind="stable")
                 v, k = x[order, f], np.cumsum(y[order])
-                for i in np.flatnonzero(v[1:] != v[:-1]) + 1:
-                    if least <= i <= len(y) - least:
-                        gain = impurity(y.sum(), len(y)) - impurity(k[i - 1], i) - impurity(k[-1] - k[i - 1], len(y) - i)
-                        if gain > best[0] + 1e-9:
-                            best = (gain, f, (v[i - 1] + v[i]) / 2)
+                i = np.flatnonzero(v[1:] != v[:-1]) + 1
+                i = i[(i >= least) & (i <= len(y) - least)]
+                if len(i):
+                    low, high, rest = k[i - 1], k[-1] - k[i - 1], len(y) - i
+                    gain = total - 2 * low * (i - low) / i - 2 * high * (rest - high) / rest
+                    j = int(gain.argmax())
+                    if gain[j] > best[0] + 1e-9:
+                        best = (gain[j], f, (v[i[j] - 1] + v[i[j]]) / 2)
             if best[0] > 1e-9:
                 self.split = best[1:]
                 low = x[:, best[1]] <= best[2]
@@ -184,44 +217,214 @@ class Tree:
         out[low], out[~low] = self.low.predict(x[low]), self.high.predict(x[~low])
         return out
 
+    def used(self) -> set[int]:
+        """Features that some split asks for."""
+        return set() if self.split is None else {self.split[0]} | self.low.used() | self.high.used()
+
+
+def _w(n: int) -> str:
+    return " ".join(["word"] * int(n))
+
+
+class Layout:
+    """Writes one labelled page: markup, and a character for each block, 1 for main text."""
+
+    def __init__(self, seed: int):
+        self.random, self.html, self.labels = np.random.default_rng(seed), [], []
+
+    def some(self, low: int, high: int) -> int:
+        return int(self.random.integers(low, high + 1))
+
+    def put(self, html: str, label: str) -> None:
+        self.html.append(html)
+        self.labels.append(label)
+
+    def links(self, low: int, high: int, each: int = 3, open_: str = "<ul>", shut: str = "</ul>", tag: str = "li") -> None:
+        n = self.some(low, high)
+        self.put(open_ + "".join(f'<{tag}><a href="/{i}">{_w(self.some(1, each))}</a></{tag}>' for i in range(n)) + shut, "0" * n)
+
+    def text(self, low: int, high: int, tag: str = "p", label: str = "1") -> None:
+        n = self.some(low, high)
+        linked = n // 8 if n > 12 and self.random.random() < 0.3 else 0
+        link = f" <a href=x>{_w(linked)}</a>" if linked else ""
+        self.put(f"<{tag}>{_w(n - linked)}{link}</{tag.split()[0]}>", label)
+
+    def prose(self, low: int, high: int, tag: str = "p") -> None:
+        """Paragraphs of all lengths, single words among them, now and then one that is a link."""
+        for _ in range(self.some(low, high)):
+            kind = self.random.random()
+            if kind < 0.2:
+                self.text(1, 6, tag)
+            elif kind < 0.3:
+                if self.random.random() < 0.5:
+                    self.text(1, 3, tag)
+                self.text(10, 90, tag)
+                self.put(f"<{tag}><a href=y>{_w(self.some(2, 9))}</a></{tag}>", "1")
+                self.text(20, 60, tag)
+            else:
+                self.text(10, 160, tag)
+
+    def page(self) -> tuple[str, str]:
+        return "".join(self.html), "".join(self.labels)
+
+
+def _news(p: Layout) -> None:
+    p.links(3, 9, 2, "<header><nav><ul>", "</ul></nav></header>")
+    p.put("<article>", "")
+    p.text(3, 12, "h1")
+    p.prose(3, 12)
+    p.put("</article>", "")
+    p.text(8, 60, "aside", "0")
+    p.text(2, 40, "footer", "0")
+
+
+def _news_with_related(p: Layout) -> None:
+    """Links to other stories stand inside the article, unmarked, in a row."""
+    p.links(3, 7, 2, "<nav><ul>", "</ul></nav>")
+    p.put("<article>", "")
+    p.text(3, 9, "h1")
+    p.prose(2, 5)
+    p.text(25, 60)
+    p.links(3, 6, 9)
+    p.put("</article>", "")
+    p.text(3, 9, "footer", "0")
+
+
+def _plain(p: Layout) -> None:
+    """No article element, no class words: only lengths and links tell."""
+    p.links(4, 9, 2)
+    p.text(3, 10, "h1")
+    p.text(30, 90)
+    for _ in range(p.some(1, 4)):
+        p.text(1, 6)
+        p.text(30, 150)
+    p.links(3, 7, 4)
+    p.text(2, 6, "div", "0")
+
+
+def _plain_short(p: Layout) -> None:
+    """As _plain, with paragraphs of medium length and a line below the links."""
+    p.links(3, 5, 2)
+    for _ in range(p.some(2, 6)):
+        p.text(12, 40)
+    p.links(2, 5, 3)
+    p.text(3, 9, "div", "0")
+
+
+def _adverts(p: Layout) -> None:
+    """Class words on containers; adverts and notices as long as paragraphs."""
+    p.text(5, 50, 'div class="notice"', "0")
+    p.put("<article>", "")
+    p.text(1, 8, "h2")
+    for _ in range(p.some(2, 5)):
+        p.text(1, 90)
+        if p.random.random() < 0.5:
+            p.text(4, 60, 'div class="ad"', "0")
+    p.text(2, 70)
+    p.put("</article>", "")
+    p.put("<section id=comments>", "")
+    for _ in range(p.some(1, 4)):
+        p.text(4, 60, "p", "0")
+    p.put("</section>", "")
+
+
+def _marked(p: Layout) -> None:
+    """Class words without an article element."""
+    p.links(3, 6, 2, '<div class="menu"><ul>', "</ul></div>")
+    p.text(20, 60, 'div class="sidebar"', "0")
+    for _ in range(p.some(2, 5)):
+        p.text(15, 90)
+        if p.random.random() < 0.4:
+            p.text(5, 55, 'div class="promo"', "0")
+    p.text(20, 80)
+    p.text(4, 40, "form", "0")
+    p.text(3, 40, "footer", "0")
+
+
+def _main(p: Layout) -> None:
+    """A main element with short entries; lines of any length outside of it."""
+    p.text(2, 30, "div", "0")
+    p.put("<main>", "")
+    p.text(1, 5, "h1")
+    for _ in range(p.some(2, 7)):
+        p.text(1, 9, "li")
+    p.prose(1, 3)
+    p.put("</main>", "")
+    p.text(2, 60, "div", "0")
+    p.links(1, 4, 5, "<div>", "</div>", "p")
+
+
+def _bare(p: Layout) -> None:
+    """An article with nothing around it, or short lines; single words between and at the end."""
+    if p.random.random() < 0.4:
+        p.text(1, 4, "header", "0")
+    p.put("<article>", "")
+    p.text(1, 14, "h1")
+    p.text(1, 14)
+    p.prose(1, 9)
+    p.text(1, 3)
+    p.text(60, 400)
+    if p.random.random() < 0.5:
+        p.text(1, 2)
+    else:
+        p.text(20, 60)
+        p.put(f"<p><a href=y>{_w(p.some(3, 9))}</a></p>", "1")
+        p.text(20, 60)
+    p.put("</article>", "")
+    if p.random.random() < 0.4:
+        p.put(f"<footer>{_w(p.some(1, 9))}</footer>", "0")
+
+
+def _short_story(p: Layout) -> None:
+    """An article of a heading and a few words between much longer other parts."""
+    p.links(3, 7, 2, "<nav><ul>", "</ul></nav>")
+    p.text(10, 80, 'div class="ad"', "0")
+    p.put("<article>", "")
+    p.text(1, 12, "h1")
+    for _ in range(p.some(1, 3)):
+        p.text(1, 25)
+    p.put("</article>", "")
+    if p.random.random() < 0.5:
+        p.text(1, 90, "div", "0")
+
+
+def _teasers(p: Layout) -> None:
+    """No article element; below the text other stories, each a link and some words of it."""
+    p.links(4, 9, 2)
+    p.text(3, 10, "h1")
+    for _ in range(p.some(2, 6)):
+        p.text(15, 150)
+    for _ in range(p.some(3, 6)):
+        p.put(f"<h3><a href=z>{_w(p.some(3, 9))}</a></h3>", "0")
+        p.text(10, 40, "p", "0")
+    p.put(f"<h3><a href=z>{_w(p.some(3, 9))}</a></h3>", "0")
+    p.text(2, 9, "div", "0")
+
+
+def _hub(p: Layout) -> None:
+    """Link lists with short headings and nothing to read."""
+    for _ in range(p.some(2, 4)):
+        p.text(1, 4, "h2", "0")
+        p.links(3, 7, 8)
+    p.text(2, 6, "div", "0")
+
+
+LAYOUTS = (_news, _news_with_related, _plain, _plain_short, _adverts, _marked, _main, _bare, _short_story, _teasers, _hub)
+
+
+def labelled_pages(each: int = 60, seed: int = 1) -> list[tuple[str, str]]:
+    """The labelled table: ``each`` pages of every layout."""
+    out = []
+    for i in range(each):
+        for j, layout in enumerate(LAYOUTS):
+            page = Layout(seed * 10_000 + i * len(LAYOUTS) + j)
+            layout(page)
+            out.append(page.page())
+    return out
 
-def _w(n: int, seed: str = "word") -> str:
-    return " ".join(f"{seed}{i}" for i in range(n))
-
-
-def _links(n: int, each: int = 1) -> str:
-    return "".join(f'<li><a href="/{i}">{_w(each)}</a></li>' for i in range(n))
-
-
-#: The labelled table: pages in small and the class of each of their blocks, 1 for main text.
-LABELLED: list[tuple[str, str]] = [
-    (f"<nav><ul>{_links(4)}</ul></nav><article><h1>{_w(5)}</h1><p>{_w(60)}</p><p>{_w(3)}</p><p>{_w(40)}</p></article><footer>{_w(12)}</footer>", "000011110"),
-    (f"<div class=ad>{_w(9)}</div><article><h1>{_w(1)}</h1><p>{_w(1)}</p><p>{_w(200)}</p></article><footer>&copy; {_w(4)}</footer>", "01110"),
-    (f"<header>{_w(3)}</header><main><p>{_w(90)}</p><p>{_w(20)} <a>{_w(6)}</a> {_w(20)}</p></main><aside>{_w(30)}</aside>", "0110"),
-    (f"<div>{_w(2)}</div><div><a>{_w(3)}</a></div><div><p>{_w(70)}</p><p>{_w(80)}</p><p>{_w(25)}</p></div><div><a>{_w(4)}</a> <a>{_w(2)}</a></div><div>{_w(4)}</div>", "0011100"),
-    (f"<div class=sidebar>{_w(50)}<p><a>{_w(5)}</a></p></div><article><p>{_w(30)}</p><p><a>{_w(4)}</a></p><p>{_w(35)}</p><div class=share><a>{_w(1)}</a></div></article>", "001110"),
-    (f"<form>{_w(6)}<label>{_w(2)}</label></form><article><h2>{_w(4)}</h2><p>{_w(15)}</p><p>{_w(11)}</p></article><div id=comments><p>{_w(40)}</p><p>{_w(25)}</p></div>", "0011100"),
-    (f"<div><a>{_w(1)}</a> | <a>{_w(1)}</a> | <a>{_w(2)}</a></div><div>{_w(45)}</div><div>{_w(6)}</div><div>{_w(55)}</div><div><a>{_w(8)}</a></div>", "01110"),
-    (f"<div class='cookie-notice'>{_w(35)}</div><nav>{_w(8)}</nav><article><p>{_w(2)}</p></article><footer><p>{_w(28)}</p></footer>", "0010"[:2] + "10"),
-    (f"<article><p>{_w(50)}</p><div class=ad>{_w(20)}</div><p>{_w(50)}</p><section class=comments><p>{_w(60)}</p></section></article>", "1010"),
-    (f"<ul>{_links(3, 2)}</ul><div>{_w(100)}</div><ul>{_links(3, 4)}</ul>", "0001000"),
-    (f"<main><h1>{_w(8)}</h1><p>{_w(3)}</p></main><div>{_w(18)}</div><div><a>{_w(12)}</a></div>", "1100"),
-    (f"<article><h1>{_w(2)}</h1><p>{_w(1)}</p><p>{_w(2)}</p><p>{_w(3)}</p><p>{_w(30)}</p><p>{_w(2)}</p></article><p>{_w(3)}</p><p>{_w(2)}</p>", "11111100"),
-    (f"<div><a>{_w(2)}</a></div><p>{_w(38)}</p><p>{_w(44)}</p><p><a>{_w(1)}</a></p><p><a>{_w(2)}</a> {_w(1)}</p>", "01100"),
-    (f"<p>{_w(35)}</p><p><a>{_w(5)}</a></p>", "10"),
-    (f"<div class=notice>{_w(5)}</div><p>{_w(66)}</p><div class=ad>{_w(4)}</div><p>{_w(58)}</p><p>{_w(7)}</p><p>{_w(61)}</p>", "010111"),
-    (f"<header>{_w(2)}</header><p>{_w(77)}</p><p>{_w(8)}</p><p>{_w(59)}</p><form>{_w(8)}</form><p>{_w(71)}</p>", "011101"),
-    (f"<p><a>{_w(2)}</a></p><p>{_w(41)}</p><p>{_w(42)}</p><p>{_w(9)}</p><p>{_w(33)}</p><p><a>{_w(1)}</a></p>", "011110"),
-    (f"<aside>{_w(64)}</aside><p>{_w(12)}</p><p>{_w(26)}</p><div class=ad>{_w(55)}</div><p>{_w(18)}</p><footer><p>{_w(70)}</p><p>{_w(48)}</p></footer>", "0110100"),
-    (f"<div id=sidebar><p>{_w(45)}</p></div><p>{_w(22)}</p><p>{_w(75)}</p><form>{_w(50)}</form><p>{_w(16)}</p><div class=menu><a>{_w(44)}</a></div>", "011010"),
-    (f"<article><p>{_w(44)}</p><p><a>{_w(5)}</a></p><p>{_w(2)}</p></article>", "111"),
-    (f"<p>{_w(2)}</p><article><p>{_w(4)}</p><p>{_w(1)}</p></article><p>{_w(1)}</p>", "0110"),
-    (f"<div>{_w(3)}</div><main><h2>{_w(3)}</h2><p>{_w(5)}</p><p>{_w(2)}</p></main><footer>{_w(3)}</footer>", "01110"),
-    (f"<p>{_w(30)}</p><p>{_w(12)}</p><article><p>{_w(2)}</p><p>{_w(2)}</p><p>{_w(6)} <a>{_w(3)}</a></p></article><p>{_w(40)}</p>", "001110"),
-]
-
-
-def train(labelled: list[tuple[str, str]] = LABELLED, depth: int = 6) -> Tree:
+
+def rows(labelled: list[tuple[str, str]]) -> tuple[np.ndarray, np.ndarray]:
+    """Features and classes of labelled pages."""
     x, y = [], []
     for page, labels in labelled:
         found = blocks(page)
@@ -229,7 +432,11 @@ def train(labelled: list[tuple[str, str]] = LABELLED, depth: int = 6) -> Tree:
             raise ValueError(f"{len(found)} blocks, {len(labels)} labels: {page[:80]}")
         x.append(features(found))
         y += [int(c) for c in labels]
-    return Tree(np.concatenate(x), np.array(y), depth)
+    return np.concatenate(x), np.array(y)
+
+
+def train(labelled: list[tuple[str, str]] | None = None, depth: int = 12) -> Tree:
+    return Tree(*rows(labelled_pages() if labelled is None else labelled), depth)
 
 
 def main_text(page: str, tree: Tree) -> str:
@@ -237,12 +444,12 @@ def main_text(page: str, tree: Tree) -> str:
     return "\n".join(b.text for b, yes in zip(found, tree.predict(features(found))) if yes) if found else ""
 
 
-def extract(pages: DataFrame, page: str = "page_id", url: str = "url", html: str = "html", labelled: list[tuple[str, str]] = LABELLED) -> DataFrame:
+def extract(pages: DataFrame, page: str = "page_id", url: str = "url", html: str = "html", labelled: list[tuple[str, str]] | None = None) -> DataFrame:
     """(page_id, url, text, n_chars) per row of ``pages``."""
     schema = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("text", pa.string()), ("n_chars", pa.int64())])
+    tree = train(labelled)  # a few dozen numbers, sent with the function
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree = train(labelled)
         for batch in batches:
             for start in range(0, batch.num_rows, 256):
                 part = batch.slice(start, 256)
