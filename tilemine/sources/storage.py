@@ -5,17 +5,22 @@ from __future__ import annotations
 import tempfile
 import time
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 _own_folder: list[str] = []
+#: Paths of the tables parked inside each open park_only.
+_parked: list[list[str]] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir; a folder of this process only where that is unset (tests)."""
+    """spark.checkpoint.dir; where that is unset a folder of this process, which only a local master can share."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir is unset: executors on other machines would not see each other's tables")
     if not _own_folder:
         _own_folder.append("file://" + tempfile.mkdtemp(prefix="shared-"))
     return _own_folder[0]
@@ -24,10 +29,32 @@ def shared_folder(spark: SparkSession) -> str:
 def park(df: DataFrame, label: str) -> DataFrame:
     """Write a table to the shared folder and read it: cuts lineage, survives lost executors."""
     path = f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
+    if _parked:
+        _parked[-1].append(path)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    """Delete a file or folder of any file system that the session knows."""
+    there = spark._jvm.org.apache.hadoop.fs.Path(path)
+    there.getFileSystem(spark._jsc.hadoopConfiguration()).delete(there, True)
+
+
+def park_only(spark: SparkSession, make: Callable[[], DataFrame], label: str) -> DataFrame:
+    """Park what ``make`` gives and delete the tables that it parked on its way."""
+    _parked.append([])
+    try:
+        out = park(make(), label)
+        mine = _parked[-1].pop()
+    finally:
+        for path in _parked.pop():
+            delete(spark, path)
+    if _parked:
+        _parked[-1].append(mine)
+    return out
+
+
 def write(df: DataFrame, path: str, partition_by: list[str] | None = None, max_records: int = 1_000_000, sort_by: list[str] | None = None, replication: int | None = None) -> None:
     """Descriptor or index tables as Parquet; ``replication`` is passed to the file system of the session."""
     if replication:
