@@ -59,6 +59,37 @@ def test_lines_repeated_rows_are_one_document(docs):
     assert [r.n_removed for r in L.report(df).collect()] == [0, 0]
 
 
+def test_rows_of_one_id_lose_only_what_stands_earlier(docs):
+    """What is found in a row is deleted in it alone; rows of one id are none earlier than the other."""
+    df = docs([(1, "a\nb\nc"), (5, "a\nb\nc\nz"), (5, "p\nq\nr\ns"), (5, "p\nq\nr\ns"), (None, "p\nq\nr\nt"), (6, "z\np\nq\nr")])
+    assert sorted(r.text for r in L.deduplicate(df).collect()) == sorted(["a\nb\nc", "z", "s", "s", "p\nq\nr\nt", "z"])
+    df = docs([(1, "a\nb\nc"), (5, "a\nb\nc\nz"), (5, "p\nq\nr\ns")])
+    assert sorted(r.text for r in L.deduplicate(df).collect()) == ["a\nb\nc", "p\nq\nr\ns", "z"]
+
+
+def test_lines_with_clashing_columns(spark):
+    names = "__text __k __key __lines __gone __places __runs row runs lines gone places counted within left t k fp at start n key again first".split()
+    df = spark.createDataFrame([(i, t, *[f"{c}{i}" for c in names]) for i, t in ((1, "a\nb\nc\nd"), (2, "x\na\nb\nc"))], "doc_id long, text string, " + ", ".join(f"`{c}` string" for c in names))
+    out = {r.doc_id: r for r in L.deduplicate(df).collect()}
+    assert out[2].text == "x" and out[1].text == "a\nb\nc\nd" and all(out[i][c] == f"{c}{i}" for i in out for c in names)
+    assert L.deduplicate(df).columns == df.columns and L.report(df).count() == 2
+
+
+def test_matches_extend_both_ways_from_their_fingerprint(docs):
+    shared = "\n".join(f"line {i}" for i in range(40))
+    df = docs([(1, "head\n" + shared), (2, "one\ntwo\n" + shared + "\nthree"), (3, "\n".join(shared.split("\n")[7:29]))])
+    assert sorted((r.doc_id, r.text) for r in L.deduplicate(df).collect()) == [(1, "head\n" + shared), (2, "one\ntwo\nthree")]
+    runs = {r.k: sorted((x["from"], x["to"]) for x in r.runs) for r in L.repeated(df).collect()}
+    assert set(runs) == {2, 3} and min(a for a, _ in runs[2]) == 2 and max(b for _, b in runs[2]) == 42
+    assert any(b - a > L.WINDOW for a, b in runs[2]) and all(b - a <= 2 * L.WINDOW - 1 for a, b in runs[2])
+
+
+def test_a_very_long_text(docs):
+    lines = [f"l{i}" for i in range(200_000)]
+    got = L.report(docs([(1, "\n".join(lines)), (2, "\n".join(lines[50_000:150_000]) + "\nend")]))
+    assert sorted((r.doc_id, r.n_lines, r.n_removed) for r in got.collect()) == [(1, 200_000, 0), (2, 100_001, 100_000)]
+
+
 def test_lines_use_no_python(docs):
     plan = L.report(docs([(1, "a")]))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan

@@ -1,9 +1,11 @@
+import os
+
 import duckdb
 import pytest
 
 import __spark_entry__ as E
 import corpus_pipeline as C
-from tilemine.llm import decontaminate as D, lines as L, pieces as P, quality as Q, simhash as S
+from tilemine.llm import common, decontaminate as D, lines as L, pieces as P, quality as Q, simhash as S
 
 
 def test_stages_keep_columns_and_run(spark, sf):
@@ -11,16 +13,16 @@ def test_stages_keep_columns_and_run(spark, sf):
     assert [n for n, _ in C.STAGES] == ["quality_rules", "line_dedup", "simhash_near_dedup", "decontamination", "sentencepiece"]
     for name, stage in C.STAGES[:-1]:
         assert stage(spark, docs.limit(20), sf).columns == docs.columns, name
-    assert C.run(spark, sf).columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+    assert C.run(spark, sf).columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "ids"]
 
 
 def test_run_is_the_stages_one_after_another(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     good = docs.join(Q.assess(docs).where("kept").select("doc_id"), "doc_id").cache()
     rows = {r.doc_id: r for r in good.collect()}
-    from test_lines_substrings import brute_lines
+    from test_long_lines import brute_long
 
-    gone = brute_lines([(i, r.text) for i, r in rows.items()], L.WINDOW)
+    gone = brute_long([(i, r.text) for i, r in rows.items()], L.WINDOW, L.LONG_WORDS)
     texts = {}
     for i, r in rows.items():
         parts = r.text.split("\n")
@@ -32,10 +34,46 @@ def test_run_is_the_stages_one_after_another(spark, sf):
     fps = [(i, brute(t)) for i, t in sorted(texts.items())]
     kept = {i for (i, _), c in zip(fps, classes(fps)) if i == c}
     frame = spark.createDataFrame([(i, texts[i]) for i in kept], "doc_id long, text string")
-    want = P.digests(D.clean(frame, spark.read.parquet(f"{sf}/benchmark.parquet")))
+    want = P.digests(D.clean(frame, spark.read.parquet(f"{sf}/benchmark.parquet")), with_ids=True)
     assert sorted(map(tuple, C.run(spark, sf).collect())) == sorted(map(tuple, want.collect()))
 
 
+def edge_tables(spark, folder, rows):
+    names = "k t row body text_ __k __text ids runs".split()
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t or ""), *names) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"`{c}` string" for c in names))
+    docs.write.parquet(f"{folder}/documents.parquet")
+    spark.createDataFrame([("b", " ".join(f"item{i}" for i in range(30))), (None, None)], "item_id string, text string").write.parquet(f"{folder}/benchmark.parquet")
+    return docs
+
+
+def test_edges_pass_all_stages(spark, tmp_path):
+    """Nulls, empty and very long texts, repeated rows and ids, extra columns: each stage keeps the columns, and clean rows arrive."""
+    words = [" ".join(f"w{n}x{i}" for i in range(40)) for n in range(4)]
+    long = " ".join(f"long{i}" for i in range(60_000))
+    rows = [(None, None), (1, ""), (2, words[0]), (3, words[0]), (4, words[1]), (4, words[2]), (5, long), (None, words[3]), (6, " ".join(f"item{i}" for i in range(30)))]
+    docs = edge_tables(spark, tmp_path, rows)
+    at = docs
+    for _, stage in C.STAGES[:-1]:
+        at = C.park_only(spark, lambda at=at, stage=stage: stage(spark, at, str(tmp_path)), "edges")
+        assert at.columns == docs.columns
+    assert sorted((str(r.doc_id), r.text[:4]) for r in at.collect()) == [("2", "w0x0"), ("4", "w1x0"), ("4", "w2x0"), ("5", "long"), ("None", "w3x0")]
+    out = C.run(spark, str(tmp_path)).collect()
+    assert len(out) == 5 and all(len(r.ids) == r.n_tokens for r in out)
+    assert sorted(P.decoded(C.run(spark, str(tmp_path))).select("text").toPandas()["text"]) == sorted([words[0], words[1], words[2], words[3], long])
+
+
+def test_empty_table_passes_all_stages(spark, tmp_path):
+    edge_tables(spark, tmp_path, [])
+    assert C.run(spark, str(tmp_path)).count() == 0
+
+
+def test_a_run_leaves_its_stages_only(spark, sf):
+    folder = common.shared_folder(spark).removeprefix("file://")
+    before = set(os.listdir(folder))
+    C.run(spark, sf).count()
+    assert sorted(n.rpartition("-")[0] for n in set(os.listdir(folder)) - before) == sorted(f"pipeline-{n}" for n, _ in C.STAGES)
+
+
 @pytest.mark.parametrize("name", sorted(n for n in E.oracle_sql() if n.startswith("op")))
 def test_queries_against_sql(spark, sf, name):
     con = duckdb.connect()

@@ -1,52 +1,29 @@
-"""Shared helpers of the text operators: shared-folder tables, sizes, byte-level words.
+"""Shared helpers of the text operators: ids, byte-level words, batches; tables come from ``sources``.
 
 ``park`` writes a DataFrame as a Parquet table in the folder that the cluster names in
 ``spark.checkpoint.dir`` and reads it back.  It cuts the lineage with files that every
-executor can read, so a lost executor costs no more than the tasks it was running.
+executor can read, so a lost executor costs no more than the tasks it was running.  ``park_only``
+also deletes the tables that were parked on the way.
 """
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
+
+from tilemine.sources.archives import table  # noqa: F401
+from tilemine.sources.storage import delete, park, park_only, shared_folder  # noqa: F401
 
 #: Null document ids sort before all others and are one document.
 NULL_ID = -(2**63)
-_own_folder: list[str] = []
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a folder of this process only where that is unset (tests)."""
-    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if named:
-        return named.rstrip("/")
-    if not _own_folder:
-        _own_folder.append("file://" + tempfile.mkdtemp(prefix="shared-"))
-    return _own_folder[0]
-
-
-def park(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder and return a reader of the written table."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
 
 
 def remove(df: DataFrame) -> None:
     """Delete the files of a parked table that nothing reads any more."""
-    spark = df.sparkSession
     for name in {f.rpartition("/")[0] for f in df.inputFiles()}:
-        path = spark._jvm.org.apache.hadoop.fs.Path(name)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+        delete(df.sparkSession, name)
 
 
 def id_key(column: str = "doc_id") -> Column:

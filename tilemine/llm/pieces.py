@@ -84,42 +84,35 @@ def decode(sp: sentencepiece.SentencePieceProcessor, ids: list[int]) -> str:
     return sp.decode(ids) if ids else ""
 
 
-def digests(docs: DataFrame, model: str = MODEL) -> DataFrame:
-    """Per row: number of ids and SHA-256 of the comma-joined ids and of the decoded text."""
-    schema = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string())])
+def digests(docs: DataFrame, model: str = MODEL, with_ids: bool = False) -> DataFrame:
+    """Per row: number of ids, SHA-256 of the comma-joined ids and of the decoded text, and the ids themselves if wanted."""
+    fields = [("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string())]
+    schema = pa.schema(fields + [("ids", pa.list_(pa.int32()))] * with_ids)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sp = load(model)
         chunks = Chunks(sp)
 
         def rows(x: dict[str, list]) -> dict[str, list]:
-            out: dict[str, list] = {"doc_id": x["doc_id"], "n_tokens": [], "ids_sha256": [], "decoded_sha256": []}
+            out: dict[str, list] = {"doc_id": x["doc_id"], "n_tokens": [], "ids_sha256": [], "decoded_sha256": [], "ids": []}
             for body in x["body"]:
                 ids, shown = chunks.encode(body.decode())
                 flat = [i for c in ids for i in c]
                 out["n_tokens"].append(len(flat))
                 out["ids_sha256"].append(hashlib.sha256(",".join(shown).encode()).hexdigest())
                 out["decoded_sha256"].append(hashlib.sha256(decode(sp, flat).encode()).hexdigest())
+                if with_ids:
+                    out["ids"].append(np.array(flat, np.int32))
             return out
 
         yield from by_batch(rows, schema)(batches)
 
-    return id_and_bytes(docs).mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return id_and_bytes(docs).mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)
 
 
 def encoded(docs: DataFrame, model: str = MODEL) -> DataFrame:
     """(doc_id, ids): the ids themselves, one row per row of ``docs``."""
-    schema = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        chunks = Chunks(load(model))
-
-        def rows(x: dict[str, list]) -> dict[str, list]:
-            return {"doc_id": x["doc_id"], "ids": [np.fromiter((i for c in chunks.encode(b.decode())[0] for i in c), np.int32) for b in x["body"]]}
-
-        yield from by_batch(rows, schema)(batches)
-
-    return id_and_bytes(docs).mapInArrow(run, "doc_id long, ids array<int>")
+    return digests(docs, model, with_ids=True).select("doc_id", "ids")
 
 
 def decoded(tokens: DataFrame, model: str = MODEL) -> DataFrame:
