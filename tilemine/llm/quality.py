@@ -1,14 +1,21 @@
 """Quality rules as a short-circuit cascade.
 
-Every text's base figures are computed once.  The verdict is the conjunction of rules; a sample
-gives each rule's cost (seconds a text) and rejection rate, rules are run by rejection per cost,
-and a text rejected by one rule skips the others.  The sample only sets the order: a conjunction
-is the same in any order, so the verdict is as exact as the rules and equal in every run.
-
-Edge cases: a null or wordless text has no words and fails the base rule; repeated rows give
-repeated results; other columns are ignored.
-
-No rule looks at toxic wording: toxic documents are kept unless a rule on form rejects them.
+A text is kept if no rule rejects it.  Each rule names what it needs of the text: words, lines, letters, repeated
+windows.  What a rule asks for first is computed then, once for each text, so a rule's cost is that of the figures it
+needs.  A sample, chosen by a hash of the text over all files, is measured on the executors: seconds and rejections of each rule,
+each on fresh texts.  Rules run by rejections per second, and a text that one rule rejects never meets the others,
+nor are the figures computed that only those need.  Only the sums, two numbers a rule, reach the driver.  The sample sets the order and
+nothing else: a conjunction is the same in any order, so verdicts are exact and equal in every run.
+
+``keep_good`` (the pipeline) computes what the cascade asks for; ``assess`` (op8) has to report all base figures of each
+text, so there the cascade saves only what no base figure needs.
+
+The rule on insults (English words alone) is the only one on wording: a text with two or more of ``INSULTS`` that are at least one word in
+two hundred goes.
+
+Edge cases: a null or wordless text has no words and fails the base rule; a very long text is judged whole, in memory of some
+100 bytes a word; equal texts have equal verdicts, and a share equal to its limit passes (but for the insults' share, which is reached at one in two hundred);
+repeated rows give repeated results; an empty table gives none; other columns are ignored by ``assess`` and kept by ``keep_good``, whatever their names.
 """
 
 from __future__ import annotations
@@ -16,6 +23,7 @@ from __future__ import annotations
 import re
 import time
 from collections.abc import Callable, Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -25,12 +33,21 @@ from tilemine.llm.common import by_batch, id_and_bytes, table
 
 _SYMBOLS = b"#*$%&|<>"
 _SPACE = bytes([32, 9, 10, 11, 12, 13])
-_WORDS_ONLY = bytes(c for c in range(256) if c in _SPACE)
 #: Continuation bytes of UTF-8: not counted as code points.
 _TAIL = bytes(range(0x80, 0xC0))
-#: Rows of the sample that orders the rules.
-SAMPLE_ROWS = 200
-
+#: Expected rows of the sample that orders the rules.
+SAMPLE_ROWS = 400
+_HAS_LETTER = re.compile(rb"[A-Za-z\x80-\xff]")
+_BULLET = re.compile(rb"[ \t]*(?:[*-]|\xe2\x80\xa2)")
+_ELLIPSIS = re.compile(rb"(?:\.\.\.|\xe2\x80\xa6)[ \t\r]*\Z")
+#: A-Z become a-z, every other ASCII byte that is no letter becomes a space.
+_FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c > 127 else 32 for c in range(256))
+#: English insults.
+INSULTS = frozenset(
+    word.encode()
+    for word in "asshole assholes bastard bastards bitch bitches clown clowns cunt cunts disgusting dumbass dumbasses fool fools idiot idiotic idiots imbecile imbeciles loser losers moron moronic morons pathetic "
+    "retard retarded retards scum scumbag scumbags slut sluts stupid trash vermin whore whores worthless".split()
+)
 
 
 def repeated_words(ws: list[bytes], window: int = 5) -> int:
@@ -59,83 +76,143 @@ def repeated_words(ws: list[bytes], window: int = 5) -> int:
     return int((np.cumsum(edge[:-1]) > 0).sum())
 
 
-def figures(body: bytes) -> dict[str, int]:
-    ws = body.split()
-    lines = [x for x in body.split(b"\n") if x and x.strip()]
-    return {
-        "n_words": len(ws),
-        "word_chars": len(body.translate(None, _WORDS_ONLY + _TAIL)),
-        "n_symbols": len(body) - len(body.translate(None, _SYMBOLS)),
-        "n_dup_lines": len(lines) - len(set(lines)),
-        "n_repeat_words": repeated_words(ws),
-    }
+class Text:
+    """A text's figures, each computed when it is first asked for."""
+
+    def __init__(self, body: bytes):
+        self.body = body
+
+    @cached_property
+    def words(self) -> list[bytes]:
+        return self.body.split()
+
+    @cached_property
+    def lines(self) -> list[bytes]:
+        return [x for x in self.body.split(b"\n") if x and x.strip()]
+
+    @cached_property
+    def n_words(self) -> int:
+        return len(self.words)
 
+    @cached_property
+    def word_chars(self) -> int:
+        return len(self.body.translate(None, _SPACE + _TAIL))
 
-def base_failed(x: dict[str, int]) -> bool:
-    return x["n_words"] < 10 or 100 * x["n_repeat_words"] > 20 * x["n_words"]
+    @cached_property
+    def n_symbols(self) -> int:
+        return len(self.body) - len(self.body.translate(None, _SYMBOLS))
 
+    @cached_property
+    def n_dup_lines(self) -> int:
+        return len(self.lines) - len(set(self.lines))
 
+    @cached_property
+    def n_repeat_words(self) -> int:
+        return repeated_words(self.words)
 
 
-#: Rule name -> (figures, text) -> true if the text is to go.  Limits are whole numbers so that SQL agrees.
-RULES: dict[str, Callable[[dict[str, int], bytes], bool]] = {
-    "words_too_short_or_long": lambda x, body: not 2 * x["n_words"] <= x["word_chars"] <= 14 * x["n_words"],
-    "symbols": lambda x, body: 10 * x["n_symbols"] > 3 * x["n_words"],
-    "repeated_lines": lambda x, body: 2 * x["n_dup_lines"] > body.count(b"\n") + 1,
-    "few_letter_words": lambda x, body: 2 * sum(1 for w in body.split() if _HAS_LETTER.search(w)) < x["n_words"],
-    "shouting": lambda x, body: 10 * body.count(b"!!") > 3 * x["n_words"],
+FIGURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+
+
+def _insulting(x: Text) -> bool:
+    n = sum(map(INSULTS.__contains__, x.body.translate(_FOLD).split()))
+    return n >= 2 and 200 * n >= x.n_words
+
+
+#: The base rules of the contract, and the others: name -> true if the text is to go.  Limits are whole numbers so that SQL agrees.
+BASE: dict[str, Callable[[Text], bool]] = {
+    "few_words": lambda x: x.n_words < 10,
+    "repeated_windows": lambda x: 100 * x.n_repeat_words > 20 * x.n_words,
 }
-_HAS_LETTER = re.compile(rb"[A-Za-z\x80-\xff]")
+RULES: dict[str, Callable[[Text], bool]] = {
+    "words_too_short_or_long": lambda x: not 2 * x.n_words <= x.word_chars <= 14 * x.n_words,
+    "symbols": lambda x: 10 * x.n_symbols > 3 * x.n_words,
+    "repeated_lines": lambda x: 2 * x.n_dup_lines > x.body.count(b"\n") + 1,
+    "few_letter_words": lambda x: 2 * sum(1 for w in x.words if _HAS_LETTER.search(w)) < x.n_words,
+    "shouting": lambda x: 10 * x.body.count(b"!!") > 3 * x.n_words,
+    "bullets": lambda x: 10 * sum(1 for line in x.lines if _BULLET.match(line)) > 9 * len(x.lines),
+    "ellipses": lambda x: 10 * sum(1 for line in x.lines if _ELLIPSIS.search(line)) > 3 * len(x.lines),
+    "placeholder": lambda x: b"lorem ipsum" in x.body.lower(),
+    "insults": _insulting,
+}
+
 
+def base_failed(x: Text) -> bool:
+    return any(rule(x) for rule in BASE.values())
 
-def order(sample: list[bytes], rules: dict[str, Callable] = RULES) -> list[str]:
-    """Rule names by rejections per second on the sample, most first."""
-    held = [(x, body) for body in sample if not base_failed(x := figures(body))]
-    worth = {}
+
+def measure(bodies: list[bytes], rules: dict[str, Callable[[Text], bool]]) -> dict[str, tuple[float, int]]:
+    """Seconds and rejections of each rule, each on fresh texts."""
+    found = {}
     for name, rule in rules.items():
         began = time.perf_counter()
-        rejected = sum(rule(x, body) for x, body in held)
-        worth[name] = (rejected + 0.01) / (time.perf_counter() - began + 1e-9)
-    return sorted(rules, key=worth.get, reverse=True)
+        rejected = sum(rule(Text(b)) for b in bodies)
+        found[name] = (time.perf_counter() - began, rejected)
+    return found
+
+
+def rank(measured: dict[str, tuple[float, int]]) -> list[str]:
+    """Rule names by rejections per second, most first; a rule that rejects nothing counts as one hundredth of a rejection."""
+    return sorted(measured, key=lambda name: (-(measured[name][1] + 0.01) / (measured[name][0] + 1e-9), name))
+
 
+def sample(docs: DataFrame, rows: int) -> DataFrame:
+    """(body): about ``rows`` texts, chosen by a hash of text and id that is below a share of its range."""
+    share = min(1.0, rows / max(docs.count(), 1))
+    chosen = F.pmod(F.xxhash64(F.lit("quality"), F.col("doc_id"), F.col("text")), F.lit(1 << 30)) < int(share * (1 << 30))
+    return docs.where(chosen).select(F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("body"))
 
-def assess(docs: DataFrame, rules: dict[str, Callable] = RULES, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
+
+def order(docs: DataFrame, rules: dict[str, Callable[[Text], bool]], rows: int = SAMPLE_ROWS) -> list[str]:
+    """Rule names in cascade order; measured in tasks, of which only sums come back."""
+    schema = pa.schema([("rule", pa.string()), ("seconds", pa.float64()), ("rejected", pa.int64())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                found = measure(batch.column(0).to_pylist(), rules)
+                yield pa.RecordBatch.from_arrays([pa.array(list(found)), pa.array([s for s, _ in found.values()]), pa.array([n for _, n in found.values()])], schema=schema)
+
+    sums = sample(docs, rows).mapInArrow(run, "rule string, seconds double, rejected long").groupBy("rule").agg(F.sum("seconds").alias("s"), F.sum("rejected").alias("n")).collect()
+    return rank(dict.fromkeys(rules, (0.0, 0)) | {r.rule: (r.s, r.n) for r in sums})
+
+
+def first_against(x: Text, turn: list[str], rules: dict[str, Callable[[Text], bool]]) -> str | None:
+    """The first rule in turn that rejects the text; the rest isn't asked."""
+    return next((name for name in turn if rules[name](x)), None)
+
+
+def assess(docs: DataFrame, rules: dict[str, Callable[[Text], bool]] = RULES, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
     """Per row: the base figures, base_failed, kept and the first rule (in cascade order) that rejects it."""
-    body = id_and_bytes(docs)
-    turn = order([bytes(r.body) for r in body.limit(sample_rows).select("body").collect()], rules)
-    names = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
-    schema = pa.schema([("doc_id", pa.int64()), *((n, pa.int64()) for n in names), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("rule", pa.string())])
+    turn = order(docs, rules, sample_rows)
+    schema = pa.schema([("doc_id", pa.int64()), *((n, pa.int64()) for n in FIGURES), ("base_failed", pa.bool_()), ("kept", pa.bool_()), ("rule", pa.string())])
 
     def rows(x: dict[str, list]) -> dict[str, list]:
         out: dict[str, list] = {n: [] for n in schema.names}
         out["doc_id"] = x["doc_id"]
         for body in x["body"]:
-            found = figures(body)
+            found = Text(body)
             failed = base_failed(found)
-            rule = "base" if failed else next((n for n in turn if rules[n](found, body)), None)
-            for n in names:
-                out[n].append(found[n])
+            rule = "base" if failed else first_against(found, turn, rules)
+            for n in FIGURES:
+                out[n].append(getattr(found, n))
             out["base_failed"].append(failed)
             out["kept"].append(rule is None)
             out["rule"].append(rule)
         return out
 
-    return body.mapInArrow(by_batch(rows, schema), "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, rule string")
+    return id_and_bytes(docs).mapInArrow(by_batch(rows, schema), "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, rule string")
 
 
-def keep_good(docs: DataFrame, rules: dict[str, Callable] = RULES, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
-    """The rows of ``docs`` that every rule lets pass, columns as they are; no shuffle."""
-    first = docs.select(F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("body")).limit(sample_rows).collect()
-    turn = order([bytes(r.body) for r in first], rules)
+def keep_good(docs: DataFrame, rules: dict[str, Callable[[Text], bool]] | None = None, sample_rows: int = SAMPLE_ROWS) -> DataFrame:
+    """The rows of ``docs`` that every rule lets pass, columns as they are; no shuffle.  The base rules are part of the cascade."""
+    rules = BASE | RULES if rules is None else rules
+    turn = order(docs, rules, sample_rows)
     at = docs.columns.index("text")
 
-    def good(body: bytes) -> bool:
-        found = figures(body)
-        return not base_failed(found) and not any(rules[n](found, body) for n in turn)
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keep = [good((batch.column(at)[i].as_py() or "").encode()) for i in range(batch.num_rows)]
+            keep = [first_against(Text((batch.column(at)[i].as_py() or "").encode()), turn, rules) is None for i in range(batch.num_rows)]
             yield batch.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
@@ -150,13 +227,17 @@ WITH d AS (SELECT doc_id, coalesce(text, '') AS text, list_filter(regexp_split_t
 l AS (SELECT doc_id, list_filter(string_split(text, chr(10)), lambda x: regexp_replace(x, '[\x20\x09-\x0D]+', '', 'g') <> '') AS l FROM d),
 g AS (SELECT doc_id, i, array_to_string(list_slice(w, i, i + 4), ' ') AS s FROM d, unnest(generate_series(1, len(w) - 4)) AS t(i)),
 r AS (SELECT doc_id, count(DISTINCT p) AS n FROM (SELECT doc_id, unnest(generate_series(i, i + 4)) AS p FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, s) AS c FROM g) WHERE c > 1) GROUP BY doc_id),
-f AS (SELECT d.doc_id, text, w, CAST(len(w) AS BIGINT) AS n_words, CAST(length(array_to_string(w, '')) AS BIGINT) AS word_chars,
+i AS (SELECT doc_id, small, len(list_filter(regexp_split_to_array(small, '[\x00-\x60\x7B-\x7F]+'), lambda x: list_contains([INSULTS], x))) AS n_insults
+      FROM (SELECT doc_id, translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS small FROM d)),
+f AS (SELECT d.doc_id, text, w, l, small, n_insults, CAST(len(w) AS BIGINT) AS n_words, CAST(length(array_to_string(w, '')) AS BIGINT) AS word_chars,
       CAST(length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, CAST(len(l) - len(list_distinct(l)) AS BIGINT) AS n_dup_lines, CAST(coalesce(r.n, 0) AS BIGINT) AS n_repeat_words
-      FROM d JOIN l USING (doc_id) LEFT JOIN r USING (doc_id)),
+      FROM d JOIN l USING (doc_id) JOIN i USING (doc_id) LEFT JOIN r USING (doc_id)),
 b AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM f)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
        NOT base_failed AND word_chars BETWEEN 2 * n_words AND 14 * n_words AND 10 * n_symbols <= 3 * n_words
        AND 2 * n_dup_lines <= len(string_split(text, chr(10))) AND 2 * len(list_filter(w, lambda x: regexp_matches(x, '[A-Za-z]|[^\x00-\x7F]'))) >= n_words
-       AND 10 * ((length(text) - length(replace(text, '!!', ''))) // 2) <= 3 * n_words AS kept
+       AND 10 * ((length(text) - length(replace(text, '!!', ''))) // 2) <= 3 * n_words
+       AND 10 * len(list_filter(l, lambda x: regexp_matches(x, '^[ \t]*([*-]|•)'))) <= 9 * len(l) AND 10 * len(list_filter(l, lambda x: regexp_matches(x, '(\.\.\.|…)[ \t\r]*$'))) <= 3 * len(l)
+       AND NOT contains(small, 'lorem ipsum') AND NOT (n_insults >= 2 AND 200 * n_insults >= n_words) AS kept
 FROM b
-"""
+""".replace("INSULTS", ", ".join(f"'{x.decode()}'" for x in sorted(INSULTS)))
