@@ -82,14 +82,35 @@ def test_verdict_does_not_depend_on_the_order(docs, by_id):
     assert by_id(Q.assess(df), "doc_id", "kept") == by_id(Q.assess(df, back, 3), "doc_id", "kept")
     kept = {r.doc_id for r in Q.assess(df).collect() if r.kept}
     assert {r.doc_id for r in Q.keep_good(df).collect()} == kept and Q.keep_good(df).columns == df.columns
+    assert {r.doc_id for r in Q.keep_good(df, dict(reversed((Q.BASE | Q.RULES).items())), 1).collect()} == kept
     assert Q.assess(docs([])).count() == 0 and Q.keep_good(docs([])).count() == 0
 
 
 def test_cascade_puts_the_cheap_rejecting_rule_first():
     import time
 
-    rules = {"slow": lambda x, b: time.sleep(0.001) or True, "never": lambda x, b: False, "fast": lambda x, b: True}
-    assert Q.order([b"one two three four five six seven eight nine ten"] * 20, rules)[0] == "fast"
+    rules = {"slow": lambda x: time.sleep(0.001) or True, "never": lambda x: False, "fast": lambda x: True}
+    measured = Q.measure([b"one two three four five six seven eight nine ten"] * 20, rules)
+    assert Q.rank(measured)[0] == "fast" and measured["never"][1] == 0 and measured["slow"][1] == 20
+
+
+def test_a_rejected_text_never_meets_the_dear_figures():
+    x = Q.Text(b"### *** $$$ " * 50)
+    turn = ["symbols", "repeated_windows", "few_words"]
+    assert Q.first_against(x, turn, Q.BASE | Q.RULES) == "symbols"
+    assert "n_symbols" in x.__dict__ and "n_repeat_words" not in x.__dict__ and "lines" not in x.__dict__
+
+
+def test_rules_on_lines_and_wording(docs):
+    clean = " ".join(f"word{i}" for i in range(60))
+    texts = {1: clean, 2: "\n".join(f"- item{i} has word{i} and{i} more{i}" for i in range(9)), 3: "\n".join(f"some{i} words{i} here{i} go{i} on{i}..." for i in range(4)), 4: clean + " Lorem IPSUM dolor",
+             5: clean + " you IDIOT, you moron!", 6: clean + " an idiot", 7: " ".join(f"w{i}" for i in range(500)) + " idiot moron", 8: "• " + clean + "\n" + clean + " end", 9: clean.replace("word7 ", "ıdıot mörön ")}
+    assert {r.doc_id: r.rule for r in Q.assess(docs(list(texts.items()))).collect()} == {1: None, 2: "bullets", 3: "ellipses", 4: "placeholder", 5: "insults", 6: None, 7: None, 8: "base" if Q.base_failed(Q.Text(texts[8].encode())) else None, 9: None}
+
+
+def test_very_long_text_has_a_verdict(docs):
+    text = " ".join(f"word{i}" for i in range(300_000))
+    assert [(r.n_words, r.kept) for r in Q.assess(docs([(1, text)])).collect()] == [(300_000, True)]
 
 
 def test_language(spark, sf):
@@ -100,6 +121,27 @@ def test_language(spark, sf):
     letters = [r for r in held if any(c.isalpha() for c in r.text)]
     assert np.mean([r.lang == r.lang_pred for r in letters]) > 0.98
     assert all(0 <= r.score <= 1 for r in rows)
+    trusted = [r for r in letters if not r.rejected]
+    assert len(trusted) >= 0.9 * len(letters) and np.mean([r.lang == r.lang_pred for r in trusted]) >= np.mean([r.lang == r.lang_pred for r in letters])
+
+
+def test_rejection_keeps_known_languages_and_refuses_others(docs, spark, sf):
+    """Held-out pieces in learned languages pass at the fitted limit; strings of letters in none of them mostly do not, and what passes is right."""
+    source = spark.read.parquet(f"{sf.replace('0.001', '0.01')}/documents.parquet")
+    model = G.learn(source)
+    held = [r for r in source.where("lang IS NOT NULL AND text IS NOT NULL").collect() if zlib.crc32(str(r.doc_id).encode()) % 3 == 1]
+    pieces = [(r.lang, " ".join(r.text.split()[:25])) for r in held]
+    odd = ["xq zwk qqj vvx kzz wjq" * 3, "тест на другом языке совсем", "これは 日本語 の 文章 です", "zxcv qwrt plkj hgfd"] * 5
+    got = {r.doc_id: r for r in G.identify(docs([(i, t) for i, t in enumerate([t for _, t in pieces] + odd)]), model).collect()}
+    passed = [i for i in range(len(pieces)) if not got[i].rejected]
+    assert len(passed) >= 0.85 * len(pieces) and np.mean([got[i].lang_pred == pieces[i][0] for i in passed]) > 0.97
+    assert np.mean([got[len(pieces) + i].rejected for i in range(len(odd))]) >= 0.75
+
+
+def test_sample_is_bounded_by_bytes_and_equal_rows_are_one(spark):
+    df = spark.createDataFrame([(None, "der die das " * 50, "de")] * 300 + [(i, f"the of and {i} " * 50, "en") for i in range(300)], "doc_id long, text string, lang string")
+    assert G.learn(df, sample_rows=200).languages == ["de", "en"] or G.learn(df, sample_rows=200).languages == ["en"]
+    assert len(G.learn(df, sample_bytes=1).languages) <= 2
 
 
 def test_language_edges(docs):

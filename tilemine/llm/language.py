@@ -2,16 +2,17 @@
 
 A text's vector is the mean of the embeddings of its words' subwords (the word itself and its
 character n-grams, hashed to ``buckets``); a softmax over languages follows.  Both layers are
-trained by stochastic gradient descent in numpy on the driver, on a sample of at most
-``sample_rows`` labelled documents (whole texts, cut into pieces of different lengths so that short
+trained by stochastic gradient descent in numpy on the driver, on a sample of about
+``sample_rows`` labelled documents and at most about ``sample_bytes`` (whole texts, cut into pieces of different lengths so that short
 texts are learned too).  A part of the sample is kept out of the descent to fit the temperature that
-calibrates the scores and the score below which a prediction may be rejected.
+calibrates the scores and the score below which a prediction is rejected: the limit that rejects ``REJECTED_RIGHT`` of the right ones.
 
 To predict, embeddings and softmax are multiplied out once: each bucket has a row of class scores, a word's scores
 are kept in a table that is emptied at ``most_words``, and the text's are their mean.  One pass, no shuffle.
 
 Edge cases: texts that are null or have no letter are ``und`` with score 0, as is every text if no
-labelled row was given; rows with null labels are never learned from; repeated rows give repeated results; null ids are
+labelled row was given; of languages with equal scores the first by name is taken; a very long text is scored in pieces of
+50,000 words; an empty table gives an empty result; rows with null labels are never learned from; repeated rows give repeated results; null ids are
 held out of nothing (crc32 of null counts as 0); other columns are ignored.
 """
 
@@ -30,6 +31,10 @@ from tilemine.llm.common import id_and_bytes, table
 
 UNKNOWN = "und"
 SAMPLE_ROWS = 3000
+#: Expected bytes of the sample's texts.
+SAMPLE_BYTES = 32 << 20
+#: The share of right predictions on the kept-out part that the fitted limit may reject.
+REJECTED_RIGHT = 0.01
 BUCKETS = 1 << 16
 _WORD = re.compile(r"[^\W\d_]+")
 
@@ -105,7 +110,7 @@ def train(rows: list[tuple[str, str]], buckets: int = BUCKETS, width: int = 16,
     t = min(losses, key=losses.get)
     p = _softmax(z / t)
     right = p[np.arange(len(y)), y] == p.max(1)
-    reject = float(np.quantile(p.max(1)[right], 0.01)) if right.any() else 1.0
+    reject = float(np.quantile(p.max(1)[right], REJECTED_RIGHT)) if right.any() else 1.0
     return Model(languages, (embed @ out / t).astype(np.float32), (bias / t).astype(np.float32), reject)
 
 
@@ -146,29 +151,31 @@ def remainder(doc: str = "doc_id"):
     return F.pmod(F.coalesce(F.crc32(F.col(doc).cast("string")), F.lit(0)), F.lit(3))
 
 
-def learn(docs: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Model:
-    """Train on a sample of the labelled rows that are not held out: those whose id has a hash below a limit that lets
-    about ``sample_rows`` pass (the rows are counted first), at most twice as many.  Only these reach the driver."""
+def learn(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, sample_bytes: int = SAMPLE_BYTES) -> Model:
+    """Train on a sample of the labelled rows that are not held out: those whose id and text have a hash below a limit that lets
+    about ``sample_rows`` rows and ``sample_bytes`` of text pass (both are counted first).  Equal rows are one.  Only these reach the driver."""
     rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (remainder() != 1))
-    n = rows.select("doc_id").count()
-    share = min(1.0, sample_rows / max(n, 1))
-    some = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) < int(share * (1 << 30))).select("text", "lang", "doc_id").limit(2 * sample_rows).collect()
-    return train([(r.text, r.lang) for r in sorted(some, key=lambda r: (r.doc_id is not None, r.doc_id, r.text))])
+    n = rows.agg(F.count(F.lit(1)).alias("rows"), F.sum(F.octet_length("text")).alias("bytes")).first()
+    share = min(1.0, sample_rows / max(n.rows, 1), sample_bytes / max(n.bytes or 0, 1))
+    some = rows.where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30)) < int(share * (1 << 30))).select("text", "lang", "doc_id").distinct().collect()
+    return train([(r.text, r.lang) for r in sorted(some, key=lambda r: (r.doc_id is not None, r.doc_id, r.text, r.lang))])
 
 
-def identify(docs: DataFrame, model: Model, reject_below: float = 0.0) -> DataFrame:
-    """(doc_id, held_out, lang_pred, score) per row; predictions scored below ``reject_below`` are rejected."""
-    schema = pa.schema([("doc_id", pa.int64()), ("lang_pred", pa.string()), ("score", pa.float64())])
+def identify(docs: DataFrame, model: Model) -> DataFrame:
+    """(doc_id, held_out, lang_pred, score, rejected) per row; ``rejected`` says that the score lies below the model's fitted
+    limit, so that the prediction is not to be trusted: a user who wants only trusted ones takes the others as unknown."""
+    schema = pa.schema([("doc_id", pa.int64()), ("lang_pred", pa.string()), ("score", pa.float64()), ("rejected", pa.bool_())])
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         predict = Predictor(sent.value)
         for batch in batches:
-            found = [predict(batch.column(1)[i].as_py().decode(), reject_below) for i in range(batch.num_rows)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([a for a, _ in found], pa.string()), pa.array([b for _, b in found], pa.float64())], schema=schema)
+            found = [predict(batch.column(1)[i].as_py().decode()) for i in range(batch.num_rows)]
+            scores = [b for _, b in found]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([a for a, _ in found], pa.string()), pa.array(scores, pa.float64()), pa.array([b < sent.value.reject_below for b in scores], pa.bool_())], schema=schema)
 
-    out = id_and_bytes(docs).mapInArrow(run, "doc_id long, lang_pred string, score double")
-    return out.select("doc_id", (remainder() == 1).alias("held_out"), "lang_pred", "score")
+    out = id_and_bytes(docs).mapInArrow(run, "doc_id long, lang_pred string, score double, rejected boolean")
+    return out.select("doc_id", (remainder() == 1).alias("held_out"), "lang_pred", "score", "rejected")
 
 
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
