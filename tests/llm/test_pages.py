@@ -7,7 +7,7 @@ import zlib
 import pytest
 from pyarrow import fs
 
-from tilemine.llm import html as H, warc as W
+from tilemine.llm import common as C, html as H, warc as W
 
 
 def text_of(page):
@@ -154,4 +154,29 @@ def test_records_in_any_chunks():
 
 
 def test_file_system_of_paths(tmp_path):
-    assert isinstance(W._open(f"file://{tmp_path}")[0], fs.LocalFileSystem)
+    assert isinstance(C.open_folder(f"file://{tmp_path}")[0], fs.LocalFileSystem)
+
+
+def test_a_file_is_published_once(tmp_path):
+    store, path = C.open_folder(str(tmp_path))
+    for _ in range(2):
+        C.write_file(store, f"{path}/a/b", b"x")
+    assert [p.name for p in (tmp_path / "a").iterdir()] == ["b"]
+    with pytest.raises(OSError):
+        C.publish(store, f"{path}/none", f"{path}/other")
+
+
+def test_archives_roll_and_are_spread(spark, tmp_path):
+    df = spark.createDataFrame([(i, f"http://h/{i}", f"page {i} " * 200) for i in range(60)], "page_id long, url string, html string").repartition(3)
+    out = W.round_trip(df, str(tmp_path), most_bytes=5000)
+    assert out.count() == 60 and out.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+    names = sorted(p.name for p in (tmp_path / "normalised").glob("*.warc.gz"))
+    assert len(names) > 10 and names == sorted(p.name for p in (tmp_path / "monolithic").glob("*.warc.gz"))
+    archives = spark.createDataFrame([(i, W.archive_name(i, 0), 1) for i in (0, 4)], "part long, archive string, n_records long")
+    assert W.normalise(archives, f"{tmp_path}/monolithic", f"{tmp_path}/again").rdd.getNumPartitions() == 5
+
+
+def test_a_very_long_page(spark):
+    page = "<p>long page</p>" * 200_000
+    got = {r.page_id: (r.payload_bytes, r.record_type, r.refers_to) for r in W.round_trip(spark.createDataFrame([(1, "u", page), (2, "u", page)], "page_id long, url string, html string")).collect()}
+    assert got == {1: (len(page), "response", None), 2: (len(page), "revisit", 1)}

@@ -8,9 +8,11 @@ also deletes the tables that were parked on the way.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+from pyarrow import fs
 from pyspark.sql import Column, DataFrame, functions as F
 
 from tilemine.sources.archives import table  # noqa: F401
@@ -57,3 +59,27 @@ def by_batch(rows: Callable[[dict[str, list]], dict[str, list]], schema: pa.Sche
 def id_and_bytes(docs: DataFrame, text: str = "text", doc: str = "doc_id") -> DataFrame:
     """(doc_id, body): the id and the text's UTF-8 bytes; a null text is empty."""
     return docs.select(F.col(doc).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("body"))
+
+
+def open_folder(folder: str) -> tuple[fs.FileSystem, str]:
+    """The file system of a folder's URI and the path in it."""
+    return fs.FileSystem.from_uri(folder if "://" in folder or folder.startswith("file:") else f"file://{folder}")
+
+
+def publish(store: fs.FileSystem, temporary: str, path: str) -> None:
+    """Give a complete file its name.  A task that is run again finds the name taken by an equal file and leaves it."""
+    try:
+        store.move(temporary, path)
+    except OSError:
+        if store.get_file_info(path).type == fs.FileType.NotFound:
+            raise
+        store.delete_file(temporary)
+
+
+def write_file(store: fs.FileSystem, path: str, data: bytes) -> None:
+    folder, _, name = path.rpartition("/")
+    temporary = f"{folder}/.{name}.{uuid.uuid4().hex}"
+    store.create_dir(folder, recursive=True)
+    with store.open_output_stream(temporary, compression=None) as sink:
+        sink.write(data)
+    publish(store, temporary, path)

@@ -1,16 +1,16 @@
 """WARC archives of pages, and a normaliser of monolithic gzip archives.
 
-``write_monolithic`` writes one archive for each task, as a single gzip stream over all records
+``write_monolithic`` writes one archive for each task (a further one after ``most_bytes``), as a single gzip stream over all records
 (which readers cannot seek in).  ``normalise`` inflates each such file once, as a stream, writes every record as
-its own gzip member and a sidecar index of offsets, and ``read_back`` opens records through that
-index.  A payload of ``least`` bytes or more that equals that of a smaller page_id becomes a revisit record.
+its own gzip member and a sidecar index of offsets, a task for each part, and ``read_back`` opens records through that
+index, a task for each stretch of an archive.  A payload of ``least`` bytes or more that equals that of a smaller page_id becomes a revisit record.
 
 Files go to the shared folder under temporary names and are renamed when complete, so a task that
 is run again after an executor was lost replaces or repeats a whole file, never a part of one.
 Memory: one record at a time.
 
 Edge cases: a null html is the empty payload; null page ids sort first; rows that repeat the smallest
-page_id of a payload are all responses; a null url gives a record without target; an empty table gives no archive;
+page_id of a payload are all responses; a very long page is one record, held whole; a null url gives a record without target; an empty table gives no archive;
 other columns are ignored.
 """
 
@@ -28,9 +28,11 @@ from pyarrow import fs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from tilemine.llm.common import NULL_ID, id_key, park, shared_folder, table
+from tilemine.llm.common import NULL_ID, delete, id_key, open_folder, park, park_only, publish, shared_folder, table
 
 LEAST = 100
+#: Bytes of records after which a new archive is begun, and of members that a task reads back.
+MOST_BYTES, TASK_BYTES = 1 << 30, 64 << 20
 _DATE = "2024-01-01T00:00:00Z"
 _PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -76,39 +78,43 @@ def parse(data: bytes) -> tuple[dict[str, str], dict[str, str], bytes]:
     return outer, fields(http), payload
 
 
-def _open(folder: str) -> tuple[fs.FileSystem, str]:
-    found, path = fs.FileSystem.from_uri(folder if "://" in folder or folder.startswith("file:") else f"file://{folder}")
-    return found, path
+def archive_name(part: int, roll: int) -> str:
+    return f"part-of-{part:06d}-{roll:03d}.warc.gz"
 
 
-def _publish(store: fs.FileSystem, temporary: str, path: str) -> None:
-    store.move(temporary, path)
+def write_monolithic(rows: DataFrame, folder: str, level: int = 4, most_bytes: int = MOST_BYTES) -> DataFrame:
+    """Write ``rows`` as of ``typed``: for each task an archive, and a further one whenever ``most_bytes`` of records are
+    reached.  Returns (part, archive, n_records)."""
+    schema = pa.schema([("part", pa.int64()), ("archive", pa.string()), ("n_records", pa.int64())])
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        store, path = open_folder(folder)
+        part, roll, n, held, raw, sink, temporary = TaskContext.get().partitionId(), 0, 0, 0, None, None, ""
 
-def write_monolithic(rows: DataFrame, folder: str, level: int = 4) -> DataFrame:
-    """Write ``rows`` as of ``typed``: an archive for each task.  Returns (archive, n_records)."""
-    schema = pa.schema([("archive", pa.string()), ("n_records", pa.int64())])
+        def close() -> pa.RecordBatch:
+            raw.write(sink.flush())
+            raw.close()
+            publish(store, temporary, f"{path}/{archive_name(part, roll)}")
+            return pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([archive_name(part, roll)]), pa.array([n], pa.int64())], schema=schema)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        store, path = _open(folder)
-        name = f"part-of-{TaskContext.get().partitionId():06d}.warc.gz"
-        n, sink, temporary = 0, None, f"{path}/.{name}.{uuid.uuid4().hex}"
         for batch in batches:
             for i in range(batch.num_rows):
-                if sink is None:
+                if raw is None:
                     store.create_dir(path, recursive=True)
+                    temporary = f"{path}/.{archive_name(part, roll)}.{uuid.uuid4().hex}"
                     raw = store.open_output_stream(temporary, compression=None)
                     sink = zlib.compressobj(level, zlib.DEFLATED, 31)
                 k, url, payload, digest, first = (batch.column(j)[i].as_py() for j in range(5))
-                raw.write(sink.compress(record(k, url, payload, digest, first)))
-                n += 1
-        if sink is not None:
-            raw.write(sink.flush())
-            raw.close()
-            _publish(store, temporary, f"{path}/{name}")
-            yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([n], pa.int64())], schema=schema)
+                data = record(k, url, payload, digest, first)
+                raw.write(sink.compress(data))
+                n, held = n + 1, held + len(data)
+                if held >= most_bytes:
+                    yield close()
+                    roll, n, held, raw = roll + 1, 0, 0, None
+        if raw is not None:
+            yield close()
 
-    return rows.select("k", "url", "payload", "digest", "first").mapInArrow(run, "archive string, n_records long")
+    return rows.select("k", "url", "payload", "digest", "first").mapInArrow(run, "part long, archive string, n_records long")
 
 
 def records(chunks: Iterator[bytes]) -> Iterator[bytes]:
@@ -140,13 +146,13 @@ def records(chunks: Iterator[bytes]) -> Iterator[bytes]:
 
 
 def normalise(archives: DataFrame, source: str, target: str, level: int = 4) -> DataFrame:
-    """Rewrite each named archive with a member for each record and a sidecar index.  Returns the index rows:
-    (archive, offset, length, record_id, record_type)."""
+    """Rewrite each archive of (part, archive) with a member for each record and a sidecar index, a task for each part.
+    Returns the index rows: (archive, offset, length, record_id, record_type)."""
     schema = pa.schema([("archive", pa.string()), ("offset", pa.int64()), ("length", pa.int64()), ("record_id", pa.string()), ("record_type", pa.string())])
 
     def one(name: str) -> Iterator[pa.RecordBatch]:
-        store, path = _open(source)
-        _, out = _open(target)
+        store, path = open_folder(source)
+        _, out = open_folder(target)
         store.create_dir(out, recursive=True)
         mark = uuid.uuid4().hex
         with store.open_input_stream(f"{path}/{name}", compression=None) as raw, store.open_output_stream(f"{out}/.{name}.{mark}", compression=None) as sink, store.open_output_stream(f"{out}/.{name}.idx.{mark}", compression=None) as index:
@@ -162,17 +168,24 @@ def normalise(archives: DataFrame, source: str, target: str, level: int = 4) ->
                 if len(rows) == 4096:
                     yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows)], schema=schema)
                     rows = []
-        _publish(store, f"{out}/.{name}.{mark}", f"{out}/{name}")
-        _publish(store, f"{out}/.{name}.idx.{mark}", f"{out}/{name}.idx")
+        publish(store, f"{out}/.{name}.{mark}", f"{out}/{name}")
+        publish(store, f"{out}/.{name}.idx.{mark}", f"{out}/{name}.idx")
         if rows:
             yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows)], schema=schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        store, path = open_folder(source)
         for batch in batches:
-            for name in batch.column(0).to_pylist():
-                yield from one(name)
+            for part in batch.column(0).to_pylist():
+                for roll in range(rolls):
+                    if store.get_file_info(f"{path}/{archive_name(part, roll)}").type != fs.FileType.NotFound:
+                        yield from one(archive_name(part, roll))
 
-    return archives.select("archive").mapInArrow(run, "archive string, offset long, length long, record_id string, record_type string")
+    # the names follow from the numbers: a range has one number a task, which a shuffle of a few rows would not keep
+    known = archives.groupBy("part").count().agg(F.max("part").alias("last"), F.max("count").alias("rolls")).first()
+    rolls = known["rolls"] or 0
+    parts = archives.sparkSession.range(0, 0 if known["last"] is None else known["last"] + 1, 1, max(1, (known["last"] or 0) + 1))
+    return parts.mapInArrow(run, "archive string, offset long, length long, record_id string, record_type string")
 
 
 def read_back(index: DataFrame, folder: str) -> DataFrame:
@@ -181,7 +194,7 @@ def read_back(index: DataFrame, folder: str) -> DataFrame:
     schema = pa.schema([("page_id", pa.int64()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        store, path = _open(folder)
+        store, path = open_folder(folder)
         name, raw = None, None
         for batch in batches:
             out = []
@@ -200,13 +213,23 @@ def read_back(index: DataFrame, folder: str) -> DataFrame:
     return index.select("archive", "offset", "length").mapInArrow(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
-def round_trip(pages: DataFrame, folder: str | None = None, least: int = LEAST) -> DataFrame:
-    """Write, normalise and read back.  Archives and sidecars stay in ``folder``/normalised."""
+def spread(index: DataFrame, task_bytes: int = TASK_BYTES) -> DataFrame:
+    """The index rows dealt to tasks by stretches of their archives, in order of offset: as many tasks as the session has
+    cores at least, and one for each ``task_bytes``."""
+    total = index.agg(F.sum("length")).first()[0] or 0
+    n = max(index.sparkSession.sparkContext.defaultParallelism, total // task_bytes + 1)
+    return index.repartition(n, "archive", F.floor(F.col("offset") / (total // (4 * n) + 1))).sortWithinPartitions("archive", "offset")
+
+
+def round_trip(pages: DataFrame, folder: str | None = None, least: int = LEAST, most_bytes: int = MOST_BYTES) -> DataFrame:
+    """Write, normalise and read back.  Archives and sidecars stay in ``folder``/normalised; the monolithic ones go."""
     spark = pages.sparkSession
-    folder = folder or f"{shared_folder(spark)}/warc-{uuid.uuid4().hex}"
-    archives = park(write_monolithic(typed(pages, least=least), f"{folder}/monolithic"), "warc-archives")
-    index = park(normalise(archives.repartition("archive"), f"{folder}/monolithic", f"{folder}/normalised"), "warc-index")
-    return read_back(index, f"{folder}/normalised")
+    keep, folder = folder is not None, folder or f"{shared_folder(spark)}/warc-{uuid.uuid4().hex}"
+    archives = park_only(spark, lambda: write_monolithic(typed(pages, least=least), f"{folder}/monolithic", most_bytes=most_bytes), "warc-archives")
+    index = park(normalise(archives, f"{folder}/monolithic", f"{folder}/normalised"), "warc-index")
+    if not keep:
+        delete(spark, f"{folder}/monolithic")
+    return read_back(spread(index), f"{folder}/normalised")
 
 
 def op5_warc_normaliser(spark: SparkSession, sf_dir: str) -> DataFrame:
