@@ -26,11 +26,17 @@ def shared_folder(spark: SparkSession) -> str:
     return _own_folder[0]
 
 
-def park(df: DataFrame, label: str) -> DataFrame:
-    """Write a table to the shared folder and read it: cuts lineage, survives lost executors."""
-    path = f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
+def new_folder(spark: SparkSession, label: str) -> str:
+    """A path in the shared folder that nothing uses; an open park_only deletes it at its end."""
+    path = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
     if _parked:
         _parked[-1].append(path)
+    return path
+
+
+def park(df: DataFrame, label: str) -> DataFrame:
+    """Write a table to the shared folder and read it: cuts lineage, survives lost executors."""
+    path = new_folder(df.sparkSession, label)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
