@@ -16,7 +16,7 @@ from pyarrow import fs
 from pyspark.sql import Column, DataFrame, functions as F
 
 from tilemine.sources.archives import table  # noqa: F401
-from tilemine.sources.storage import delete, park, park_only, shared_folder  # noqa: F401
+from tilemine.sources.storage import delete, new_folder, park, park_only, shared_folder  # noqa: F401
 
 #: Null document ids sort before all others and are one document.
 NULL_ID = -(2**63)
@@ -37,6 +37,16 @@ def back_to_id(column: str = "doc_id") -> Column:
     return F.when(F.col(column) != NULL_ID, F.col(column))
 
 
+def hot_join(rows: DataFrame, keyed: DataFrame, keys: list[str], total: int, most: int = 1000) -> DataFrame:
+    """``rows`` joined with ``keyed`` (written, one row a key, with n, the rows of the key; all n add up to ``total`` at most).
+    A key that holds a thousandth of the total is hot: its rows meet a broadcast table, which has at most ``most`` keys since the
+    counts add up, and stay where they are.  The others are shuffled."""
+    hot = keyed.where(F.col("n") * most >= total)
+    cold = keyed.where(F.col("n") * most < total).drop("n")
+    there = rows.join(F.broadcast(hot.drop("n")), keys)
+    return there.unionByName(rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(cold, keys))
+
+
 def settled(df: DataFrame) -> DataFrame:
     """The same rows through a generator of one row: what stands above uses computed columns instead of repeating, in
     each filter and expression, all that they are computed from."""
