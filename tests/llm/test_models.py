@@ -54,6 +54,19 @@ def test_resynchronised_counts(chunk, overlap):
     assert counter.widened
 
 
+def test_long_texts_are_spliced_and_equal_the_library(spark, sf):
+    """At the production sizes: most long texts of the table are counted by chunks, and every count is the library's."""
+    texts = [r.text or "" for r in spark.read.parquet(f"{sf.replace('0.001', '0.01')}/documents.parquet").select("text").collect()]
+    long = [t for t in texts if len(t) > T.CHUNK]
+    counter, whole = T.Counter(T.load()), Tokenizer.from_file(public_tokenizers.path(T.FILE))
+    assert counter.count_all(long) == [len(t) for t in whole.encode_batch(long, add_special_tokens=False)]
+    assert len(long) > 50 and counter.spliced >= sum(-(-len(t) // (2 * T.CHUNK)) for t in long)
+    huge = "\n".join(long)
+    assert counter.count_long(huge) == len(whole.encode(huge, add_special_tokens=False))
+    solid = "x" * 20_000
+    assert counter.count_long(solid) == len(whole.encode(solid, add_special_tokens=False))
+
+
 def brute_quality(text):
     ws = (text or "").encode().split()
     covered = set()

@@ -2,14 +2,17 @@
 
 A text of up to ``chunk`` characters is encoded whole.  A longer one is encoded in chunks that
 overlap.  Two neighbouring encodings are spliced at a boundary that is stable: both encodings have
-a token boundary there, and the place is proven to be one that no rule of the tokenizer reaches
+a token boundary there by their offsets and agree on all tokens between the overlap's first and last such place, and the place is proven to be one that no rule of the tokenizer reaches
 across, namely a white-space character between two others (normalisation is local to such a
 place, the word pattern never matches white space, and no special string contains it).  If the overlap
 holds no such place, or the two encodings differ between the places found, the overlap is
 doubled, up to the whole text.  Only the tokens before the splice of the left chunk and after it of
 the right chunk count.
 
-Edge cases: null and empty texts have no tokens; repeated rows give repeated results; other columns are ignored.
+A text of up to ``chunk`` characters is one chunk: such texts go to the library in batches.
+
+Edge cases: null and empty texts have no tokens; a very long text is
+held as a whole and encoded by chunks; a text without stable places is encoded whole in the end; repeated rows give repeated results; an empty table gives none; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,6 +29,8 @@ from pyspark.sql import DataFrame, SparkSession
 from tilemine.llm.common import by_batch, id_and_bytes, table
 
 FILE = "word_bpe_49k.json"
+#: Characters of a chunk, and of what neighbouring chunks share.
+CHUNK, OVERLAP = 6000, 400
 #: White space between two characters that neither are white space nor combine with what stands before them.
 _STABLE = re.compile(r"(?<=[A-Za-z0-9.,;:!?])[ \n\t](?=[A-Za-z0-9])")
 _COLLAPSE = {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}
@@ -49,9 +54,9 @@ def load(file: str = FILE):
 
 
 class Counter:
-    def __init__(self, tokenizer, chunk: int = 50_000, overlap: int = 400):
+    def __init__(self, tokenizer, chunk: int = CHUNK, overlap: int = OVERLAP):
         self.tokenizer, self.chunk, self.overlap = tokenizer, chunk, overlap
-        self.widened = 0
+        self.widened = self.spliced = 0
 
     def count_all(self, texts: list[str]) -> list[int]:
         """Whole short texts go to the library in batches of bounded size."""
@@ -72,47 +77,55 @@ class Counter:
         for i, x in zip(batch, self.tokenizer.encode_batch_fast([texts[i] for i in batch], add_special_tokens=False)):
             out[i] = len(x)
 
-    def _encode(self, text: str) -> list[tuple[int, int]]:
-        return self.tokenizer.encode(text, add_special_tokens=False).offsets
+    def _encode(self, text: str):
+        return self.tokenizer.encode(text, add_special_tokens=False)
 
     def count_long(self, text: str) -> int:
-        """Left to right; ``left`` holds the offsets of the encoding from ``begin``, of which those from ``start`` on are not yet counted."""
-        total, begin, start, overlap = 0, 0, 0, self.overlap
+        """Left to right; ``left`` is the encoding from ``begin``, whose tokens from the word behind ``start`` on are not yet counted."""
+        total, begin, start, overlap = 0, 0, -1, self.overlap
         end = min(self.chunk, len(text))
-        left = self._encode(text[:end])
+        left, first = self._encode(text[:end]), 0
         while end < len(text):
-            right_from = max(start, end - overlap)
+            right_from = max(start, end - overlap, 0)
             right_to = min(len(text), right_from + self.chunk + overlap)
             right = self._encode(text[right_from:right_to])
             splice = self._splice(text, left, begin, right, right_from, end)
             if splice is None:
                 self.widened += 1
-                if right_from == start:  # the overlap is all that is left of this chunk: encode it with more text
-                    end = min(len(text), start + 2 * (end - start))
-                    begin, left = start, self._encode(text[start:end])
+                if right_from == max(start, 0):  # the overlap is all that is left of this chunk: encode it with more text
+                    begin, end = right_from, min(len(text), right_from + 2 * (end - right_from))
+                    left = self._encode(text[begin:end])
+                    first = left.char_to_token(start + 1 - begin) if start >= 0 else 0
                 else:
                     overlap *= 2
                 continue
-            total += sum(1 for a, _ in left if start <= a + begin < splice)
-            start, begin, left, end, overlap = splice, right_from, right, right_to, self.overlap
-        return total + sum(1 for a, _ in left if a + begin >= start)
+            self.spliced += 1
+            place, at_left, at_right = splice
+            total += at_left - first
+            start, begin, left, end, overlap, first = place, right_from, right, right_to, self.overlap, at_right
+        return total + len(left) - first
 
     @staticmethod
-    def _splice(text: str, left: list, begin: int, right: list, right_from: int, end: int) -> int | None:
-        """The middle one of the stable places, if both encodings cut the text alike between the first and the last."""
+    def _splice(text: str, left, begin: int, right, right_from: int, end: int) -> tuple[int, int, int] | None:
+        """The middle one of the stable places, with the token behind it in both encodings, if both cut the text alike between
+        the first and the last."""
         places = [m.start() for m in _STABLE.finditer(text, right_from, end)]
         if len(places) < 2:
             return None
-        a, b = places[0], places[-1]
-        one = [(s + begin, e + begin) for s, e in left if a <= s + begin < b]
-        two = [(s + right_from, e + right_from) for s, e in right if a <= s + right_from < b]
-        if one != two:
+        a, b, middle = places[0], places[-1], places[len(places) // 2]
+        in_left, in_right = ([e.char_to_token(p + 1 - at) for p in (a, middle, b)] for e, at in ((left, begin), (right, right_from)))
+        if None in in_left or None in in_right or in_left[2] - in_left[0] != in_right[2] - in_right[0]:
+            return None
+        if left.ids[in_left[0] : in_left[2]] != right.ids[in_right[0] : in_right[2]]:
             return None
-        middle = places[len(places) // 2]
-        return None if any(s < middle < e for s, e in one) else middle
+        for i, j in zip(range(in_left[0], in_left[2]), range(in_right[0], in_right[2])):
+            one, two = left.token_to_chars(i), right.token_to_chars(j)
+            if (one[0] + begin, one[1] + begin) != (two[0] + right_from, two[1] + right_from) or one[0] + begin < middle < one[1] + begin:
+                return None
+        return middle, in_left[1], in_right[1]
 
 
-def counts(docs: DataFrame, limit: int = 2048, file: str = FILE, chunk: int = 50_000, overlap: int = 400) -> DataFrame:
+def counts(docs: DataFrame, limit: int = 2048, file: str = FILE, chunk: int = CHUNK, overlap: int = OVERLAP) -> DataFrame:
     """Per row: UTF-8 bytes, tokens, and whether there are more tokens than ``limit``."""
     schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64()), ("over_limit", pa.bool_())])
 
