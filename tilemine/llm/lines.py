@@ -17,8 +17,8 @@ Lines count as equal by two independent 64-bit hashes; no text is compared.  Wit
 ``window`` lines is compared as well if it holds at least so many words, so that a repeated passage of whole lines is found by what
 it holds and not only by its number of lines; ``op1_line_dedup``, its SQL and the pipeline do so with ``LONG_WORDS``.
 
-Groups are never gathered: fingerprints and windows are counted with partial aggregates and
-joined back from written tables, which lets adaptive execution split a hot fingerprint.  Texts are read twice, once for
+Groups are never gathered: fingerprints and windows are counted with partial aggregates and joined back from written
+tables.  Rows of hot ones (a thousandth of all windows or more, so a thousand at most) meet them by broadcast and are not shuffled.  Texts are read twice, once for
 their windows and once to delete, and shuffled once, to meet what was found in them.
 
 Edge cases: a null or empty text has no lines; lines of white space alone are never matched and stay; a document
@@ -33,7 +33,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
-from tilemine.llm.common import back_to_id, id_key, park, park_only, settled, table
+from tilemine.llm.common import back_to_id, hot_join, id_key, park, park_only, settled, table
 
 WINDOW = 3
 #: The fewest words that make a shorter run worth comparing: documents with fewer go by the quality rules anyway.
@@ -88,11 +88,13 @@ def repeated(docs: DataFrame, window: int = WINDOW, long_words: int | None = Non
     """(k, t, runs): per id and text the matched runs that occur earlier, each as its first counted line and the one behind its last."""
     found = park(windows(docs, window, long_words), "line-windows")
     # a position is selected by neighbouring windows; its first one counts it
-    shared = found.groupBy("fp").agg(F.min("at").alias("a"), F.max("at").alias("b"), F.min("k").alias("c"), F.max("k").alias("d"), F.min("t").alias("e"), F.max("t").alias("f")).where("a <> b OR c <> d OR e <> f").select("fp")
-    near = park(found.join(shared, "fp"), "line-positions")
-    earliest = near.groupBy("fp", "key").agg(F.min("k").alias("first"), F.max("k").alias("last")).where("first <> last").select("fp", "key", "first")
+    shared = found.groupBy("fp").agg(F.min("at").alias("a"), F.max("at").alias("b"), F.min("k").alias("c"), F.max("k").alias("d"), F.min("t").alias("e"), F.max("t").alias("f"), F.count(F.lit(1)).alias("n")).where("a <> b OR c <> d OR e <> f").select("fp", "n")
+    shared, total = park(shared, "line-fingerprints"), found.count()
+    near = park(hot_join(found.withColumnRenamed("n", "lines"), shared, ["fp"], total), "line-positions")
+    earliest = near.groupBy("fp", "key").agg(F.min("k").alias("first"), F.max("k").alias("last"), F.count(F.lit(1)).alias("n")).where("first <> last").select("fp", "key", "first", "n")
     earliest = park(earliest, "line-earliest")
-    across = near.where("NOT again").join(earliest, ["fp", "key"]).where("k > first")
+    across = hot_join(near.where("NOT again"), earliest, ["fp", "key"], total).where("k > first").withColumnRenamed("lines", "n")
+    near = near.withColumnRenamed("lines", "n")
     names = ["k", "t", "at", "start", "n"]
     matched = across.select(*names).unionByName(near.where("again").select(*names)).repartition("k", "t")
     # all windows of a position hold it, so their union has no gap: the match reaches from the first start to the last end
