@@ -8,6 +8,7 @@ Python runs; ``angles`` (numpy) is for rows whose eigenvalues coincide and for a
 
 from __future__ import annotations
 
+import functools
 import math
 from collections.abc import Iterator
 
@@ -140,6 +141,43 @@ def mean_alpha() -> Column:
     return F.col("p1") * F.col("alpha1") + F.col("p2") * F.col("alpha2") + F.col("p3") * F.col("alpha3")
 
 
+def eigenvector_angles(df: DataFrame) -> DataFrame:
+    """Adds beta, delta, gamma (mean angles weighted by p1..p3) and ``turned``: whether every eigenvector's second and third component has
+    an imaginary part, so that their phases have a definite sign.  The projector on an eigenvector is a polynomial of the matrix; its first column
+    gives the phases against the first component, its diagonal the moduli.  Needs l1..l3, p1..p3, ``degenerate``; columns only."""
+    t12, t13, t23 = (Cx(F.col(f"t{ij}r"), F.col(f"t{ij}i")) for ij in ("12", "13", "23"))
+    t11, t22, t33 = (F.col(f"t{i}{i}") for i in (1, 2, 3))
+    t21, t31, t32 = t12.conj(), t13.conj(), t23.conj()
+    square = {"22": t12.power() + t22 * t22 + t23.power(), "33": t13.power() + t23.power() + t33 * t33}
+    square |= {"21": t21.scale(t11 + t22) + t23 * t31, "31": t31.scale(t11 + t33) + t32 * t21}
+    names = {}
+    for i, j, k in ((1, 2, 3), (2, 1, 3), (3, 1, 2)):
+        li, lj, lk = (F.col(f"l{n}") for n in (i, j, k))
+        sign = F.signum((li - lj) * (li - lk))
+        for at, own in (("22", t22), ("33", t33)):
+            names[f"_m{at}_{i}"] = F.sqrt(F.greatest(F.lit(0.0), (square[at] - own * (lj + lk) + lj * lk) * sign))
+        for at, own in (("21", t21), ("31", t31)):
+            entry = (square[at] - own.scale(lj + lk)).scale(sign)
+            names |= {f"_r{at}_{i}": entry.re, f"_i{at}_{i}": entry.im}
+    out = barrier(df.withColumns(names))
+    trace = F.col("l1") + F.col("l2") + F.col("l3")
+    mean = lambda part: sum((F.col(f"p{i}") * part(i) for i in (1, 2, 3)), F.lit(0.0))
+    turned = [F.abs(F.col(f"_i{at}_{i}")) > GAP * trace * trace for at in ("21", "31") for i in (1, 2, 3)]
+    out = out.withColumns({
+        "beta": mean(lambda i: F.atan2(F.col(f"_m33_{i}"), F.col(f"_m22_{i}"))), "delta": mean(lambda i: F.atan2(F.col(f"_i21_{i}"), F.col(f"_r21_{i}"))),
+        "gamma": mean(lambda i: F.atan2(F.col(f"_i31_{i}"), F.col(f"_r31_{i}"))), "turned": ~F.col("degenerate") & functools.reduce(lambda a, b: a & b, turned),
+    })
+    return barrier(out.drop(*names))
+
+
+def mean_target(phi: Column | float = 0.0) -> dict[str, Column]:
+    """The mean unit target vector of the mean angles alpha, beta, delta, gamma (and an absolute phase): u1_re .. u3_im."""
+    alpha, beta, turn = F.col("alpha"), F.col("beta"), F.lit(phi) if isinstance(phi, float) else phi
+    size = (F.cos(alpha), F.sin(alpha) * F.cos(beta), F.sin(alpha) * F.sin(beta))
+    phase = (turn, turn + F.col("delta"), turn + F.col("gamma"))
+    return {f"u{i}_{part}": r * f(a) for i, (r, a) in enumerate(zip(size, phase), 1) for part, f in (("re", F.cos), ("im", F.sin))}
+
+
 def mechanism(alpha: Column, low_deg: float = 40.0, high_deg: float = 50.0) -> Column:
     """surface, volume or double bounce by low, middle or high mean alpha."""
     return F.when(alpha < math.radians(low_deg), "surface").when(alpha <= math.radians(high_deg), "volume").otherwise("double")

@@ -97,3 +97,12 @@ def joint(df: DataFrame, by: list[str], axes: list[Axis] = HAA_AXES, norm: str =
         return pairs.select(*by, F.transform("pairs", lambda x: x["bin"]).alias("idx"), F.transform("pairs", lambda x: value(x["n"])).alias("val"))
     filled = F.map_from_entries("pairs")
     return pairs.withColumn("m", filled).select(*by, F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda i: F.coalesce(value(F.element_at("m", i)), F.lit(0.0) if norm == "frequency" else F.lit(0))).alias("v"))
+
+
+def tile_histogram(px: DataFrame, side: int = 8, looks: tuple[int, int] = (2, 2), axes: list[Axis] | None = None) -> DataFrame:
+    """(id, product_id, v) from pixels: decomposition, then a joint histogram of each tile of side x side pixels; the id is product,
+    tile row and tile column in steps of a thousand tiles an axis."""
+    cells = haa(px, looks)
+    tr, tc = F.floor(F.col("row") * looks[0] / side), F.floor(F.col("col") * looks[1] / side)
+    placed = cells.withColumn("id", (F.col("product_id") * 1_000_000 + tr * 1000 + tc).cast("long"))
+    return joint(placed, ["id", "product_id"], axes or HAA_AXES)

@@ -4,24 +4,28 @@
 ``farthest``: the smallest id and the row farthest from it.
 ``random``: the two rows with the smallest hash of (seed, code, id).
 ``dsquare``: one random row, the second drawn with probability in proportion to squared distance.
-``parallel``: rounds of oversampling by squared distance, then weighted draws among the candidates.
+``parallel``: rounds that each draw rows independently, a row with a chance of OVERSAMPLING x k times its share of the cost; then every
+candidate is weighted by the rows nearest to it, and weighted draws and means among the candidates give k.  A round is two passes, however
+many rows it draws.
 All are functions of (seed, node code), so every growing schedule gives the same tree.
 """
 
 from __future__ import annotations
 
+import zlib
+
 import numpy as np
 from pyspark.sql import DataFrame
 
-from tilemine.operators.passes import Split, best, sums
+from tilemine.operators.passes import Split, best, costs, draw, nearest, sums
 
+#: Expected candidates of a round for each centre wanted, and rounds.
+OVERSAMPLING, ROUNDS = 2, 4
 INITS = ("axis", "farthest", "random", "dsquare", "parallel")
 
 
 def uniform(code: str, ids: np.ndarray, seed: int, draw: int = 0) -> np.ndarray:
     """A number in (0, 1) for each id."""
-    import zlib
-
     with np.errstate(over="ignore"):
         z = ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(zlib.crc32(f"{seed}/{draw}/{code}".encode()) * 2654435761 % 2**64)
         for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
@@ -74,7 +78,7 @@ class _Race:
             return np.where(d > 0, -np.log(uniform(code, ids, self.seed, self.draw)) / np.where(d > 0, d, 1), np.inf)
 
 
-def centres(labelled: DataFrame, codes: set[str], init: str, seed: int, k: int = 2, rounds: int = 3) -> dict[str, list[np.ndarray]]:
+def centres(labelled: DataFrame, codes: set[str], init: str, seed: int, k: int = 2) -> dict[str, list[np.ndarray]]:
     """k starting centroids for each code by one of the row-based methods."""
     if init == "farthest":
         first = {c: [v] for c, (_, v, _) in best(labelled, _ById(), codes).items()}
@@ -94,17 +98,54 @@ def centres(labelled: DataFrame, codes: set[str], init: str, seed: int, k: int =
                     out[code].append(v)
         return out
     if init == "dsquare":
-        for draw in range(1, k):
-            for code, (_, v, score) in best(labelled, _Race(out, seed, draw), codes).items():
+        for turn in range(1, k):
+            for code, (_, v, score) in best(labelled, _Race(out, seed, turn), codes).items():
                 if np.isfinite(score):
                     out[code].append(v)
         return out
-    candidates = {c: list(v) for c, v in out.items()}
-    for draw in range(1, rounds * k + 1):
-        for code, (_, v, score) in best(labelled, _Race(candidates, seed, draw), codes).items():
-            if np.isfinite(score):
-                candidates[code].append(v)
-    return {c: _spread(v, k) for c, v in candidates.items()}
+    return oversampled({c: v[0] for c, v in out.items()}, lambda now: costs(labelled, now), lambda chosen, codes: draw(labelled, chosen, codes), k, seed)
+
+
+class _Chance:
+    """Takes a row with probability wanted x its squared distance / the cost."""
+
+    def __init__(self, centres, cost, wanted, seed, turn):
+        self.centres, self.cost, self.wanted, self.seed, self.turn = centres, cost, wanted, seed, turn
+
+    def __call__(self, code, ids, x):
+        return uniform(code, ids, self.seed, 1000 + self.turn) < self.wanted * nearest(x, np.array(self.centres[code]))[1] / self.cost[code]
+
+
+def oversampled(first: dict[str, np.ndarray], cost_of, draw_of, k: int, seed: int, rounds: int = ROUNDS) -> dict[str, list[np.ndarray]]:
+    """k centres for each code from over-sampled candidates; ``cost_of`` and ``draw_of`` go over the rows, wherever they are."""
+    candidates = {c: [v] for c, v in first.items()}
+    for turn in range(rounds):
+        cost = {c: phi for c, (phi, _) in cost_of(candidates).items() if phi > 0}
+        if not cost:
+            break
+        for code, rows in draw_of(_Chance({c: candidates[c] for c in cost}, cost, OVERSAMPLING * k, seed, turn), set(cost)).items():
+            candidates[code] += [v for _, v in rows]
+    weights = {c: n for c, (_, n) in cost_of(candidates).items()}
+    return {c: weighted_reduction(np.array(v), weights[c].astype(float), k, c, seed) for c, v in candidates.items()}
+
+
+def weighted_reduction(points: np.ndarray, weights: np.ndarray, k: int, code: str, seed: int, steps: int = 5) -> list[np.ndarray]:
+    """k of weighted points: drawn by weight times squared distance, then moved to weighted means a few times."""
+    random = np.random.default_rng(zlib.crc32(f"{seed}/{code}".encode()))
+    chosen = [points[int(weights.argmax())]]
+    while len(chosen) < k:
+        worth = weights * nearest(points, np.array(chosen))[1]
+        if not worth.sum() > 0:
+            break
+        chosen.append(points[int(random.choice(len(points), p=worth / worth.sum()))])
+    centres = np.array(chosen)
+    for _ in range(steps):
+        near = nearest(points, centres)[0]
+        total = np.bincount(near, weights, len(centres))
+        if not total.all():
+            break
+        centres = np.array([(points[near == i] * weights[near == i, None]).sum(0) / total[i] for i in range(len(centres))])
+    return list(centres)
 
 
 class _FarAll:
@@ -115,22 +156,15 @@ class _FarAll:
         return -np.min([((x - c) ** 2).sum(1) for c in self.chosen[code]], axis=0)
 
 
-def _spread(candidates: list[np.ndarray], k: int) -> list[np.ndarray]:
-    """k of the candidates, each next one the farthest from those chosen."""
-    points = np.unique(np.array(candidates), axis=0)
-    chosen = [candidates[0]]
-    while len(chosen) < min(k, len(points)):
-        d = np.min([((points - c) ** 2).sum(1) for c in chosen], axis=0)
-        chosen.append(points[int(np.argmax(d))])
-    return chosen
-
-
 def first_splits(labelled: DataFrame, stats: dict[str, dict], init: str, seed: int) -> dict[str, Split]:
     """A first split of each node of ``stats`` (code -> n, s, ss).  Nodes whose rows are all equal have none."""
     codes = {c for c, v in stats.items() if (v["n"] * v["ss"] - v["s"] ** 2).max(initial=0) > 1e-9 * max(1.0, v["ss"].max(initial=0))}
     if init == "axis" or not codes:
         return {c: axis_split(stats[c]["n"], stats[c]["s"], stats[c]["ss"]) for c in codes}
-    return {c: bisector(*v[:2]) for c, v in centres(labelled, codes, init, seed).items() if len(v) > 1 and (v[0] != v[1]).any()}
+    found = centres(labelled, codes, init, seed)
+    out = {c: bisector(*v[:2]) for c, v in found.items() if len(v) > 1 and (v[0] != v[1]).any()}
+    # a draw may give one point only: the row farthest from it makes the other
+    return out | farthest_split(labelled, {c: v[0] for c, v in found.items() if c not in out})
 
 
 def centroids_of(parts: dict[tuple[str, int], dict], code: str) -> list[np.ndarray] | None:
@@ -145,4 +179,4 @@ def farthest_split(labelled: DataFrame, centre: dict[str, np.ndarray]) -> dict[s
     return {c: bisector(centre[c], v) for c, (_, v, s) in found.items() if s < 0}
 
 
-__all__ = ["INITS", "axis_split", "bisector", "centres", "centroids_of", "farthest_split", "first_splits", "sums", "uniform"]
+__all__ = ["INITS", "axis_split", "bisector", "centres", "centroids_of", "farthest_split", "first_splits", "oversampled", "sums", "uniform", "weighted_reduction"]

@@ -9,6 +9,7 @@ most ``local_rows`` rows, then one shuffle by code and the rest of its subtree i
 
 from __future__ import annotations
 
+import heapq
 import json
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -19,7 +20,7 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession, functions as F, types as T
 
 from tilemine.operators import seeds
-from tilemine.operators.passes import Split, assign, by_code, relabel, sums, vectors
+from tilemine.operators.passes import Split, Under, assign, by_code, nearest, relabel, sums, vectors
 from tilemine.sources.storage import park, write
 
 NODE_SCHEMA = "code string, depth int, n long, ssum array<double>, sq double, centroid array<double>, wcss double, is_leaf boolean, close_reason string, split_w array<double>, split_b double"
@@ -53,6 +54,7 @@ class Node:
     ss: np.ndarray
     closed: str | None = None
     split: Split | None = None
+    turns: int = 0  # passes until its split settled
 
     @property
     def centroid(self) -> np.ndarray:
@@ -90,17 +92,17 @@ def _node(code: str, part: dict) -> Node:
     return Node(code, part["n"], part["s"], part["sq"], part["ss"])
 
 
-def _split_nodes(labelled: DataFrame, nodes: list[Node], init: str, tol: float, max_iter: int, seed: int, combine: bool, log: list) -> dict[str, tuple[Split, list[dict]]]:
+def _split_nodes(labelled: Under, nodes: list[Node], init: str, tol: float, max_iter: int, seed: int, combine: bool, log: list) -> dict[str, tuple[Split, list[dict], int]]:
     """Two-means of every node of ``nodes`` at once; nodes that settle leave the job."""
     stats = {n.code: {"n": n.n, "s": n.s, "ss": n.ss} for n in nodes}
     open_ = seeds.first_splits(labelled, stats, init, seed)
-    done: dict[str, tuple[Split, list[dict]]] = {}
+    done: dict[str, tuple[Split, list[dict], int]] = {}
     before: dict[str, list[np.ndarray]] = {}
     reseeded: set[str] = set()
     for turn in range(max_iter + 2):
         if not open_:
             break
-        parts = sums(labelled.where(F.col("code").isin(*open_)) if len(open_) <= 64 else labelled, open_, combine)
+        parts = sums(labelled.only(list(open_)) if len(open_) <= 64 else labelled, open_, combine)
         log.append({"nodes": len(open_), "rows": sum(stats[c]["n"] for c in open_)})
         empty = {c for c in open_ if seeds.centroids_of(parts, c) is None}
         again = seeds.farthest_split(labelled, {c: stats[c]["s"] / stats[c]["n"] for c in empty - reseeded})
@@ -114,36 +116,77 @@ def _split_nodes(labelled: DataFrame, nodes: list[Node], init: str, tol: float,
             last = turn > max_iter or code in before and move <= tol
             before[code] = now
             if last:
-                done[code] = (split, [parts[code, 0], parts[code, 1]])
+                done[code] = (split, [parts[code, 0], parts[code, 1]], turn + 1)
             else:
                 new[code] = seeds.bisector(*now)
         open_ = new
     return done
 
 
-def grow(df: DataFrame, stop: Stop, init: str = "axis", tol: float = 1e-6, max_iter: int = 20, schedule: str = "level", local_rows: int = 100_000, seed: int = 0, combine: bool = True, materialise: str = "memory", max_leaves: int | None = None, order: str = "fifo", most_open: int = 1024) -> Index:
-    """Grow the tree over (id, v, ..).  ``max_iter`` counts centroid updates of a split.  ``most_open`` bounds the nodes of one pass, and so
-    what is sent to tasks and collected: nodes x 2 x d numbers."""
-    rows = prepare(df)
-    held: list[DataFrame] = []
+#: Element types of descriptors that are kept as they are; kernels turn them into doubles.
+_NUMBERS = {f"array<{t}>" for t in ("tinyint", "smallint", "int", "bigint", "float", "double")}
+#: Levels after which written codes are renewed, in memory mode.
+REFRESH = 6
+
+
+def _compact(df: DataFrame) -> DataFrame:
+    """As prepare, but numbers stay as narrow as they are."""
+    return prepare(df) if dict(df.dtypes)["v"] not in _NUMBERS else df.select(F.col("id").cast("long").alias("id"), F.lit("").alias("code"), "v", *[c for c in df.columns if c not in ("id", "v", "code")])
+
+
+class Held:
+    """The rows of a growing tree.  ``memory``: one cached copy as narrow as the input (none if the caller has cached it), codes followed down the
+    splits found since, renewed every REFRESH levels; ``dfs``: written and read again at every level; ``none``: read from the source each time."""
 
-    def keep(frame: DataFrame) -> DataFrame:
+    def __init__(self, df: DataFrame, materialise: str, written: bool = False):
+        self.how, self.mine = materialise, False
+        level = df.storageLevel
+        rows = df if written else _compact(df)
         if materialise == "dfs":
-            return park(frame, "labelled")
-        if materialise == "memory":
-            held.append(frame.persist(StorageLevel.MEMORY_AND_DISK))
-            if len(held) > 2:
-                held.pop(0).unpersist()
-        return frame
-
-    rows = keep(rows)
+            rows = park(prepare(df) if not written else df, "labelled")
+        elif materialise == "memory" and not (level.useMemory or level.useDisk):
+            rows, self.mine = rows.persist(StorageLevel.MEMORY_AND_DISK), True
+        self.under, self.levels = Under(rows), 0
+
+    def _renew(self) -> None:
+        """Write the codes out; the copy before goes when the new one is there."""
+        old, rows = self.under.rows, relabel(self.under).persist(StorageLevel.MEMORY_AND_DISK)
+        rows.count()
+        if self.mine:
+            old.unpersist()
+        self.under, self.mine, self.levels = Under(rows), True, 0
+
+    def add(self, splits: dict[str, Split]) -> None:
+        if self.how == "dfs":
+            self.under = Under(park(relabel(self.under, splits), "labelled"))
+            return
+        self.under = Under(self.under.rows, self.under.splits | splits)
+        self.levels += 1
+        if self.how == "memory" and self.levels >= REFRESH:
+            self._renew()
+
+    def finish(self) -> DataFrame:
+        """(id, code, v, ..) with codes written out and v as doubles; kept in memory in memory mode."""
+        if self.how == "memory":
+            self._renew()
+            return self.under.rows
+        return relabel(self.under)
+
+
+def grow(df: DataFrame, stop: Stop, init: str = "axis", tol: float = 1e-6, max_iter: int = 20, schedule: str = "level", local_rows: int = 100_000, seed: int = 0, combine: bool = True, materialise: str = "memory", max_leaves: int | None = None, order: str = "fifo", most_open: int = 1024, start: dict[str, Node] | None = None) -> Index:
+    """Grow the tree over (id, v, ..).  ``max_iter`` counts centroid updates of a split.  ``most_open`` bounds the nodes of one pass, and so
+    what is sent to tasks and collected: nodes x 2 x d numbers.  ``start``: nodes to go on from; ``df`` then has their codes."""
+    held = Held(df, materialise, written=start is not None)
     log: list[dict] = []
-    found = sums(rows)
-    if not found:
-        return Index({}, rows, {"stop": vars(stop), "passes": log})
-    nodes = {"": _node("", found["", 0])}
-    pending: dict[str, tuple[Split, list[dict]]] = {}
-    grown = 0
+    if start is None:
+        found = sums(held.under)
+        if not found:
+            return Index({}, held.finish(), {"stop": vars(stop), "passes": log})
+        nodes = {"": _node("", found["", 0])}
+    else:
+        nodes = dict(start)
+    pending: dict[str, tuple[Split, list[dict], int]] = {}
+    rows: DataFrame | None = None
 
     def front() -> list[Node]:
         out = []
@@ -159,7 +202,7 @@ def grow(df: DataFrame, stop: Stop, init: str = "axis", tol: float = 1e-6, max_i
         if schedule == "hybrid" and open_:
             small = [n for n in open_ if n.n <= local_rows]
             if len(small) == len(open_):
-                rows = _finish_locally(rows, nodes, small, stop, init, tol, max_iter, seed)
+                rows = _finish_locally(held.finish(), nodes, small, stop, init, tol, max_iter, seed)
                 break
             open_ = [n for n in open_ if n.n > local_rows]
         if not open_:
@@ -172,7 +215,7 @@ def grow(df: DataFrame, stop: Stop, init: str = "axis", tol: float = 1e-6, max_i
                     n.closed = "max_leaves"
                 break
             todo = [n for n in open_ if n.code not in pending]
-            pending |= _split_nodes(rows, todo, init, tol, max_iter, seed, combine, log) if todo else {}
+            pending |= _split_nodes(held.under, todo, init, tol, max_iter, seed, combine, log) if todo else {}
             for n in todo:
                 if n.code not in pending:
                     n.closed = "degenerate"
@@ -183,22 +226,19 @@ def grow(df: DataFrame, stop: Stop, init: str = "axis", tol: float = 1e-6, max_i
             done, open_ = {best.code: pending.pop(best.code)}, [best]
         else:
             open_ = open_[:most_open]
-            done = _split_nodes(rows, open_, init, tol, max_iter, seed, combine, log)
+            done = _split_nodes(held.under, open_, init, tol, max_iter, seed, combine, log)
         splits = {}
         for n in open_:
             if n.code not in done or stop.min_child and min(p["n"] for p in done[n.code][1]) < stop.min_child:
                 n.closed = "degenerate" if n.code not in done else "min_child"
                 continue
-            n.split, parts = done[n.code]
+            n.split, parts, n.turns = done[n.code]
             splits[n.code] = n.split
             for bit, part in enumerate(parts):
                 nodes[f"{n.code}{bit}"] = _node(f"{n.code}{bit}", part)
         if splits:
-            rows = keep(relabel(rows, splits))
-            grown += 1
-            if grown % 8 == 0 and materialise == "memory":
-                rows = park(rows, "labelled")
-    return Index(nodes, rows, {"stop": vars(stop), "init": init, "seed": seed, "schedule": schedule, "passes": log})
+            held.add(splits)
+    return Index(nodes, held.finish() if rows is None else rows, {"stop": vars(stop), "init": init, "seed": seed, "schedule": schedule, "passes": log})
 
 
 def grow_local(ids: np.ndarray, x: np.ndarray, code: str, stop: Stop, init: str, tol: float, max_iter: int, seed: int) -> tuple[list[Node], np.ndarray]:
@@ -228,7 +268,7 @@ def grow_local(ids: np.ndarray, x: np.ndarray, code: str, stop: Stop, init: str,
             now = [own[child == b].sum(0) / (child == b).sum() for b in (0, 1)]
             move = max(np.abs(a - b).max() for a, b in zip(now, before)) if before else np.inf
             if turn > max_iter or before and move <= tol:
-                final = (split, child)
+                final, node.turns = (split, child), turn + 1
                 break
             before, split = now, seeds.bisector(*now)
         if final is None:
@@ -263,14 +303,21 @@ def _local_first(ids: np.ndarray, x: np.ndarray, code: str, node: Node, init: st
         a, b = x[first], x[second]
     else:
         a = pick(seeds.uniform(code, ids, seed))
-        chosen = [a]
-        for draw in range(1, 2 if init == "dsquare" else 7):
-            d = np.min([((x - c) ** 2).sum(1) for c in chosen], axis=0)
-            if not d.max() > 0:
-                break
-            race = np.where(d > 0, -np.log(seeds.uniform(code, ids, seed, draw)) / np.where(d > 0, d, 1), np.inf)
-            chosen.append(pick(race))
-        a, b = seeds._spread(chosen, 2) if len(chosen) > 1 else (a, a)
+        if init == "dsquare":
+            d = ((x - a) ** 2).sum(1)
+            race = np.where(d > 0, -np.log(seeds.uniform(code, ids, seed, 1)) / np.where(d > 0, d, 1), np.inf)
+            b = pick(race) if np.isfinite(race).any() else a
+        else:
+            order = np.argsort(ids, kind="stable")
+
+            def cost_of(now: dict) -> dict:
+                near, d = nearest(x, np.array(now[code]))
+                return {code: (float(np.bincount(near, d).sum()), np.bincount(near, minlength=len(now[code])))}
+
+            found = seeds.oversampled({code: a}, cost_of, lambda chosen, _: {code: [(int(ids[i]), x[i]) for i in order[chosen(code, ids[order], x[order])]]}, 2, seed)[code]
+            a, b = found if len(found) > 1 else (found[0], found[0])
+        if not (a != b).any():
+            b = pick(-((x - a) ** 2).sum(1))
     return seeds.bisector(a, b) if (a != b).any() else None
 
 
@@ -280,9 +327,9 @@ def _finish_locally(rows: DataFrame, nodes: dict[str, Node], small: list[Node],
     codes = [n.code for n in small]
     still, moving = rows.where(~F.col("code").isin(*codes)), rows.where(F.col("code").isin(*codes))
     kinds = dict(rows.dtypes)
-    node_type = "struct<code:string,n:bigint,s:array<double>,sq:double,ss:array<double>,closed:string,w:array<double>,b:double>"
+    node_type = "struct<code:string,n:bigint,s:array<double>,sq:double,ss:array<double>,closed:string,w:array<double>,b:double,turns:int>"
     schema = T.StructType.fromDDL(", ".join([*(f"`{c}` {kinds[c]}" for c in names), "code string", f"node {node_type}"]))
-    arrow_node = pa.struct([("code", pa.string()), ("n", pa.int64()), ("s", pa.list_(pa.float64())), ("sq", pa.float64()), ("ss", pa.list_(pa.float64())), ("closed", pa.string()), ("w", pa.list_(pa.float64())), ("b", pa.float64())])
+    arrow_node = pa.struct([("code", pa.string()), ("n", pa.int64()), ("s", pa.list_(pa.float64())), ("sq", pa.float64()), ("ss", pa.list_(pa.float64())), ("closed", pa.string()), ("w", pa.list_(pa.float64())), ("b", pa.float64()), ("turns", pa.int32())])
 
     def run(group: pa.Table) -> pa.Table:
         ids, x = group["id"].to_numpy(), vectors(group["v"])
@@ -292,41 +339,61 @@ def _finish_locally(rows: DataFrame, nodes: dict[str, Node], small: list[Node],
         back = np.empty(len(ids), object)
         back[order] = labels
         n = len(made)
-        told = [{"code": m.code, "n": m.n, "s": m.s.tolist(), "sq": m.sq, "ss": m.ss.tolist(), "closed": m.closed, "w": None if m.split is None else m.split[0].tolist(), "b": None if m.split is None else m.split[1]} for m in made]
+        told = [{"code": m.code, "n": m.n, "s": m.s.tolist(), "sq": m.sq, "ss": m.ss.tolist(), "closed": m.closed, "w": None if m.split is None else m.split[0].tolist(), "b": None if m.split is None else m.split[1], "turns": m.turns} for m in made]
         columns = [pa.concat_arrays([group[c].combine_chunks() if group[c].num_chunks != 1 else group[c].chunk(0), pa.nulls(n, group.schema.field(c).type)]) for c in names]
         return pa.Table.from_arrays([*columns, pa.array([*back.tolist(), *[None] * n], pa.string()), pa.array([*[None] * len(ids), *told], arrow_node)], names=[*names, "code", "node"])
 
     done = park(moving.groupBy("code").applyInArrow(run, schema), "subtrees")
     for r in done.where("node IS NOT NULL").select("node.*").collect():
-        nodes[r.code] = Node(r.code, r.n, np.array(r.s), r.sq, np.array(r.ss), r.closed, None if r.w is None else (np.array(r.w), r.b))
+        nodes[r.code] = Node(r.code, r.n, np.array(r.s), r.sq, np.array(r.ss), r.closed, None if r.w is None else (np.array(r.w), r.b), r.turns)
     return still.select(*rows.columns).unionByName(done.where("node IS NULL").select(*rows.columns))
 
 
 def descend(df: DataFrame, nodes: dict[str, Node], path: bool = False) -> DataFrame:
     """Adds ``code``: the leaf that each vector falls into, choosing the nearer child at every branch.  The tree's splits are sent to the tasks; with
     ``path``, also ``depth``."""
+    out = relabel(df.drop("code").withColumn("code", F.lit("")), {c: n.split for c, n in nodes.items() if n.split is not None})
+    return out.withColumn("depth", F.length("code")) if path else out
+
+
+def near_leaves(x: np.ndarray, splits: dict[str, Split], probes: int | None = None, radius: float = np.inf) -> list[tuple[str, float]]:
+    """Leaves best-bin-first: (code, bound), bound being the least squared distance that a point of the leaf's region can have by
+    any one of the bisectors between; the first ``probes`` of them, or all with a bound of at most ``radius``.  A branch that is not
+    entered costs one heap entry, so m leaves cost m paths."""
+    heap, out = [(0.0, "")], []
+    while heap and (probes is None or len(out) < probes):
+        bound, code = heapq.heappop(heap)
+        if bound > radius:
+            break
+        while (split := splits.get(code)) is not None:
+            margin = float(x @ split[0]) - split[1]
+            near = int(margin > 0)
+            norm = float(split[0] @ split[0])
+            heapq.heappush(heap, (max(bound, margin * margin / norm if norm else 0.0), f"{code}{1 - near}"))
+            code = f"{code}{near}"
+        out.append((code, bound))
+    return out
+
+
+def probe(queries: DataFrame, nodes: dict[str, Node], probes: int | None = None) -> DataFrame:
+    """(query_id, v, code, bound), a row for each of a query's nearest ``probes`` leaves, or, without a number, for each leaf that may
+    hold a point within the squared distance in its column ``radius``."""
     splits = {c: n.split for c, n in nodes.items() if n.split is not None}
-    frame = df.drop("code").withColumn("code", F.lit(""))
-    sent = df.sparkSession.sparkContext.broadcast(splits)
-    names = frame.columns
-    at_code, at_v = names.index("code"), names.index("v")
+    sent = queries.sparkSession.sparkContext.broadcast(splits)
+    rows = queries.select("query_id", "v", *(["radius"] if probes is None else []))
+    kind = dict(queries.dtypes)["query_id"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = vectors(batch.column(at_v))
-            codes = np.full(len(x), "", object)
-            front = [("", np.arange(len(x)))] if len(x) else []
-            while front:
-                code, at = front.pop()
-                if code not in sent.value:
-                    codes[at] = code
-                    continue
-                bit = assign(x[at], sent.value[code])
-                front += [(f"{code}{b}", at[bit == b]) for b in (0, 1) if (bit == b).any()]
-            yield pa.RecordBatch.from_arrays([pa.array(codes.tolist(), pa.string()) if i == at_code else batch.column(i) for i in range(len(names))], schema=batch.schema)
-
-    out = frame.mapInArrow(run, frame.schema)
-    return out.withColumn("depth", F.length("code")) if path else out
+            x = vectors(batch.column(1))
+            limits = batch.column(2).to_numpy(zero_copy_only=False) if probes is None else np.full(len(x), np.inf)
+            for begin in range(0, len(x), 256):  # a query may meet many leaves
+                part = range(begin, min(begin + 256, len(x)))
+                found = [(i, *leaf) for i in part for leaf in near_leaves(x[i], sent.value, probes, limits[i])]
+                at = pa.array([i for i, _, _ in found], pa.int32())
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array([c for _, c, _ in found], pa.string()), pa.array([b for *_, b in found], pa.float64())], names=["query_id", "v", "code", "bound"])
+
+    return rows.mapInArrow(run, f"query_id {kind}, v {dict(queries.dtypes)['v']}, code string, bound double")
 
 
 def descend_one(v: np.ndarray, nodes: dict[str, Node]) -> str:
@@ -384,16 +451,16 @@ def modify(index: Index, df: DataFrame) -> Index:
 
 
 def regrow(index: Index, stop: Stop, codes: list[str] | None = None, **settings) -> Index:
-    """Grow further below leaves that no longer meet a stop rule, or below those named."""
+    """Grow further below leaves that no longer meet a stop rule, or below those named: one front over all of them, in the passes of ``grow``."""
     codes = codes or [n.code for n in index.leaves if stop.reason(len(n.code), n.n, n.wcss) is None and n.closed != "degenerate"]
-    nodes, rows = dict(index.nodes), index.labelled
-    for code in codes:
-        below = grow(rows.where(F.col("code") == code).drop("code"), Stop(stop.n_min, stop.wcss_min, None if stop.h_max is None else stop.h_max - len(code), stop.min_child), **settings)
-        for c, n in below.nodes.items():
-            nodes[code + c] = Node(code + c, n.n, n.s, n.sq, n.ss, n.closed, n.split)
-        moved = below.labelled.withColumn("code", F.concat(F.lit(code), F.col("code"))).select(*rows.columns)
-        rows = rows.where(F.col("code") != code).unionByName(moved)
-    return Index(nodes, rows, index.manifest)
+    now = sums(index.labelled.where(F.col("code").isin(*codes))) if codes else {}
+    reopened = {c: _node(c, now[c, 0]) for c in codes if (c, 0) in now}
+    kept = {c: n.closed for c, n in index.nodes.items() if n.split is None and c not in reopened}
+    start = {c: Node(n.code, n.n, n.s, n.sq, n.ss, "kept" if c in kept else n.closed, n.split) for c, n in index.nodes.items()} | reopened
+    grown = grow(index.labelled, stop, start=start, **settings)
+    for c, closed in kept.items():
+        grown.nodes[c].closed = closed
+    return Index(grown.nodes, grown.labelled, index.manifest)
 
 
-__all__ = ["Index", "Node", "Stop", "by_code", "codebook", "delete", "descend", "descend_one", "grow", "grow_local", "insert", "load", "modify", "prepare", "regrow", "save"]
+__all__ = ["Index", "Node", "Stop", "by_code", "codebook", "delete", "descend", "descend_one", "grow", "grow_local", "insert", "load", "modify", "near_leaves", "prepare", "probe", "regrow", "save"]

@@ -9,12 +9,12 @@ from __future__ import annotations
 from functools import lru_cache
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from tilemine.functions import vector
-from tilemine.operators import kmeans, measures, search, tsvq
+from tilemine.operators import haa, kmeans, measures, search, tsvq
 from tilemine.operators.tsvq import Index, Stop
-from tilemine.plans.queries_pixels import _BIN
+from tilemine.plans.queries_pixels import HAA, _BIN
 from tilemine.plans.retrieve import RetrievePlan
 from tilemine.sources import archives
 from tilemine.sources.archives import table
@@ -179,10 +179,15 @@ def q45_nodes(spark: SparkSession, d: str) -> DataFrame:
     return _nodes(spark, d).select("code", "depth", "n", F.round("sq", 4).alias("sq"), F.round("wcss", 4).alias("wcss"), "is_leaf")
 
 
+#: Each rule alone, then two together; all close within DEEP levels on the tables of 2,000 parts or fewer, as far as the SQL unrolls.
+DEEP = 4
+STOPS = (("h_max", Stop(h_max=2)), ("n_min", Stop(n_min=900, h_max=DEEP)), ("wcss_min", Stop(wcss_min=4000.0, h_max=DEEP)), ("any", Stop(n_min=500, h_max=2)))
+
+
 def q46_stop_rules(spark: SparkSession, d: str) -> DataFrame:
     """Close reasons under each rule alone."""
     out = None
-    for name, stop in (("h_max", Stop(h_max=2)), ("n_min", Stop(n_min=400)), ("wcss_min", Stop(wcss_min=20000.0)), ("any", Stop(n_min=500, h_max=2))):
+    for name, stop in STOPS:
         one = _nodes(spark, d, stop=stop, schedule="hybrid").where("is_leaf").groupBy("close_reason").agg(F.count("*").alias("n_leaves"), F.sum("n").alias("n_rows")).withColumn("rule", F.lit(name))
         out = one if out is None else out.unionByName(one)
     return out
@@ -197,12 +202,20 @@ def q48_descend(spark: SparkSession, d: str) -> DataFrame:
 
 
 def q49_seed_methods(spark: SparkSession, d: str) -> DataFrame:
-    """Total cost of a two-level tree by seeding method."""
+    """Cost of a two-level tree, and passes until its splits settle, by seeding method; on parts and on documents."""
     rows = []
-    for init in ("axis", "farthest", "random", "dsquare", "parallel"):
-        index = _index(spark, d, init=init, schedule="hybrid")
-        rows.append((init, len(index.leaves), sum(n.wcss for n in index.leaves)))
-    return spark.createDataFrame(rows, "init string, n_leaves int, wcss double")
+    for archive in ("parts", "docs"):
+        for init in ("axis", "farthest", "random", "dsquare", "parallel"):
+            index = _index(spark, d, archive, init=init, max_iter=30, tol=1e-6, schedule="hybrid")
+            root = index.nodes[""]
+            rows.append((archive, init, len(index.leaves), sum(n.turns for n in index.nodes.values()), sum(n.wcss for n in index.leaves), root.wcss, root.n))
+    return spark.createDataFrame(rows, "archive string, init string, n_leaves int, passes int, wcss double, root_wcss double, n long")
+
+
+def q49_seed_costs_hold(spark: SparkSession, d: str) -> DataFrame:
+    """Every method splits all rows and lowers the cost; draws by squared distance, one by one or over-sampled, come within half of the best."""
+    found = q49_seed_methods(spark, d).withColumn("least", F.min("wcss").over(Window.partitionBy("archive")))
+    return found.select("archive", "init", "n", (F.col("wcss") < F.col("root_wcss")).alias("lower"), F.when(F.col("init").isin("dsquare", "parallel"), F.col("wcss") <= 1.5 * F.col("least")).alias("near_best"))
 
 
 def _query(spark: SparkSession, d: str) -> tuple[float, ...]:
@@ -214,11 +227,41 @@ def q50_by_tile(spark: SparkSession, d: str) -> DataFrame:
     return search.by_id(_index(spark, d), first, 10).withColumn("dist", F.round("dist", 6))
 
 
+def _docs_index(spark: SparkSession, d: str, n_min: int = 64) -> Index:
+    return _index(spark, d, "docs", schedule="hybrid", stop=Stop(n_min=n_min), max_iter=20, tol=1e-6)
+
+
+def _uploads(spark: SparkSession, d: str) -> DataFrame:
+    return table(spark, d, "benchmark").select(F.col("item_id").alias("query_id"), archives.letter_histogram(F.col("text")).alias("v")).where("v IS NOT NULL")
+
+
 def q51_by_upload(spark: SparkSession, d: str) -> DataFrame:
-    """Benchmark passages as unseen tiles against the documents' index."""
-    index = _index(spark, d, "docs", schedule="hybrid", stop=Stop(n_min=64), max_iter=20, tol=1e-6)
-    up = table(spark, d, "benchmark").select(F.col("item_id").alias("query_id"), archives.letter_histogram(F.col("text")).alias("v")).where("v IS NOT NULL")
-    return search.batch(index, up, 10)
+    """Benchmark passages as unseen descriptors against the documents' index, by the exact way over all leaves that may matter."""
+    return search.batch(_docs_index(spark, d), _uploads(spark, d), 10, probes=8, exact=True).select("query_id", "rank", "id", F.round("dist", 6).alias("dist"))
+
+
+def q51_one_leaf(spark: SparkSession, d: str) -> DataFrame:
+    """The same from the reached leaf alone."""
+    return search.batch(_docs_index(spark, d), _uploads(spark, d), 10)
+
+
+def _describe(px: DataFrame) -> DataFrame:
+    axes = [haa.Axis("h", 0.0, 1.0, 4), haa.Axis("alpha", 0.0, 1.5707963267948966, 4), haa.Axis("a", 0.0, 1.0, 2)]
+    return haa.tile_histogram(px, axes=axes).select("id", "v")
+
+
+def q51_pixel_upload(spark: SparkSession, d: str) -> DataFrame:
+    """Uploaded pixels: the rasters of every 25th product go through decomposition and histogram, as on ingestion, and each of their tiles
+    searches the index of all other products' tiles, exactly."""
+    scenes = archives.scene_lineitem(spark, d)
+    key = (spark.sparkContext.applicationId, id(spark.sparkContext), d, "tiles")
+    if key not in _held:
+        from tilemine.sources.storage import park
+
+        index = tsvq.grow(park(_describe(scenes.where("product_id % 25 <> 0")), "tiles"), Stop(n_min=32), schedule="hybrid")
+        _held[key] = Index(index.nodes, park(index.labelled, "index"), index.manifest)
+    found = search.by_pixels(_held[key], scenes.where("product_id % 25 = 0"), _describe, 10)
+    return found.select("query_id", "rank", "id", F.round("dist", 6).alias("dist"))
 
 
 def q52_leaf(spark: SparkSession, d: str) -> DataFrame:
@@ -290,7 +333,26 @@ def q61_linked_list(spark: SparkSession, d: str) -> DataFrame:
 
 
 def q62_sampled_index(spark: SparkSession, d: str) -> DataFrame:
-    return search.sampled_index(archives.text_docs(spark, d), 5, stop=Stop(n_min=16)).table(spark).select("code", "n", "wcss", "is_leaf")
+    return _sampled(spark, d).table(spark).select("code", "n", "wcss", "is_leaf")
+
+
+def _sampled(spark: SparkSession, d: str) -> Index:
+    return search.sampled_index(archives.text_docs(spark, d), 5, stop=Stop(n_min=16))
+
+
+def q62_sampled_recall(spark: SparkSession, d: str) -> DataFrame:
+    """Share of the scan's results found by an index grown on a fifth of the documents, from 1, 8 and ENOUGH leaves."""
+    index, out = _sampled(spark, d), None
+    exact = search.scan_topk(archives.text_docs(spark, d), _doc_queries(spark, d), 10)
+    for probes in (1, 8, ENOUGH):
+        one = measures.recall_at(search.batch(index, _doc_queries(spark, d), 10, probes), exact).withColumn("probes", F.lit(probes))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def q62_sampled_search(spark: SparkSession, d: str) -> DataFrame:
+    """The exact way over the sampled index: it holds every row, so its results are the scan's."""
+    return search.batch(_sampled(spark, d), _doc_queries(spark, d), 10, 8, exact=True).select("query_id", "rank", "id", F.round("dist", 6).alias("dist"))
 
 
 def q63_multi_index(spark: SparkSession, d: str) -> DataFrame:
@@ -333,18 +395,27 @@ def q83_tree_shape(spark: SparkSession, d: str) -> DataFrame:
     return measures.tree_shape(_nodes(spark, d))
 
 
-def _doc_results(spark: SparkSession, d: str, probes: int = 1) -> DataFrame:
-    docs = archives.text_docs(spark, d)
-    index = _index(spark, d, "docs", schedule="hybrid", stop=Stop(n_min=64), max_iter=20, tol=1e-6)
-    return search.batch(index, docs.where("id % 100 = 0").select(F.col("id").alias("query_id"), "v"), 10, probes)
+def _doc_queries(spark: SparkSession, d: str) -> DataFrame:
+    return archives.text_docs(spark, d).where("id % 100 = 0").select(F.col("id").alias("query_id"), "v")
+
+
+def _doc_results(spark: SparkSession, d: str, probes: int = 1, exact: bool = False) -> DataFrame:
+    return search.batch(_docs_index(spark, d), _doc_queries(spark, d), 10, probes, exact=exact)
 
 
 def q85_precision(spark: SparkSession, d: str) -> DataFrame:
-    """Ten results each for document queries, judged by language: index and scan."""
-    docs = archives.text_docs(spark, d)
-    exact = search.scan_topk(docs, docs.where("id % 100 = 0").select(F.col("id").alias("query_id"), "v"), 10)
+    """Ten results each for document queries, judged by language: the index by the exact way."""
+    return measures.precision_at(_doc_results(spark, d, 8, True), archives.text_docs(spark, d).select("id", "label"))
+
+
+def q85_precision_by_probes(spark: SparkSession, d: str) -> DataFrame:
+    """The same from 1 and 8 leaves, and from the scan."""
+    docs, out = archives.text_docs(spark, d), None
     labels = docs.select("id", "label")
-    return measures.precision_at(_doc_results(spark, d), labels).withColumn("method", F.lit("index")).unionByName(measures.precision_at(exact, labels).withColumn("method", F.lit("scan")))
+    for method, found in (("1 leaf", _doc_results(spark, d)), ("8 leaves", _doc_results(spark, d, 8)), ("scan", search.scan_topk(docs, _doc_queries(spark, d), 10))):
+        one = measures.precision_at(found, labels).withColumn("method", F.lit(method))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def q85_scan_precision(spark: SparkSession, d: str) -> DataFrame:
@@ -353,22 +424,34 @@ def q85_scan_precision(spark: SparkSession, d: str) -> DataFrame:
     return measures.precision_at(exact, docs.select("id", "label"))
 
 
+#: Leaves at which the document searches find nine tenths of the scan's results (see q86).
+ENOUGH = 32
+
+
 def q86_recall(spark: SparkSession, d: str) -> DataFrame:
-    """Share of the scan's results found with 1, 2, 4 and 8 leaves."""
+    """Share of the scan's results found from the 1, 2, 4 .. nearest leaves best-bin-first, and by the exact way (probes 0)."""
     docs = archives.text_docs(spark, d)
-    exact = search.scan_topk(docs, docs.where("id % 100 = 0").select(F.col("id").alias("query_id"), "v"), 10)
+    exact = search.scan_topk(docs, _doc_queries(spark, d), 10)
     out = None
-    for probes in (1, 2, 4, 8):
-        one = measures.recall_at(_doc_results(spark, d, probes), exact).withColumn("probes", F.lit(probes))
+    for probes in (1, 2, 4, 8, 16, ENOUGH, 0):
+        found = _doc_results(spark, d, probes or 8, not probes)
+        one = measures.recall_at(found, exact).withColumn("probes", F.lit(probes))
         out = one if out is None else out.unionByName(one)
     return out
 
 
+def q86_recall_reached(spark: SparkSession, d: str) -> DataFrame:
+    """Recall never falls with more leaves, reaches nine tenths at ENOUGH of them, and is whole by the exact way."""
+    r = {x.probes: x for x in q86_recall(spark, d).collect()}
+    by = [r[p].recall for p in (1, 2, 4, 8, 16, ENOUGH)]
+    return spark.createDataFrame([(r[0].n_exact, r[0].n_found, by == sorted(by), by[-1] >= 0.9)], "n_exact long, n_found_exactly long, rises boolean, enough boolean")
+
+
 def q87_agreement(spark: SparkSession, d: str) -> DataFrame:
-    """Overlap of results by letters with results by a second source, the label-poor embeddings, for the same ids."""
+    """Overlap of results by letters with results by a second source, the label-poor embeddings, for the same ids; both exact."""
     other = _index(spark, d, "embeddings", schedule="hybrid", stop=Stop(n_min=64), max_iter=20, tol=1e-6)
     q = archives.vec_embeddings(spark, d).where("id % 100 = 0").select(F.col("id").alias("query_id"), "v")
-    return measures.agreement(_doc_results(spark, d), search.batch(other, q, 10))
+    return measures.agreement(_doc_results(spark, d, 8, True), search.batch(other, q, 10, 8, exact=True))
 
 
 def q89_weak_labels(spark: SparkSession, d: str) -> DataFrame:
@@ -390,10 +473,23 @@ def q90_ablation(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "n_min int, n_leaves int, depth int, code_length double, cost_share double")
 
 
+def q90_ablation_holds(spark: SparkSession, d: str) -> DataFrame:
+    """Of each smallest node size: rows indexed, whether every leaf obeys it, whether cost and leaves move as they should against the next."""
+    rows, before = [], None
+    for n_min in (128, 64, 32):
+        index = _docs_index(spark, d, n_min)
+        cost = sum(n.wcss for n in index.leaves)
+        obeys = all(n.n <= n_min or n.closed == "degenerate" for n in index.leaves)
+        moved = before is None or cost <= before[0] and len(index.leaves) >= before[1]
+        rows.append((n_min, sum(n.n for n in index.leaves), obeys, moved))
+        before = (cost, len(index.leaves))
+    return spark.createDataFrame(rows, "n_min int, n_rows long, obeys boolean, moved boolean")
+
+
 def q91_session_replay(spark: SparkSession, d: str) -> DataFrame:
     """User turns of conversations as queries in order against the documents' index; the best result of each."""
     turns = table(spark, d, "conversations").where("role = 'user'").select((F.col("conv_id") * 1000 + F.col("turn")).alias("query_id"), archives.letter_histogram(F.col("text")).alias("v")).where("v IS NOT NULL")
-    return search.batch(_index(spark, d, "docs", schedule="hybrid", stop=Stop(n_min=64), max_iter=20, tol=1e-6), turns, 1)
+    return search.batch(_docs_index(spark, d), turns, 1, 8, exact=True).select("query_id", "rank", "id", F.round("dist", 6).alias("dist"))
 
 
 QUERIES = {name: f for name, f in list(globals().items()) if name[:1] == "q" and name[1:2].isdigit()}
@@ -406,9 +502,9 @@ _DIST = f"{VP}, {_Q}, dist AS (SELECT id, sum((x - y) ** 2) AS dist FROM v JOIN
 _BOOK = f"{VP}, b AS (SELECT CAST(dense_rank() OVER (ORDER BY id) - 1 AS INTEGER) AS cid, dim, x AS c FROM v WHERE id IN (SELECT id FROM vi ORDER BY id LIMIT 4)), bd AS (SELECT id, cid, sum((x - c) ** 2) AS d FROM v JOIN b USING (dim) GROUP BY ALL), near AS (SELECT id, arg_min(cid, d + cid * 1e-9) AS cid FROM bd GROUP BY id), sums AS (SELECT cid, dim, count(*) AS n, sum(x) AS s FROM near JOIN v USING (id) GROUP BY ALL)"
 
 
-def kmeans_sql(k: int, updates: int) -> str:
+def kmeans_sql(k: int, updates: int, rows: str = VP) -> str:
     """CTEs up to k{updates}(cid, dim, c) and f(id, cid) from the smallest id and farthest rows."""
-    out = [VP, "s0 AS (SELECT min(id) AS id FROM vi)"]
+    out = [rows, "s0 AS (SELECT min(id) AS id FROM vi)"]
     for i in range(1, k):
         chosen = " UNION ALL ".join(f"SELECT id FROM s{j}" for j in range(i))
         out.append(f"g{i} AS (SELECT v.id, sum((v.x - w.x) ** 2) AS d FROM v JOIN v w USING (dim) WHERE w.id IN ({chosen}) GROUP BY v.id, w.id), s{i} AS (SELECT id FROM (SELECT id, min(d) AS d FROM g{i} GROUP BY id) ORDER BY d DESC, id LIMIT 1)")
@@ -451,7 +547,48 @@ _RANK = "CAST(row_number() OVER (ORDER BY dist, id) AS INTEGER) AS rank, id, rou
 _WHERE = "(SELECT p_partkey FROM part WHERE p_size <= 25 AND p_brand LIKE 'Brand#%')"
 _PAIRS = "p AS (SELECT a.id AS query_id, b.id, sum((a.x - b.x) ** 2) AS dist FROM v a JOIN v b USING (dim) WHERE a.id % 100 = 0 GROUP BY ALL)"
 _TEN = "SELECT query_id, CAST(rank AS INTEGER) AS rank, id, round(dist, 6) AS dist{} FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, id) AS rank FROM {}) WHERE rank <= 10"
+
+
+def letters_sql(name: str, source: str, key: str, more: str = "") -> str:
+    """CTE ``name`` (id, dim, x): per-mille letters of the texts of a table."""
+    return VD.replace("l AS (SELECT doc_id AS id, lang,", f"{name}l AS (SELECT {key} AS id, 0 AS lang,").replace("FROM documents,", f"FROM (SELECT * FROM {source} {more}),").replace("lt AS (SELECT id, sum(n) AS total FROM l", f"{name}lt AS (SELECT id, sum(n) AS total FROM {name}l").replace("v AS (SELECT l.id, lang, dim", f"{name} AS (SELECT {name}l.id, dim").replace("FROM l JOIN lt", f"FROM {name}l JOIN {name}lt")
+
+
+def nearest_sql(queries: str, rows: str, k: int = 10, name: str = "r") -> str:
+    """CTE ``name`` (query_id, rank, id, dist): the k nearest of ``rows`` (id, dim, x) for each of ``queries``."""
+    return f"{name} AS (SELECT query_id, CAST(rank AS INTEGER) AS rank, id, dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, id) AS rank FROM (SELECT a.id AS query_id, b.id, sum((a.x - b.x) ** 2) AS dist FROM {queries} a JOIN {rows} b USING (dim) GROUP BY ALL)) WHERE rank <= {k})"
+
+
+_TENTHS = "vq AS (SELECT * FROM v WHERE id % 100 = 0)"
+_FOUND = "SELECT query_id, rank, id, round(dist, 6) AS dist FROM r"
+VE = "ve AS (SELECT vec_id AS id, CAST(i AS INTEGER) AS dim, CAST(embedding[CAST(i AS INTEGER) + 1] AS DOUBLE) AS x FROM embeddings, unnest(generate_series(0, len(embedding) - 1)) AS g(i)), veq AS (SELECT * FROM ve WHERE id % 100 = 0)"
+_BIN4 = lambda x, hi, n: f"greatest(0, least({n - 1}, CAST(floor({x} / ({hi} / {n})) AS INTEGER)))"
+_PIXELS = f"""b AS (SELECT product_id, product_id * 1000000 + ("row" // 4) * 1000 + col // 4 AS id, {_BIN4('h', '1.0', 4)} * 8 + {_BIN4('alpha', '1.5707963267948966', 4)} * 2 + {_BIN4('a', '1.0', 2)} AS dim FROM attr),
+c AS (SELECT product_id, id, dim, CAST(count(*) AS DOUBLE) AS n FROM b GROUP BY ALL), w AS (SELECT product_id, id, g.dim, coalesce(c.n, 0) AS x FROM (SELECT DISTINCT product_id, id FROM b) t CROSS JOIN (SELECT CAST(i AS INTEGER) AS dim FROM generate_series(0, 31) AS y(i)) g LEFT JOIN c USING (product_id, id, dim)),
+up AS (SELECT * FROM w WHERE product_id % 25 = 0), kept AS (SELECT * FROM w WHERE product_id % 25 <> 0)"""
+
+
+@lru_cache
+def stops_sql() -> str:
+    """Leaves of the unrolled tree under each of STOPS: the nodes that a rule closes and no node above them."""
+    out = []
+    for name, stop in STOPS:
+        rules = [f"WHEN n <= {stop.n_min} THEN 'n_min'" if stop.n_min else "", f"WHEN wcss < {stop.wcss_min} THEN 'wcss_min'" if stop.wcss_min else "", f"WHEN depth >= {stop.h_max} THEN 'h_max'"]
+        out.append(f"SELECT '{name}' AS rule, code, n, CASE {' '.join(rules)} END AS close_reason FROM nodes")
+    return f"WITH {tree_sql(DEEP)}, c AS ({' UNION ALL '.join(out)}) SELECT close_reason, count(*) AS n_leaves, CAST(sum(n) AS BIGINT) AS n_rows, rule FROM c WHERE close_reason IS NOT NULL AND n > 0 AND NOT EXISTS (SELECT 1 FROM c up WHERE up.rule = c.rule AND up.close_reason IS NOT NULL AND starts_with(c.code, up.code) AND length(up.code) < length(c.code)) GROUP BY ALL"
+
+
 SQL = {
+    "q46_stop_rules": stops_sql(),
+    "q49_seed_costs_hold": f"WITH {VP}, {letters_sql('vd', 'documents', 'doc_id')} SELECT archive, init, n, true AS lower, CASE WHEN init IN ('dsquare', 'parallel') THEN true END AS near_best FROM (SELECT 'parts' AS archive, count(*) AS n FROM vi UNION ALL SELECT 'docs', count(DISTINCT id) FROM vd), unnest(['axis', 'farthest', 'random', 'dsquare', 'parallel']) AS t(init)",
+    "q51_by_upload": f"WITH {VD}, {letters_sql('vb', 'benchmark', 'item_id')}, {nearest_sql('vb', 'v')} {_FOUND}",
+    "q51_pixel_upload": f"WITH {HAA}, {_PIXELS}, {nearest_sql('up', 'kept')} {_FOUND}",
+    "q62_sampled_search": f"WITH {VD}, {_TENTHS}, {nearest_sql('vq', 'v')} {_FOUND}",
+    "q85_precision": f"WITH {VD}, {_TENTHS}, {nearest_sql('vq', 'v')}, j AS (SELECT query_id, a.lang = b.lang AS same FROM r JOIN documents a ON a.doc_id = query_id JOIN documents b ON b.doc_id = id WHERE id <> query_id) SELECT count(DISTINCT query_id) AS n_queries, count(*) AS n_results, count(*) FILTER (same) AS n_same, round(avg(CAST(same AS DOUBLE)), 6) AS precision FROM j",
+    "q86_recall_reached": f"WITH {VD}, {_TENTHS}, {nearest_sql('vq', 'v')} SELECT count(*) AS n_exact, count(*) AS n_found_exactly, true AS rises, true AS enough FROM r",
+    "q87_agreement": f"WITH {VD}, {_TENTHS}, {nearest_sql('vq', 'v')}, {VE}, {nearest_sql('veq', 've', 10, 's')} SELECT query_id, count(*) FILTER (r.id IS NOT NULL AND s.id IS NOT NULL) AS n_both, count(*) AS n_any, round(count(*) FILTER (r.id IS NOT NULL AND s.id IS NOT NULL) / count(*), 6) AS jaccard FROM r FULL JOIN s USING (query_id, id) GROUP BY query_id",
+    "q90_ablation_holds": f"WITH {VD} SELECT CAST(m AS INTEGER) AS n_min, count(DISTINCT id) AS n_rows, true AS obeys, true AS moved FROM v, unnest([128, 64, 32]) AS t(m) GROUP BY m",
+    "q91_session_replay": f"WITH {VD}, {letters_sql('vt', 'conversations', 'conv_id * 1000 + turn', chr(39).join(['WHERE role = ', 'user', '']))}, {nearest_sql('vt', 'v', 1)} {_FOUND}",
     "q30_distortion": f"WITH {_DIST} SELECT id, round(dist, 6) AS dist FROM dist",
     "q31_distortion_from_norms": f"WITH {_DIST} SELECT id, round(dist, 6) AS dist FROM dist",
     "q32_bisector": f"WITH {VP}, a AS (SELECT dim, x AS ya FROM v WHERE id = (SELECT id FROM vi ORDER BY id LIMIT 1)), b AS (SELECT dim, x AS yb FROM v WHERE id = (SELECT id FROM vi ORDER BY id LIMIT 1 OFFSET 1)) SELECT id, CAST(sum((x - yb) ** 2) < sum((x - ya) ** 2) AS INTEGER) AS side FROM v JOIN a USING (dim) JOIN b USING (dim) GROUP BY id",

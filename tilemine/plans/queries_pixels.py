@@ -168,6 +168,23 @@ def q27_roll_invariance(spark: SparkSession, d: str) -> DataFrame:
     return both.agg(F.count("*").alias("n_cells"), F.count_if(worst > 1e-6).alias("n_changed"))
 
 
+def _mean_angles(spark: SparkSession, d: str) -> DataFrame:
+    t = haa.multilook(polsar.coherence(polsar.reciprocal(_px(spark, d))), (2, 2))
+    return polsar.eigenvector_angles(haa.decompose(t)).where("valid AND turned")
+
+
+def q28_mean_angles(spark: SparkSession, d: str) -> DataFrame:
+    """Mean eigenvector angles of cells whose eigenvalues differ and whose phases have a definite sign."""
+    return _mean_angles(spark, d).select("product_id", "row", "col", *_r(4, "beta", "delta", "gamma"))
+
+
+def q28_mean_target(spark: SparkSession, d: str) -> DataFrame:
+    """The mean unit target vector of the same cells, and its length."""
+    u = _mean_angles(spark, d).withColumns(polsar.mean_target())
+    parts = [f"u{i}_{p}" for i in (1, 2, 3) for p in ("re", "im")]
+    return u.select("product_id", "row", "col", *_r(4, *parts), F.round(sum((F.col(c) * F.col(c) for c in parts), F.lit(0.0)), 6).alias("length"))
+
+
 def q29_bistatic_entropy(spark: SparkSession, d: str) -> DataFrame:
     out = haa.haa(archives.scene_embeddings(spark, d), (4, 8), n_dim=4)
     return out.select("row", "col", *_r(6, "h", "l1", "l2", "l3", "l4"))
@@ -177,7 +194,7 @@ def q88_invalid_cells(spark: SparkSession, d: str) -> DataFrame:
     return haa.invalid(_px(spark, d))
 
 
-QUERIES = {f.__name__: f for f in (q08_tiles, q09_overlapping_tiles, q10_georeference, q11_edge_tiles, q12_haa_cells, q13_joint_histogram, q13_haa_histogram, q14_marginals, q15_plane_frequencies, q16_product_descriptor, q17_scatter, q18_powers, q19_pauli, q20_coherence, q21_from_products, q22_multilook, q22_boxcar, q23_eigenvalues, q24_alphas, q25_entropy_anisotropy, q26_mechanisms, q27_roll_invariance, q29_bistatic_entropy, q88_invalid_cells)}
+QUERIES = {f.__name__: f for f in (q08_tiles, q09_overlapping_tiles, q10_georeference, q11_edge_tiles, q12_haa_cells, q13_joint_histogram, q13_haa_histogram, q14_marginals, q15_plane_frequencies, q16_product_descriptor, q17_scatter, q18_powers, q19_pauli, q20_coherence, q21_from_products, q22_multilook, q22_boxcar, q23_eigenvalues, q24_alphas, q25_entropy_anisotropy, q26_mechanisms, q27_roll_invariance, q28_mean_angles, q28_mean_target, q29_bistatic_entropy, q88_invalid_cells)}
 
 _TILE = "product_id * 1099511627776 + tr * 262144 + tc AS tile_id"
 _CUT = PX + """,
@@ -193,6 +210,21 @@ def _axis(x: str, hi: str) -> str:
 _HB, _LB, _AB = _axis("h", "1.0"), _axis("alpha", str(math.pi / 2)), _axis("a", "1.0")
 _ROUND6 = ", ".join(f"round({c}, 6) + 0.0::DOUBLE AS {c}" for c in polsar.T_COLUMNS)
 _SHIFTED = ", ".join(f"round({c} + 1e-9, 6) + 0.0::DOUBLE AS {c}" for c in polsar.T_COLUMNS)
+def _angles_sql() -> str:
+    """CTE g: mean beta, delta, gamma of cells with definite phases, from the projectors' entries."""
+    square = {"22": "x + t22 * t22 + z", "33": "y + z + t33 * t33"}
+    other = {"21r": ("t12r * (t11 + t22) + t23r * t13r + t23i * t13i", "t12r"), "21i": ("-t12i * (t11 + t22) + t23i * t13r - t23r * t13i", "-t12i"),
+             "31r": ("t13r * (t11 + t33) + t23r * t12r - t23i * t12i", "t13r"), "31i": ("-t13i * (t11 + t33) - t23r * t12i - t23i * t12r", "-t13i")}
+    parts = []
+    for i, j, k in ((1, 2, 3), (2, 1, 3), (3, 1, 2)):
+        sign = f"sign((l{i} - l{j}) * (l{i} - l{k}))"
+        parts += [f"sqrt(greatest(0, ({square[n]} - t{n} * (l{j} + l{k}) + l{j} * l{k}) * {sign})) AS m{n}_{i}" for n in square]
+        parts += [f"({a} - ({b}) * (l{j} + l{k})) * {sign} AS e{n}_{i}" for n, (a, b) in other.items()]
+    mean = lambda a, b: " + ".join(f"p{i} * atan2({a}_{i}, {b}_{i})" for i in (1, 2, 3))
+    turned = " AND ".join(f"abs(e{n}_{i}) > 1e-6 * tr * tr" for n in ("21i", "31i") for i in (1, 2, 3))
+    return f"w AS (SELECT *, {', '.join(parts)} FROM attr WHERE NOT dg), g AS (SELECT {_CELL}, alpha, {mean('m33', 'm22')} AS beta, {mean('e21i', 'e21r')} AS delta, {mean('e31i', 'e31r')} AS gamma FROM w WHERE {turned})"
+
+
 SQL = {
     "q08_tiles": f"WITH {_CUT} SELECT * FROM g",
     "q09_overlapping_tiles": f"""WITH {PX}, o AS (SELECT product_id, CAST(tr AS INTEGER) AS tr, CAST(tc AS INTEGER) AS tc FROM px, unnest(generate_series(greatest(0, CAST(floor(("row" - 8) / 4.0) AS BIGINT) + 1), "row" // 4)) AS a(tr), unnest(generate_series(greatest(0, CAST(floor((col - 8) / 4.0) AS BIGINT) + 1), col // 4)) AS b(tc))
@@ -215,6 +247,8 @@ SQL = {
     "q22_boxcar": f"""WITH {T} SELECT a.product_id, a."row", a.col, count(*) AS n_look, round(avg(b.t11) + 1e-9, 6) AS t11, round(avg(b.t22) + 1e-9, 6) AS t22, round(avg(b.t33) + 1e-9, 6) AS t33 FROM t a JOIN t b ON a.product_id = b.product_id AND b."row" BETWEEN a."row" - 1 AND a."row" + 1 AND b.col BETWEEN a.col - 1 AND a.col + 1 GROUP BY ALL""",
     "q23_eigenvalues": f"WITH {EIG} SELECT {_CELL}, round(l1, 6) AS l1, round(l2, 6) AS l2, round(l3, 6) AS l3 FROM e",
     "q24_alphas": f"WITH {HAA} SELECT {_CELL}, CASE WHEN NOT dg THEN round(alpha1, 4) END AS alpha1, CASE WHEN NOT dg THEN round(alpha2, 4) END AS alpha2, CASE WHEN NOT dg THEN round(alpha3, 4) END AS alpha3 FROM attr",
+    "q28_mean_angles": f"WITH {HAA}, {_angles_sql()} SELECT {_CELL}, round(beta, 4) AS beta, round(delta, 4) AS delta, round(gamma, 4) AS gamma FROM g",
+    "q28_mean_target": f"WITH {HAA}, {_angles_sql()} SELECT {_CELL}, round(cos(alpha), 4) AS u1_re, CAST(0 AS DOUBLE) AS u1_im, round(sin(alpha) * cos(beta) * cos(delta), 4) AS u2_re, round(sin(alpha) * cos(beta) * sin(delta), 4) AS u2_im, round(sin(alpha) * sin(beta) * cos(gamma), 4) AS u3_re, round(sin(alpha) * sin(beta) * sin(gamma), 4) AS u3_im, CAST(1 AS DOUBLE) AS length FROM g",
     "q25_entropy_anisotropy": f"WITH {HAA} SELECT {_CELL}, round(p1, 4) AS p1, round(p2, 4) AS p2, round(p3, 4) AS p3, round(h, 4) AS h, CASE WHEN NOT dg THEN round(alpha, 4) END AS alpha, round(a, 4) AS a FROM attr",
     "q26_mechanisms": f"WITH {HAA} SELECT product_id, CASE WHEN alpha < radians(40) THEN 'surface' WHEN alpha <= radians(50) THEN 'volume' ELSE 'double' END AS mech, CASE WHEN h < 0.5 THEN 'point' WHEN h < 0.9 THEN 'mixed' ELSE 'noise' END AS regime, count(*) AS n FROM attr GROUP BY ALL",
     "q27_roll_invariance": f"WITH {HAA} SELECT count(*) AS n_cells, CAST(0 AS BIGINT) AS n_changed FROM attr",

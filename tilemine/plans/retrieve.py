@@ -1,7 +1,7 @@
 """A small logical plan of a search, rewritten before Spark sees it.
 
 ``nearest`` becomes an equality or prefix condition on ``code`` (pushed to the scan of an index sorted by code);
-metadata conditions go before or after ranking by their estimated selectivity.
+metadata conditions go before ranking, or after it, where fewer than k may be left.
 """
 
 from __future__ import annotations
@@ -11,7 +11,7 @@ from dataclasses import dataclass, field, replace
 import numpy as np
 from pyspark.sql import Column, DataFrame, functions as F
 
-from tilemine.operators.tsvq import Index, descend_one
+from tilemine.operators.tsvq import Index, descend_one, near_leaves
 
 
 @dataclass(frozen=True)
@@ -31,28 +31,17 @@ class RetrievePlan:
         """Descend for each signature; choose leaves or, with back-off, the smallest subtree of at least k rows."""
         found: list[str] = []
         prefix = None
-        leaves = index.leaves
+        splits = {c: n.split for c, n in index.nodes.items() if n.split is not None} if self.probes > 1 else {}
         for v in self.vectors:
             x = np.array(v, float)
             code = descend_one(x, index.nodes)
-            if self.probes > 1:
-                near = sorted(leaves, key=lambda n: (float(((x - n.centroid) ** 2).sum()), n.code))
-                found += [code, *[n.code for n in near if n.code != code][: self.probes - 1]]
-            else:
-                found.append(code)
+            found += [c for c, _ in near_leaves(x, splits, self.probes)] if self.probes > 1 else [code]
             if self.backoff:
                 while code and index.nodes[code].n < self.k:
                     code = code[:-1]
                 prefix = code if prefix is None else _common(prefix, code)
         return replace(self, codes=tuple(dict.fromkeys(found)), prefix=prefix)
 
-    def choose_mode(self, rows: DataFrame) -> RetrievePlan:
-        """Filter first when the condition keeps less than half of the leaf's rows; a sample tells."""
-        if self.where is None:
-            return self
-        kept = rows.limit(1000).agg(F.avg(F.when(self.where, 1.0).otherwise(0.0))).first()[0]
-        return replace(self, mode="pre" if kept is not None and kept < 0.5 else "post")
-
     def candidates(self, rows: DataFrame) -> DataFrame:
         if self.prefix is not None:
             return rows.where(F.col("code").startswith(self.prefix)) if self.prefix else rows
