@@ -33,6 +33,8 @@ FILE = "word_bpe_49k.json"
 CHUNK, OVERLAP = 6000, 400
 #: White space between two characters that neither are white space nor combine with what stands before them.
 _STABLE = re.compile(r"(?<=[A-Za-z0-9.,;:!?])[ \n\t](?=[A-Za-z0-9])")
+#: What the normaliser would do more to than turn capitals into small letters: combining marks and all beyond them, a letter whose small form is two characters, special strings.
+_NOT_PLAIN = re.compile("[\u0130\u0300-\U0010ffff]|<\\|")
 _COLLAPSE = {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}
 
 
@@ -53,31 +55,50 @@ def load(file: str = FILE):
     return tokenizer
 
 
+def load_plain(file: str = FILE):
+    """The tokenizer without its normaliser, for small letters below the combining marks, which NFC leaves alone; None if its normaliser is another."""
+    from tokenizers import normalizers
+
+    tokenizer, spec = load(file), json.load(open(public_tokenizers.path(file)))
+    kinds = [p["type"] for p in (spec["normalizer"] or {}).get("normalizers", [])]
+    if sorted(kinds) != ["Lowercase", "NFC", "Replace"] or any("<|" not in t["content"] or t["normalized"] for t in spec["added_tokens"]):
+        return None
+    tokenizer.normalizer = normalizers.Sequence([])
+    return tokenizer
+
+
 class Counter:
-    def __init__(self, tokenizer, chunk: int = CHUNK, overlap: int = OVERLAP):
-        self.tokenizer, self.chunk, self.overlap = tokenizer, chunk, overlap
+    def __init__(self, tokenizer, chunk: int = CHUNK, overlap: int = OVERLAP, plain=None):
+        self.tokenizer, self.chunk, self.overlap, self.plain = tokenizer, chunk, overlap, plain
         self.widened = self.spliced = 0
 
     def count_all(self, texts: list[str]) -> list[int]:
-        """Whole short texts go to the library in batches of bounded size."""
-        out, batch, size = [0] * len(texts), [], 0
+        """Texts of one chunk go to the library in batches of bounded size."""
+        out, size = [0] * len(texts), 0
+        batches: tuple[list, list] = ([], [])
         for i, text in enumerate(texts):
             if len(text) > self.chunk:
                 out[i] = self.count_long(text)
                 continue
-            batch.append(i)
+            plain = self.plain is not None and not _NOT_PLAIN.search(text)
+            batches[plain].append((i, text.lower() if plain else text))
             size += len(text)
             if size > 200_000:
-                self._flush(texts, batch, out)
-                batch, size = [], 0
-        self._flush(texts, batch, out)
+                self._flush(batches, out)
+                size = 0
+        self._flush(batches, out)
         return out
 
-    def _flush(self, texts: list[str], batch: list[int], out: list[int]) -> None:
-        for i, x in zip(batch, self.tokenizer.encode_batch_fast([texts[i] for i in batch], add_special_tokens=False)):
-            out[i] = len(x)
+    def _flush(self, batches: tuple[list, list], out: list[int]) -> None:
+        for tokenizer, batch in zip((self.tokenizer, self.plain), batches):
+            if batch:
+                for (i, _), x in zip(batch, tokenizer.encode_batch_fast([t for _, t in batch], add_special_tokens=False)):
+                    out[i] = len(x)
+                batch.clear()
 
     def _encode(self, text: str):
+        if self.plain is not None and not _NOT_PLAIN.search(text):
+            return self.plain.encode(text.lower(), add_special_tokens=False)
         return self.tokenizer.encode(text, add_special_tokens=False)
 
     def count_long(self, text: str) -> int:
@@ -130,7 +151,7 @@ def counts(docs: DataFrame, limit: int = 2048, file: str = FILE, chunk: int = CH
     schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64()), ("over_limit", pa.bool_())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counter = Counter(load(file), chunk, overlap)
+        counter = Counter(load(file), chunk, overlap, load_plain(file))
 
         def rows(x: dict[str, list]) -> dict[str, list]:
             n = counter.count_all([b.decode() for b in x["body"]])

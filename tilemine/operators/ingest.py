@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
 
 HREF = r'href="([^"]+)"'
@@ -61,12 +64,52 @@ def by_queue(queue_depth: DataFrame, per_worker: int = 2, lo: int = 1, hi: int =
     return queue_depth.withColumn("workers", F.greatest(F.lit(lo), F.least(F.lit(hi), F.ceil(F.col("depth") / per_worker))).cast("int"))
 
 
-def by_feedback(work: DataFrame, workers: int = 2, target: float = 0.8, lo: int = 1, hi: int = 8, bucket_s: int = 3600) -> DataFrame:
-    """Workers wanted from the utilisation of the bucket before: they change in proportion to its distance from the target."""
-    used = F.col("work_s") / (workers * bucket_s)
-    before = F.lag(used).over(Window.orderBy("bucket"))
-    wanted = F.ceil(workers * before / target)
-    return work.withColumn("utilisation", F.round(used, 6)).withColumn("workers", F.coalesce(F.greatest(F.lit(lo), F.least(F.lit(hi), wanted)), F.lit(workers)).cast("int"))
+def served(queue: DataFrame, workers: int = 4) -> DataFrame:
+    """(task_id, worker, arrived_s, started_s, finished_s, wait_s): each worker takes its tasks (dealt by id) in order of arrival and one at a
+    time, so tasks wait.  The k-th finish is the greatest, over all tasks before, of its arrival plus all service since, which a
+    running maximum gives: one shuffle by worker, no loop."""
+    rows = queue.select("task_id", F.pmod("task_id", F.lit(workers)).alias("worker"), seconds(F.col("arrived")).alias("arrived_s"), F.ceil("service_s").cast("long").alias("work"))
+    order = Window.partitionBy("worker").orderBy("arrived_s", "task_id")
+    done = rows.withColumn("sum", F.sum("work").over(order))
+    done = done.withColumn("finished_s", F.col("sum") + F.max(F.col("arrived_s") - F.col("sum") + F.col("work")).over(order))
+    started = F.col("finished_s") - F.col("work")
+    return done.select("task_id", "worker", "arrived_s", started.alias("started_s"), "finished_s", (started - F.col("arrived_s")).alias("wait_s"))
+
+
+def waits(tasks_served: DataFrame) -> DataFrame:
+    """Tasks, mean and greatest wait, share that waited, busy share of the workers' time, tasks an hour."""
+    span = F.max("finished_s") - F.min("arrived_s")
+    return tasks_served.agg(
+        F.count("*").alias("tasks"), F.round(F.avg("wait_s"), 6).alias("mean_wait_s"), F.max("wait_s").alias("max_wait_s"), F.round(F.avg((F.col("wait_s") > 0).cast("double")), 6).alias("waited"),
+        F.round(F.sum(F.col("finished_s") - F.col("started_s")) / (span * F.countDistinct("worker")), 6).alias("utilisation"), F.round(F.count("*") * 3600 / span, 6).alias("tasks_per_hour"),
+    )
+
+
+def every_bucket(work: DataFrame) -> DataFrame:
+    """The work with the buckets in between that have none."""
+    ends = work.agg(F.min("bucket").alias("a"), F.max("bucket").alias("b")).where("a IS NOT NULL")
+    return ends.select(F.explode(F.sequence("a", "b")).alias("bucket")).join(work, "bucket", "left").na.fill(0, ["tasks", "work_s"])
+
+
+def by_feedback(work: DataFrame, workers: int = 2, target: tuple[int, int] = (4, 5), lo: int = 1, hi: int = 8, bucket_s: int = 3600) -> DataFrame:
+    """(bucket, tasks, work_s, workers, backlog_s, wait_s, utilisation): a queue whose workers follow the measured utilisation.  What the workers
+    of a bucket can't do stays in the queue; the next bucket has as many workers as would have been used to ``target``.  Each bucket depends on
+    the one before, so one task goes through the buckets, of which there are few at any number of tasks."""
+    part, of = target
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, backlog = workers, 0
+        for batch in batches:
+            out = []
+            for bucket, tasks, work_s in zip(*(c.to_pylist() for c in batch.columns)):
+                capacity, asked = now * bucket_s, backlog + work_s
+                used, backlog = min(asked, capacity), max(0, asked - capacity)
+                out.append((bucket, tasks, work_s, now, backlog, -(-backlog // now), round(used / capacity, 6)))
+                now = max(lo, min(hi, -(-of * used // (part * bucket_s))))
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out)] if out else [pa.array([]) for _ in range(7)], names=["bucket", "tasks", "work_s", "workers", "backlog_s", "wait_s", "utilisation"])
+
+    buckets = every_bucket(work).select("bucket", "tasks", "work_s").repartition(1).sortWithinPartitions("bucket")
+    return buckets.mapInArrow(run, "bucket long, tasks long, work_s long, workers long, backlog_s long, wait_s long, utilisation double").withColumn("workers", F.col("workers").cast("int"))
 
 
 def by_cost(work: DataFrame, open_from: int = 8, open_to: int = 20, workers: int = 4, budget: int = 1000) -> DataFrame:

@@ -25,6 +25,25 @@ def q02_queue_report(spark: SparkSession, d: str) -> DataFrame:
     return ingest.report(_tasks(spark, d))
 
 
+def q02_served(spark: SparkSession, d: str) -> DataFrame:
+    """Four workers, one task at a time each: when tasks start and end and how long they wait."""
+    return ingest.served(_peak(spark, d), 4)
+
+
+def q02_waits(spark: SparkSession, d: str) -> DataFrame:
+    return ingest.waits(ingest.served(_peak(spark, d), 4))
+
+
+def _peak(spark: SparkSession, d: str) -> DataFrame:
+    """Tasks ten times as long as usual, so that the workers are short of time."""
+    return ingest.tasks(table(spark, d, "events"), 100.0)
+
+
+def q05_feedback_under_load(spark: SparkSession, d: str) -> DataFrame:
+    """The same policy where the work is more than the first workers can do."""
+    return ingest.by_feedback(ingest.load(_peak(spark, d)))
+
+
 def q03_leases(spark: SparkSession, d: str) -> DataFrame:
     return ingest.lease_replay(_tasks(spark, d))
 
@@ -101,13 +120,19 @@ def q84_volumes(spark: SparkSession, d: str) -> DataFrame:
     return n.select("product_id", (F.col("n") * 64).alias("raw_bytes"), (F.ceil(rows / 8) * 4 * 2048).cast("long").alias("descriptor_bytes_at_most"))
 
 
-QUERIES = {f.__name__: f for f in (q01_crawl, q02_queue_depth, q02_queue_report, q03_leases, q04_scale_by_queue, q05_scale_by_feedback, q06_scale_by_cost, q07_choose_workers, q07_peak_load, q160_map, q161_reduce, q162_map_reduce, q75_relative_cost, q75_relative_run_cost, q76_tradeoff, q77_linear_fit, q78_outliers, q79_speedup, q84_volumes)}
+QUERIES = {f.__name__: f for f in (q01_crawl, q02_queue_depth, q02_queue_report, q02_served, q02_waits, q03_leases, q04_scale_by_queue, q05_scale_by_feedback, q05_feedback_under_load, q06_scale_by_cost, q07_choose_workers, q07_peak_load, q160_map, q161_reduce, q162_map_reduce, q75_relative_cost, q75_relative_run_cost, q76_tradeoff, q77_linear_fit, q78_outliers, q79_speedup, q84_volumes)}
 
 _TASKS = "t AS (SELECT event_id AS task_id, CAST(floor(epoch(ts)) AS BIGINT) AS s, value * 10.0::DOUBLE AS v, event_type = 'error' AS f FROM events)"
 _DEPTH = """steps AS (SELECT s // 3600 AS bucket, 1 AS d FROM t UNION ALL SELECT CAST((s + ceil(v)) AS BIGINT) // 3600, -1 FROM t),
 per AS (SELECT bucket, count(*) FILTER (d > 0) AS arrived, count(*) FILTER (d < 0) AS finished FROM steps GROUP BY bucket),
 q AS (SELECT *, CAST(sum(arrived - finished) OVER (ORDER BY bucket) AS BIGINT) AS depth FROM per)"""
 _LOAD = "w AS (SELECT s // 3600 AS bucket, count(*) AS tasks, CAST(sum(ceil(v)) AS BIGINT) AS work_s FROM t GROUP BY 1)"
+_PEAK = _TASKS.replace("10.0", "100.0")
+_SERVED = "o AS (SELECT task_id, task_id % 4 AS worker, s AS arrived_s, CAST(ceil(v) AS BIGINT) AS work FROM t), c AS (SELECT *, CAST(sum(work) OVER (PARTITION BY worker ORDER BY arrived_s, task_id) AS BIGINT) AS sum FROM o), e AS (SELECT *, sum + max(arrived_s - sum + work) OVER (PARTITION BY worker ORDER BY arrived_s, task_id) AS finished_s FROM c), served AS (SELECT task_id, worker, arrived_s, finished_s - work AS started_s, finished_s, finished_s - work - arrived_s AS wait_s FROM e)"
+_FEED = """h AS (SELECT CAST(b AS BIGINT) AS bucket, coalesce(tasks, 0) AS tasks, coalesce(work_s, 0) AS work_s FROM unnest(generate_series((SELECT min(bucket) FROM w), (SELECT max(bucket) FROM w))) AS g(b) LEFT JOIN w ON w.bucket = b),
+f AS (SELECT bucket, tasks, work_s, CAST(2 AS BIGINT) AS workers, greatest(0, work_s - 7200) AS backlog_s, least(work_s, 7200) AS used FROM h WHERE bucket = (SELECT min(bucket) FROM h)
+UNION ALL SELECT bucket, tasks, work_s, n, greatest(0, backlog_s + work_s - n * 3600), least(backlog_s + work_s, n * 3600) FROM (SELECT h.bucket, h.tasks, h.work_s, f.backlog_s, CAST(greatest(1, least(8, (5 * f.used + 14399) // 14400)) AS BIGINT) AS n FROM f JOIN h ON h.bucket = f.bucket + 1))"""
+_FED = "SELECT bucket, tasks, work_s, CAST(workers AS INTEGER) AS workers, backlog_s, (backlog_s + workers - 1) // workers AS wait_s, round(used / (workers * 3600.0::DOUBLE), 6) AS utilisation FROM f"
 _LEASE = """r AS (SELECT task_id, s, v, CASE WHEN v <= 1000 AND NOT f THEN 1 WHEN v <= 1000 THEN 2 END AS good FROM t),
 l AS (SELECT task_id, CAST(i AS INTEGER) AS attempt, s + (i - 1) * 1000 AS leased_s, CASE WHEN i = good THEN 'done' WHEN i = 3 THEN 'given up' ELSE 'visible again' END AS outcome FROM r, unnest(generate_series(1, least(coalesce(good, 3), 3))) AS g(i))"""
 _TYPES = "k(id, vcpu, rate) AS (VALUES " + ", ".join(f"('{t[0]}', {t[3]}, {t[6]}::DOUBLE)" for t in ingest.TYPES) + ")"
@@ -124,7 +149,10 @@ SQL = {
     "q02_queue_report": f"WITH {_TASKS}, {_LEASE} SELECT count(*) AS deliveries, count(*) FILTER (attempt > 1) AS redeliveries, count(*) FILTER (outcome = 'done') AS done, count(*) FILTER (outcome = 'given up') AS given_up, (SELECT round(sum(least(v, 1000)) / 3600, 2) FROM t) AS busy_hours FROM l",
     "q03_leases": f"WITH {_TASKS}, {_LEASE} SELECT * FROM l",
     "q04_scale_by_queue": f"WITH {_TASKS}, {_DEPTH} SELECT *, CAST(greatest(1, least(8, ceil(depth / 2.0))) AS INTEGER) AS workers FROM q",
-    "q05_scale_by_feedback": f"WITH {_TASKS}, {_LOAD} SELECT *, round(work_s / 7200.0::DOUBLE, 6) AS utilisation, CAST(coalesce(greatest(1, least(8, ceil(2 * lag(work_s / 7200.0::DOUBLE) OVER (ORDER BY bucket) / 0.8::DOUBLE))), 2) AS INTEGER) AS workers FROM w",
+    "q02_served": f"WITH {_PEAK}, {_SERVED} SELECT * FROM served",
+    "q02_waits": f"WITH {_PEAK}, {_SERVED} SELECT count(*) AS tasks, round(avg(wait_s), 6) AS mean_wait_s, max(wait_s) AS max_wait_s, round(avg(CAST(wait_s > 0 AS DOUBLE)), 6) AS waited, round(sum(finished_s - started_s) / ((max(finished_s) - min(arrived_s)) * count(DISTINCT worker)), 6) AS utilisation, round(count(*) * 3600 / (max(finished_s) - min(arrived_s)), 6) AS tasks_per_hour FROM served",
+    "q05_scale_by_feedback": f"WITH RECURSIVE {_TASKS}, {_LOAD}, {_FEED} {_FED}",
+    "q05_feedback_under_load": f"WITH RECURSIVE {_PEAK}, {_LOAD}, {_FEED} {_FED}",
     "q06_scale_by_cost": f"WITH {_TASKS}, {_LOAD}, x AS (SELECT *, CASE WHEN bucket % 24 >= 8 AND bucket % 24 < 20 THEN 4 ELSE 0 END AS wanted FROM w), y AS (SELECT *, sum(wanted) OVER (ORDER BY bucket) AS spent FROM x) SELECT bucket, work_s, CAST(CASE WHEN spent <= 1000 THEN wanted ELSE 0 END AS INTEGER) AS workers FROM y",
     "q07_choose_workers": f"WITH {_TASKS}, {_LOAD}, {_TYPES}, p AS (SELECT bucket, work_s, id, rate, CAST(greatest(1, ceil(work_s / (vcpu * 3600.0::DOUBLE))) AS INTEGER) AS workers FROM w, k), o AS (SELECT *, round(workers * rate, 4) AS cost, row_number() OVER (PARTITION BY bucket ORDER BY round(workers * rate, 4), id) AS n FROM p) SELECT bucket, work_s, id AS type, workers, cost FROM o WHERE n = 1",
     "q07_peak_load": f"WITH t AS (SELECT CAST(epoch(TIMESTAMP '2024-01-01') AS BIGINT) AS s, value * 10.0::DOUBLE AS v FROM events), {_DEPTH} SELECT *, CAST(greatest(1, least(8, ceil(depth / 100.0))) AS INTEGER) AS workers FROM q",

@@ -157,7 +157,7 @@ SQL = {
     "w02_tile_sizes": f"WITH {PX} " + " UNION ALL ".join(_sweep(*x) for x in _SIZES),
     "w08_cost_benefit": f"WITH {_I._rel('nodes * rate')}, t AS (SELECT *, round(time_gain_pct - cost_change_pct, 6) AS tradeoff FROM rel) SELECT *, tradeoff > 0 AS beneficial, config = (SELECT config FROM t ORDER BY tradeoff DESC, config DESC LIMIT 1) AS is_best FROM t",
     "w12_constrained": f"WITH {_TREE}, {_Q}, dist AS (SELECT id, sum((x - y) ** 2) AS dist FROM v JOIN q USING (dim) GROUP BY id), hit AS (SELECT id, dist FROM dist JOIN {_LAB} USING (id) WHERE code = (SELECT code FROM {_LAB} WHERE id = (SELECT min(id) FROM vi)) AND id IN (SELECT l_partkey FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey JOIN part ON p_partkey = l_partkey WHERE r_name = 'ASIA' AND l_shipdate >= TIMESTAMP '1995-01-01' AND p_size < 30)) SELECT CAST(row_number() OVER (ORDER BY dist, id) AS INTEGER) AS rank, id FROM hit ORDER BY dist, id LIMIT 10",
-    "w13_elastic_run": f"WITH {_I._TASKS}, {_I._DEPTH}, {_I._LOAD}, a AS (SELECT bucket, CAST(greatest(1, least(8, ceil(depth / 2.0))) AS INTEGER) AS by_queue FROM q), f AS (SELECT bucket, CAST(coalesce(greatest(1, least(8, ceil(2 * lag(work_s / 7200.0::DOUBLE) OVER (ORDER BY bucket) / 0.8::DOUBLE))), 2) AS INTEGER) AS by_feedback FROM w), x AS (SELECT *, CASE WHEN bucket % 24 >= 8 AND bucket % 24 < 20 THEN 4 ELSE 0 END AS wanted FROM w), y AS (SELECT bucket, CAST(CASE WHEN sum(wanted) OVER (ORDER BY bucket) <= 1000 THEN wanted ELSE 0 END AS INTEGER) AS by_cost FROM x) SELECT w.bucket, tasks, by_queue, by_feedback, by_cost FROM w LEFT JOIN a USING (bucket) JOIN f USING (bucket) JOIN y USING (bucket)",
+    "w13_elastic_run": f"WITH RECURSIVE {_I._TASKS}, {_I._DEPTH}, {_I._LOAD}, {_I._FEED}, a AS (SELECT bucket, CAST(greatest(1, least(8, ceil(depth / 2.0))) AS INTEGER) AS by_queue FROM q), x AS (SELECT *, CASE WHEN bucket % 24 >= 8 AND bucket % 24 < 20 THEN 4 ELSE 0 END AS wanted FROM w), y AS (SELECT bucket, CAST(CASE WHEN sum(wanted) OVER (ORDER BY bucket) <= 1000 THEN wanted ELSE 0 END AS INTEGER) AS by_cost FROM x) SELECT w.bucket, w.tasks, by_queue, CAST(f.workers AS INTEGER) AS by_feedback, by_cost FROM w LEFT JOIN a USING (bucket) JOIN f USING (bucket) JOIN y USING (bucket)",
     "w09_weak_labels": f"WITH {VD}, {_TENTHS}, {nearest_sql('vq', 'v')}, j AS (SELECT query_id, a.quality = b.quality AS same FROM r JOIN labels a ON a.doc_id = query_id JOIN labels b ON b.doc_id = r.id WHERE r.id <> query_id), g AS (SELECT quality, count(*) AS n FROM labels GROUP BY quality) SELECT count(DISTINCT query_id) AS n_queries, count(*) AS n_results, count(*) FILTER (same) AS n_same, round(avg(CAST(same AS DOUBLE)), 6) AS precision, (SELECT round(sum(n * n) / (sum(n) * sum(n)), 6) FROM g) AS chance FROM j",
     "w10_ten_queries": f"WITH {VD}, d AS (SELECT DISTINCT id, lang FROM v), e AS (SELECT id, lang FROM (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY id) AS n FROM d) WHERE n <= 3 ORDER BY id LIMIT 10), eq AS (SELECT v.* FROM v JOIN e USING (id)), {nearest_sql('eq', 'v')} SELECT query_id, e.lang AS own, count(*) AS n, count(*) FILTER (d.lang = e.lang) AS n_same FROM r JOIN d ON d.id = r.id JOIN e ON e.id = query_id GROUP BY ALL",
     "w15_sparse_and_dense": f"WITH {kmeans_sql(2, 5, VD + ', vi AS (SELECT DISTINCT id FROM v)')}, f AS (SELECT round(sum(d), 2) AS wcss FROM (SELECT id, min(d) AS d FROM (SELECT id, cid, sum((x - c) ** 2) AS d FROM v JOIN c5 USING (dim) GROUP BY ALL) GROUP BY id)), n AS (SELECT count(DISTINCT id) AS n, count(DISTINCT dim) AS d, count(*) FILTER (x <> 0) AS nnz FROM v) SELECT layout, wcss, CAST(CASE layout WHEN 'dense' THEN n * d * 10 ELSE (nnz + n) * 10 END AS DOUBLE) AS operations FROM f, n, unnest(['dense', 'sparse']) AS t(layout)",

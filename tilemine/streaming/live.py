@@ -40,8 +40,13 @@ def completions_in_lease(tasks: DataFrame, done: DataFrame, timeout: str = "1000
     return a.join(b, F.expr(f"task_id = done_id AND done_at >= ts AND done_at <= ts + INTERVAL {timeout}"), "inner").select("task_id", "ts", "done_at")
 
 
+#: State of a completion that came before its task.
+EARLY = 0
+
+
 class LeaseProcessor(StatefulProcessor):
-    """One state for each task: a new task is leased; a timer makes it visible again unless its completion arrives first."""
+    """One state for each task: a new task is leased; a timer makes it visible again unless its completion arrives first.  A completion
+    that comes before its task is held for a timeout.  State goes a timeout after the task is done or given up."""
 
     def __init__(self, timeout_s: int, max_attempts: int):
         self.timeout_ms, self.most = timeout_s * 1000, max_attempts
@@ -53,28 +58,39 @@ class LeaseProcessor(StatefulProcessor):
     def _row(self, task, outcome, attempt, ms) -> pd.DataFrame:
         return pd.DataFrame({"task_id": [task], "outcome": [outcome], "attempt": [attempt], "at_s": [int(ms // 1000)]})
 
+    def _end(self, n: int, ms: int) -> None:
+        """Remember for one more timeout that the task is over, so that a late message starts nothing; then the state goes."""
+        self.attempt.update((-n,))
+        for t in list(self.handle.listTimers()):
+            self.handle.deleteTimer(t)
+        self.handle.registerTimer(ms + self.timeout_ms)
+
     def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
         for part in rows:
             for r in part.sort_values("ts").itertuples():
                 ms = int(r.ts.timestamp() * 1000)
-                if r.kind == "task" and not self.attempt.exists():
+                known = self.attempt.get()[0] if self.attempt.exists() else None
+                if r.kind == "task" and known is None:
                     self.attempt.update((1,))
                     self.handle.registerTimer(ms + self.timeout_ms)
                     yield self._row(key[0], "leased", 1, ms)
-                elif r.kind == "done" and self.attempt.exists():
-                    n = self.attempt.get()[0]
-                    if n > 0:
-                        self.attempt.update((-n,))
-                        for t in list(self.handle.listTimers()):
-                            self.handle.deleteTimer(t)
-                        yield self._row(key[0], "done", n, ms)
+                elif r.kind == "task" and known == EARLY:
+                    yield self._row(key[0], "leased", 1, ms)
+                    self._end(1, ms)
+                    yield self._row(key[0], "done", 1, ms)
+                elif r.kind == "done" and known is None:  # its task is late: hold it
+                    self.attempt.update((EARLY,))
+                    self.handle.registerTimer(ms + self.timeout_ms)
+                elif r.kind == "done" and known > 0:
+                    self._end(known, ms)
+                    yield self._row(key[0], "done", known, ms)
 
     def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
         n, ms = self.attempt.get()[0], expiredTimerInfo.getExpiryTimeInMs()
         if n <= 0:
-            return
-        if n >= self.most:
-            self.attempt.update((-n,))
+            self.attempt.clear()
+        elif n >= self.most:
+            self._end(n, ms)
             yield self._row(key[0], "given up", n, ms)
         else:
             self.attempt.update((n + 1,))
@@ -102,7 +118,8 @@ def live_index(stream: DataFrame, index: tsvq.Index, target: str, checkpoint: st
 
 def with_live(index: tsvq.Index, spark: SparkSession, target: str) -> tsvq.Index:
     """The index with the streamed rows and their statistics."""
-    new = spark.read.parquet(target).select("id", "code", "v").join(index.labelled.select("id"), "id", "left_anti").select("id", "code", "v")
+    live = spark.read.parquet(target).groupBy("id").agg(F.min_by(F.struct("code", "v"), "batch").alias("x"))  # an id of two batches counts once, from the first
+    new = live.select("id", "x.code", "x.v").join(index.labelled.select("id"), "id", "left_anti").select("id", "code", "v")
     nodes = tsvq._restat(index, new, 1)
     return tsvq.Index(nodes, index.labelled.select("id", "code", "v").unionByName(new), index.manifest)
 
