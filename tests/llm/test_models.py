@@ -20,6 +20,15 @@ def test_pieces_are_those_of_the_library(docs, by_id):
         assert (n, ids_sha, text_sha) == (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(sp.decode(ids).encode() if ids else b"").hexdigest()), repr(text)
 
 
+def test_one_table_for_the_corpus_gives_the_same_ids(docs):
+    df = docs(list(enumerate(TEXTS)) + [(3, TEXTS[3]), (None, "a b a b a")])
+    key = lambda r: (r.doc_id is not None, r.doc_id or 0, r.ids)
+    assert sorted(P.encoded_by_join(df).collect(), key=key) == sorted(P.encoded(df).collect(), key=key)
+    assert P.encoded_by_join(docs([])).count() == 0
+    chunks = P.distinct_chunks(docs([(1, "a b a"), (2, "a")])).where("chunk IS NOT NULL")
+    assert sorted((r.doc_id, r.chunk, r.places) for r in chunks.collect()) == [(1, " a", [0, 2]), (1, " b", [1]), (2, " a", [0])]
+
+
 def test_round_trip_tables(docs, spark):
     df = docs([(1, "a bc"), (2, None)])
     ids = P.encoded(df)
@@ -46,7 +55,7 @@ def test_token_counts(docs, by_id):
 @pytest.mark.parametrize("chunk,overlap", [(40, 5), (100, 30), (64, 1)])
 def test_resynchronised_counts(chunk, overlap):
     t, r = Tokenizer.from_file(public_tokenizers.path(T.FILE)), random.Random(7)
-    counter = T.Counter(T.load(), chunk, overlap)
+    counter = T.Counter(T.load(), chunk, overlap, T.load_plain())
     alphabet = ["word", "Don't", " ", "  ", "\n", "!!", "é", "é", "́", "日本", "7", "<|endoftext|>", "<|", "|>", "x" * 90, " ", "'s", "\U0001f600"]
     for _ in range(150):
         text = "".join(r.choice(alphabet) + r.choice(["", " ", " "]) for _ in range(r.randrange(1, 120)))
@@ -54,13 +63,21 @@ def test_resynchronised_counts(chunk, overlap):
     assert counter.widened
 
 
+def test_texts_that_skip_the_normaliser():
+    """Every character below the combining marks, in small and capital form, in words and alone, has the library's tokens."""
+    whole, counter = Tokenizer.from_file(public_tokenizers.path(T.FILE)), T.Counter(T.load(), plain=T.load_plain())
+    signs = [chr(c) for c in range(0x300)]
+    texts = [f"{a}x{a} {a}" for a in signs] + ["".join(signs[i : i + 40]) for i in range(0x2D8)] + ["A\u0301 B", "\u0130stanbul", "<|ENDOFTEXT|> <|endoftext|>", "\u212b\u03a3"]
+    assert counter.count_all(texts) == [len(t) for t in whole.encode_batch(texts, add_special_tokens=False)]
+
+
 def test_long_texts_are_spliced_and_equal_the_library(spark, sf):
     """At the production sizes: most long texts of the table are counted by chunks, and every count is the library's."""
     texts = [r.text or "" for r in spark.read.parquet(f"{sf.replace('0.001', '0.01')}/documents.parquet").select("text").collect()]
     long = [t for t in texts if len(t) > T.CHUNK]
-    counter, whole = T.Counter(T.load()), Tokenizer.from_file(public_tokenizers.path(T.FILE))
+    counter, whole = T.Counter(T.load(), plain=T.load_plain()), Tokenizer.from_file(public_tokenizers.path(T.FILE))
     assert counter.count_all(long) == [len(t) for t in whole.encode_batch(long, add_special_tokens=False)]
-    assert len(long) > 50 and counter.spliced >= sum(-(-len(t) // (2 * T.CHUNK)) for t in long)
+    assert len(long) > 3 and counter.spliced >= sum(-(-len(t) // (2 * T.CHUNK)) for t in long)
     huge = "\n".join(long)
     assert counter.count_long(huge) == len(whole.encode(huge, add_special_tokens=False))
     solid = "x" * 20_000

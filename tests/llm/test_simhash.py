@@ -1,6 +1,7 @@
 import random
 
 import numpy as np
+import pytest
 import xxhash
 
 from tilemine.llm import simhash as S
@@ -62,6 +63,31 @@ def test_hot_groups_are_cut_without_losing_links(docs, by_id):
     assert by_id(S.near_duplicates(df, most=2), "doc_id", "component_id") == by_id(S.near_duplicates(df), "doc_id", "component_id")
 
 
+@pytest.mark.parametrize("blocks", [4, 5, 6, 7])
+def test_every_choice_of_blocks_finds_all_links(spark, blocks):
+    r = np.random.default_rng(blocks)
+    centre = r.integers(0, 2**64, 40, dtype=np.uint64)
+    flips = [np.bitwise_xor.reduce(np.uint64(1) << r.choice(64, k, replace=False).astype(np.uint64)) for k in (1, 2, 3, 3, 4)]
+    codes = np.unique(np.concatenate([centre, *[centre ^ f for f in flips], r.integers(0, 2**64, 300, dtype=np.uint64)]))
+    frame = spark.createDataFrame([(int(x),) for x in codes.view(np.int64)], "fp long")
+    got = {x.node: x.root for x in S.components(S.links(frame, blocks=blocks)).collect()}
+    signed = {int(x): int(x) - (int(x) >> 63 << 64) for x in codes}
+    want = dict(zip(signed.values(), classes([(signed[int(x)], int(x)) for x in codes])))
+    assert {k: v for k, v in want.items() if k != v or k in got} == got and len(got) > 100
+
+
+def test_masks_and_their_number():
+    assert [len(S.masks(b, 3)) for b in (4, 5, 6)] == [4, 10, 20] and sum(S.masks(4, 3)) == -1
+    assert all((m & 0xFFFFFFFFFFFFFFFF).bit_count() in (25, 26) for m in S.masks(5, 3))
+    assert [S.block_count(n, 3) for n in (0, 10**5, 10**6, 10**8, 10**10)] == [4, 4, 4, 5, 6]
+
+
+def test_a_long_text_and_clashing_columns(docs, by_id):
+    long = " ".join(f"w{i}" for i in range(200_000))
+    got = by_id(S.near_duplicates(docs([(7, long), (3, long + " end"), (5, "other words here now")])), "doc_id", "component_id")
+    assert got == [(3, 3), (5, 5), (7, 3)]
+
+
 def test_index_finds_all_pairs():
     r = np.random.default_rng(1)
     centre = r.integers(0, 2**63, 60, dtype=np.uint64)

@@ -8,11 +8,11 @@ every position that holds it.  The table is emptied when it holds ``table_chars`
 which costs time but no results, so memory is bounded.  A chunk of over ``long_chunk`` characters
 is segmented where it stands and never stored.
 
-The table is one of each task and not a Spark join: a join by position would shuffle a row for
-each word of the corpus.  A model whose pieces cross markers is refused, as is one that trims or rewrites text.
+``encoded_by_join`` is the same with one table for the whole corpus and a Spark join by position; it shuffles more than the text itself (figures
+in the README), which is why ``digests`` and the query keep a table in each task.  A model whose pieces cross markers is refused, as is one that trims or rewrites text.
 
-Edge cases: null and empty texts have no ids and decode to the empty string; repeated rows give
-repeated results; other columns are ignored.
+Edge cases: null and empty texts have no ids and decode to the empty string; a very long text is held whole, its chunks one by one; repeated rows give
+repeated results; an empty table gives none; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,9 +25,9 @@ import numpy as np
 import public_tokenizers
 import pyarrow as pa
 import sentencepiece
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from tilemine.llm.common import by_batch, id_and_bytes, table
+from tilemine.llm.common import by_batch, id_and_bytes, park, table
 
 MODEL = "piece_bpe_32k.model"
 _MARK = "▁"
@@ -115,6 +115,41 @@ def encoded(docs: DataFrame, model: str = MODEL) -> DataFrame:
     return digests(docs, model, with_ids=True).select("doc_id", "ids")
 
 
+def distinct_chunks(docs: DataFrame) -> DataFrame:
+    """(row, doc_id, chunk, places): a row for each distinct chunk of a row of ``docs``, with the places that hold it."""
+    schema = pa.schema([("row", pa.int64()), ("doc_id", pa.int64()), ("chunk", pa.string()), ("places", pa.list_(pa.int32()))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                text = batch.column(2)[i].as_py().decode()
+                places: dict[str, list[int]] = {}
+                for at, chunk in enumerate(_CHUNK.findall(" " + text) if text else []):
+                    places.setdefault(chunk, []).append(at)
+                n = max(len(places), 1)  # a row without chunks keeps its place in the result
+                yield pa.RecordBatch.from_arrays([pa.array([batch.column(0)[i].as_py()] * n, pa.int64()), pa.array([batch.column(1)[i].as_py()] * n, pa.int64()), pa.array(list(places) or [None], pa.string()), pa.array(list(places.values()) or [None], pa.list_(pa.int32()))], schema=schema)
+
+    numbered = id_and_bytes(docs).select(F.monotonically_increasing_id().alias("row"), "doc_id", "body")
+    return numbered.mapInArrow(run, "row long, doc_id long, chunk string, places array<int>")
+
+
+def encoded_by_join(docs: DataFrame, model: str = MODEL) -> DataFrame:
+    """(doc_id, ids) by one table for all documents: every distinct chunk of the corpus is segmented once, and its ids are joined back to
+    the places that hold it.  A row for each distinct chunk of a document is shuffled twice (see the README for what that costs), so ``digests``
+    keeps a table in each task instead."""
+    found = park(distinct_chunks(docs), "chunks")
+    schema = pa.schema([("chunk", pa.string()), ("ids", pa.list_(pa.int32()))])
+
+    def segment(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        chunks = Chunks(load(model))
+        yield from by_batch(lambda x: {"chunk": x["chunk"], "ids": [chunks._segment(c)[0] for c in x["chunk"]]}, schema)(batches)
+
+    segments = park(found.where("chunk IS NOT NULL").select("chunk").distinct().mapInArrow(segment, "chunk string, ids array<int>"), "segments")
+    placed = found.join(segments, "chunk", "left").select("row", "doc_id", F.explode_outer("places").alias("at"), "ids")
+    ordered = placed.groupBy("row", "doc_id").agg(F.array_sort(F.collect_list(F.when(F.col("at").isNotNull(), F.struct("at", "ids")))).alias("x"))
+    return ordered.select("doc_id", F.flatten(F.transform("x", lambda x: x["ids"])).alias("ids"))
+
+
 def decoded(tokens: DataFrame, model: str = MODEL) -> DataFrame:
     """(doc_id, text) from (doc_id, ids); null ids decode to the empty string."""
     schema = pa.schema([("doc_id", pa.int64()), ("text", pa.string())])
