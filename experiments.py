@@ -1,8 +1,9 @@
 """Scaling and cost-benefit experiments: the index on 1, 2, 4 .. cores and on profiles of worker types, then fits.
 
-python experiments.py [tables [cores]] prints one JSON line: runs, linear fit, outliers by the Bonferroni test, speed-up,
-cost trade-off against the smallest configuration, and transfer times by cores.  With the word ``cores`` the worker
-types are left out.  Each run is one process and one machine, so a core stands for a node; all have 6 GB.
+python experiments.py [tables [runs]] prints one JSON line: medians of RUNS runs, linear fit with and without the points that the Bonferroni
+test flags, speed-up, cost trade-off against the smallest configuration, transfer times by cores; the same index on two cores with
+so little memory that cached blocks are evicted; worker types; and a deep tree over 12,950 descriptors from memory and from disk.
+Each run is one process and one machine, so a core stands for a node; all have 6 GB but for the starved one and the types.
 """
 
 from __future__ import annotations
@@ -16,6 +17,11 @@ import tempfile
 import time
 
 HERE = os.path.dirname(os.path.abspath(__file__))
+RUNS = 3
+#: Heap of the run in which the descriptors do not fit, MB.
+STARVED = 1000
+#: Tiles of the published archive.
+TILES = 12_950
 #: Profiles that mirror the ratios of the worker types: cores and driver memory in MB.
 PROFILES = {"m1.small": (1, 1200), "m1.medium": (1, 2000), "m1.large": (2, 3000), "m1.xlarge": (4, 5000), "c1.medium": (2, 1200), "c1.xlarge": (8, 2800)}
 
@@ -29,6 +35,7 @@ def prepare(d: str, out: str) -> dict:
     spark = session(os.cpu_count() or 1)
     archives.vec_pairs(spark, d).repartition(48).write.mode("overwrite").parquet(out)
     made = spark.read.parquet(out)
+    made.orderBy("id").limit(TILES).repartition(16).write.mode("overwrite").parquet(f"{out}-tiles")
     said = {"descriptors": made.count(), "dimensions": len(made.first().v)}
     spark.stop()
     return said
@@ -50,13 +57,33 @@ def one(pairs: str, cores: int) -> dict:
     began = time.perf_counter()
     index = tsvq.grow(docs, Stop(n_min=500, h_max=2), max_iter=5)
     took = time.perf_counter() - began
-    v = docs.orderBy("id").first().v
-    latency = measures.timed(lambda: search.by_vectors(index, [v], 10).collect(), 3)["median"]
+    blocks = [(x.memSize(), x.diskSize()) for x in spark._jsc.sc().getRDDStorageInfo()]
+    queries = [r.v for r in docs.where("id % 1000 = 0").orderBy("id").limit(10).collect()]
+    held = tsvq.Index(index.nodes, storage.park(index.labelled.repartitionByRange("code").sortWithinPartitions("code"), "searched"), {})
+    search.by_vectors(held, [queries[0]], 10).collect()
+    each = sorted(measures.timed(lambda v=v: search.by_vectors(held, [v], 10).collect(), 1)["median"] for v in queries)
     target = f"{pairs}-copy"
     moved = storage.stage_in(spark, pairs, target)["seconds"]
     spark.stop()
     shutil.rmtree(target, ignore_errors=True)
-    return {"load_s": round(loaded, 3), "index_s": round(took, 3), "query_s": round(latency, 3), "transfer_s": round(moved, 3)}
+    return {"load_s": round(loaded, 3), "index_s": round(took, 3), "query_s": round(each[len(each) // 2], 3), "query_worst_s": round(each[-1], 3), "transfer_s": round(moved, 3), "cached_mb": sum(m for m, _ in blocks) >> 20, "evicted_mb": sum(d for _, d in blocks) >> 20}
+
+
+def tree(tiles: str, materialise: str) -> dict:
+    """In a process of its own: seconds to grow a tree down to nodes of 1,000 over the tiles, its passes and levels."""
+    sys.path.insert(0, HERE)
+    from bench import session
+    from tilemine.operators import tsvq
+    from tilemine.operators.tsvq import Stop
+
+    spark = session(min(3, os.cpu_count() or 1))
+    docs = spark.read.parquet(tiles)
+    docs.count()
+    began = time.perf_counter()
+    index = tsvq.grow(docs, Stop(n_min=1000), max_iter=10, materialise=materialise)
+    took = time.perf_counter() - began
+    spark.stop()
+    return {"index_s": round(took, 3), "passes": len(index.manifest["passes"]), "leaves": len(index.leaves), "levels": max(len(n.code) for n in index.leaves)}
 
 
 def child(memory_mb: int, *args: str) -> dict:
@@ -77,7 +104,9 @@ def judge(by_cores: dict, by_type: dict) -> dict:
     said: dict = {}
     for what in ("load_s", "index_s"):
         runs = spark.createDataFrame([(f"n{c}", c, x[what] / 60, 0.1) for c, x in by_cores.items() if what in x], schema)
-        said[what] = {"fit": measures.fit(runs).first().asDict(), "outliers": [r.config for r in measures.bonferroni_outliers(runs).collect() if r.outlier], "speedup": [r.asDict() for r in measures.speedup(runs).collect()]}
+        flagged = [r.config for r in measures.bonferroni_outliers(runs).collect() if r.outlier]
+        refit = measures.fit(runs.where(~runs["config"].isin(flagged))).first().asDict() if flagged else None
+        said[what] = {"fit": measures.fit(runs).first().asDict(), "outliers": flagged, "refit_without_them": refit, "speedup": [r.asDict() for r in measures.speedup(runs).collect()]}
         said[what]["tradeoff_cores"] = {r.config: r.tradeoff for r in measures.tradeoff(measures.relative(runs, f"n{min(by_cores)}")).collect()}
     rates = {t[0]: t[6] for t in TYPES}
     types = [(n, 3, x["index_s"] / 60, rates[n]) for n, x in by_type.items() if "index_s" in x]
@@ -87,20 +116,33 @@ def judge(by_cores: dict, by_type: dict) -> dict:
     return said
 
 
+def median(found: list[dict]) -> dict:
+    """Medians of the runs that ended; how many failed."""
+    good = [x for x in found if "failed" not in x]
+    out = {k: sorted(x[k] for x in good)[len(good) // 2] for k in (good[0] if good else {})}
+    return out | ({"failed_runs": len(found) - len(good)} if len(good) < len(found) else {})
+
+
 def main(args: list[str]) -> None:
     d = args[0] if args else "/root/testdata/sf0.1"
+    runs = int(args[1]) if len(args) > 1 else RUNS
     top = os.cpu_count() or 1
-    with tempfile.TemporaryDirectory(prefix="experiments-") as folder:
+    with tempfile.TemporaryDirectory(prefix="experiments-") as folder:  # one machine
         pairs = f"{folder}/pairs"
         made = child(6000, "--prepare", d, pairs)
-        by_cores = {c: child(6000, "--one", pairs, str(c)) for c in (8, 6, 4, 3, 2, 1) if c <= top}
-        by_type = {} if "cores" in args else {name: child(m, "--one", pairs, str(min(c, top))) for name, (c, m) in PROFILES.items()}
-        print(json.dumps(made | {"by_cores": by_cores, "by_type": by_type} | judge(by_cores, by_type)))
+        trees = {m: child(6000, "--tree", f"{pairs}-tiles", m) for m in ("memory", "dfs", "none")}
+        by_cores = {c: median([child(6000, "--one", pairs, str(c)) for _ in range(runs)]) for c in (8, 6, 4, 3, 2, 1) if c <= top}
+        starved = child(STARVED, "--one", pairs, "2")
+        by_type = {name: child(m, "--one", pairs, str(min(c, top))) for name, (c, m) in PROFILES.items()}
+        with_starved = by_cores | ({2: starved} if "index_s" in starved else {})
+        print(json.dumps(made | {"trees": trees, "by_cores": by_cores, "starved": starved, "by_type": by_type, "with_starved": judge(with_starved, {})} | judge(by_cores, by_type)))
 
 
 if __name__ == "__main__":
     if sys.argv[1:2] == ["--one"]:
         print(json.dumps(one(sys.argv[2], int(sys.argv[3]))))
+    elif sys.argv[1:2] == ["--tree"]:
+        print(json.dumps(tree(sys.argv[2], sys.argv[3])))
     elif sys.argv[1:2] == ["--prepare"]:
         print(json.dumps(prepare(*sys.argv[2:4])))
     else:

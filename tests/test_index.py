@@ -183,3 +183,92 @@ def test_bad_vectors_are_refused(spark):
     with pytest.raises(ValueError):
         storage.check_vectors(points(spark, [[1, 2], [1]]))
     assert storage.check_vectors(points(spark, [[1, 2], [3, 4]])) == 2
+
+
+def test_leaves_come_best_bin_first_with_true_bounds(cloud):
+    index = tsvq.grow(cloud, Stop(n_min=8))
+    splits = {c: n.split for c, n in index.nodes.items() if n.split is not None}
+    rows = [(r.code, np.array(r.v)) for r in index.labelled.collect()]
+    x = np.array([2.5, 3.1, 0.4])
+    found = tsvq.near_leaves(x, splits)
+    assert sorted(c for c, _ in found) == sorted(n.code for n in index.leaves) and found[0][0] == tsvq.descend_one(x, index.nodes)
+    bounds = [b for _, b in found]
+    assert bounds == sorted(bounds) and bounds[0] == 0
+    for code, bound in found:
+        assert all(((x - v) ** 2).sum() >= bound - 1e-9 for c, v in rows if c == code)
+    assert [c for c, _ in tsvq.near_leaves(x, splits, 3)] == [c for c, _ in found[:3]]
+    assert [c for c, _ in tsvq.near_leaves(x, splits, radius=bounds[4])] == [c for c, b in found if b <= bounds[4]]
+
+
+def test_exact_search_is_the_scan_and_reads_fewer_leaves(cloud):
+    index = tsvq.grow(cloud, Stop(n_min=8))
+    q = cloud.where("id % 20 = 0").select(F.col("id").alias("query_id"), "v")
+    rows = lambda df: sorted((r.query_id, r["rank"], r.id, round(r.dist, 9)) for r in df.collect())
+    scan = search.scan_topk(cloud, q, 5)
+    assert rows(search.batch(index, q, 5, 1, exact=True)) == rows(scan) == rows(search.batch(index, q, 5, 3, exact=True))
+    assert rows(search.batch(index, q, 300, 1, exact=True)) == rows(search.scan_topk(cloud, q, 300))
+    recall = [measures.recall_at(search.batch(index, q, 5, m), scan, 5).first().recall for m in (1, 2, 4, 99)]
+    assert recall == sorted(recall) and recall[-1] == 1
+    reach = q.withColumn("radius", F.lit(0.5))
+    assert tsvq.probe(reach, index.nodes).count() < q.count() * len(index.leaves) / 2
+    with pytest.raises(ValueError):
+        search.batch(index, q, 5, metric="cosine", exact=True)
+
+
+@pytest.mark.parametrize("metric", sorted(vector.METRICS))
+def test_scan_metrics_are_those_of_the_expressions(spark, metric):
+    df = points(spark, [[i % 5 + 1, i % 3, (i * i) % 7] for i in range(40)])
+    q = df.where("id < 3").select(F.col("id").alias("query_id"), "v")
+    pairs = df.crossJoin(q.select("query_id", F.col("v").alias("qv"))).select("query_id", "id", vector.METRICS[metric](F.col("v"), F.col("qv")).alias("dist"))
+    want = {(r.query_id, r.id): r.dist for r in pairs.collect()}
+    got = search.scan_topk(df, q, 40, metric, block=2).collect()
+    assert len(got) == 120 and all(abs(r.dist - want[r.query_id, r.id]) < 1e-9 for r in got)
+
+
+def test_growing_keeps_one_copy_and_narrow_numbers(spark):
+    df = spark.createDataFrame([(i, [i % 50, i % 7]) for i in range(400)], "id long, v array<int>")
+    held = tsvq.Held(df, "memory")
+    assert held.mine and dict(held.under.rows.dtypes)["v"] == "array<int>"
+    held.under.rows.unpersist()
+    cached = df.persist()
+    assert not tsvq.Held(cached, "memory").mine
+    many = {h: tsvq.grow(cached, Stop(n_min=4), materialise=h) for h in ("memory", "none", "dfs")}
+    assert max(len(n.code) for n in many["memory"].leaves) > tsvq.REFRESH
+    assert codes(many["memory"]) == codes(many["none"]) == codes(many["dfs"])
+    assert {c: n.n for c, n in many["memory"].nodes.items()} == {c: n.n for c, n in many["dfs"].nodes.items()}
+    cached.unpersist()
+
+
+def test_regrowing_all_leaves_at_once_is_growing_on(cloud):
+    index = tsvq.grow(cloud, Stop(h_max=2))
+    whole = tsvq.grow(cloud, Stop(n_min=20, h_max=6))
+    again = tsvq.regrow(index, Stop(n_min=20, h_max=6))
+    assert codes(again) == codes(whole) and {c: n.n for c, n in again.nodes.items()} == {c: n.n for c, n in whole.nodes.items()}
+    one = tsvq.regrow(index, Stop(n_min=20, h_max=6), [index.leaves[0].code])
+    assert {n.code for n in index.leaves[1:]} <= {n.code for n in one.leaves} and sum(n.n for n in one.leaves) == cloud.count()
+    assert all(n.closed != "kept" for n in one.leaves)
+
+
+def test_over_sampling_draws_many_rows_a_round_and_reduces_by_weight(cloud):
+    from tilemine.operators import passes, seeds
+
+    rows = tsvq.prepare(cloud)
+    first = {"": np.array(cloud.first().v)}
+    drawn = []
+
+    def draw(chosen, codes):
+        drawn.append(passes.draw(rows, chosen, codes))
+        return drawn[-1]
+
+    found = seeds.oversampled(first, lambda now: passes.costs(rows, now), draw, 4, 1)
+    assert len(drawn) == seeds.ROUNDS and max(len(d[""]) for d in drawn) > 1
+    cost, n = passes.costs(rows, found)[""]
+    assert n.sum() == cloud.count() and len(found[""]) == 4
+    assert cost < 2 * kmeans.fit(cloud, 4, "farthest").wcss
+    points_, weights = np.array([[0.0], [1.0], [10.0]]), np.array([5.0, 5.0, 1.0])
+    assert sorted(c[0] for c in seeds.weighted_reduction(points_, weights, 2, "", 0)) == [0.5, 10.0]
+
+
+def test_sample_of_the_sampled_index_is_bounded_and_the_same(cloud):
+    a, b = (search.sampled_index(cloud, 2, stop=Stop(n_min=8), max_rows=60) for _ in range(2))
+    assert codes(a) == codes(b) and sum(n.n for n in a.leaves) == cloud.count()

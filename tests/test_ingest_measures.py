@@ -67,3 +67,24 @@ def test_precision_and_agreement(spark):
 
 def test_timer():
     assert set(measures.timed(lambda: None)) == {"min", "median", "max"}
+
+
+def test_tasks_wait_for_their_worker(spark):
+    rows = [(i, f"2024-01-01 00:00:{(i * 7) % 50:02d}", float(5 + i % 4)) for i in range(40)]
+    q = spark.createDataFrame(rows, "task_id long, arrived string, service_s double").withColumn("arrived", F.col("arrived").cast("timestamp_ntz"))
+    got = {r.task_id: r for r in ingest.served(q, 3).collect()}
+    free = {}
+    for i, t, s in sorted(rows, key=lambda r: (r[1], r[0])):
+        at = got[i].arrived_s
+        begin = max(at, free.get(i % 3, at))
+        free[i % 3] = begin + int(s)
+        assert (got[i].started_s, got[i].finished_s, got[i].wait_s) == (begin, begin + s, begin - at)
+    w = ingest.waits(ingest.served(q, 3)).first()
+    assert w.tasks == 40 and w.max_wait_s > 0 and 0 < w.utilisation <= 1
+
+
+def test_workers_follow_what_was_used(spark):
+    work = spark.createDataFrame([(0, 4, 7200), (1, 9, 20000), (2, 1, 100), (6, 1, 3600)], "bucket long, tasks long, work_s long")
+    got = [(r.bucket, r.workers, r.backlog_s) for r in ingest.by_feedback(work).orderBy("bucket").collect()]
+    assert got == [(0, 2, 0), (1, 3, 9200), (2, 4, 0), (3, 4, 0), (4, 1, 0), (5, 1, 0), (6, 1, 0)]
+    assert ingest.by_feedback(work.limit(0)).count() == 0

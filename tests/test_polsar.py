@@ -101,3 +101,18 @@ def test_pixel_plan_stays_in_the_engine(spark, sf):
     t = haa.decompose(haa.multilook(polsar.coherence(archives.scene_lineitem(spark, sf))))
     plan = t._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and plan.count("HashAggregate") == 2
+
+
+def test_mean_angles_and_target_equal_numpy(spark, sf):
+    from tilemine.sources import archives
+
+    t = haa.multilook(polsar.coherence(polsar.reciprocal(archives.scene_lineitem(spark, sf))), (2, 2))
+    native = polsar.eigenvector_angles(haa.decompose(t)).where("valid AND turned").withColumns(polsar.mean_target())
+    other = {(r.product_id, r.row, r.col): r for r in polsar.angles(t).collect()}
+    rows = native.collect()
+    assert len(rows) > 100
+    for r in rows:
+        o = other[r.product_id, r.row, r.col]
+        assert all(abs(r[a] - o[a]) < 1e-5 for a in ("alpha", "beta", "delta", "gamma"))
+        u = np.array([r[f"u{i}_re"] + 1j * r[f"u{i}_im"] for i in (1, 2, 3)])
+        assert abs((np.abs(u) ** 2).sum() - 1) < 1e-9 and abs(np.arccos(abs(u[0])) - r.alpha) < 1e-7

@@ -66,6 +66,19 @@ def test_leases_expire_and_complete(spark, tmp_path):
     assert told[2] == ["leased", "done"] and told[1][0] == "leased" and told[1][1] == "leased again"
 
 
+def test_early_completions_wait_for_their_task_and_state_ends(spark, tmp_path):
+    rows = [(1, "2024-01-01 00:00:05", "done"), (1, "2024-01-01 00:00:07", "task"), (2, "2024-01-01 00:00:05", "task"), (2, "2024-01-01 00:00:09", "done"), (2, "2024-01-01 00:00:30", "task"), (9, "2024-01-01 01:00:00", "task"), (9, "2024-01-01 01:00:01", "done"), (8, "2024-01-01 02:00:00", "task"), (8, "2024-01-01 02:00:01", "done"), (2, "2024-01-01 03:00:00", "task"), (2, "2024-01-01 03:00:05", "done")]
+    m = spark.createDataFrame(rows, "task_id long, t string, kind string").select("task_id", F.col("t").cast("timestamp_ntz").alias("ts"), "kind")
+    for hour in range(4):
+        m.where(F.hour("ts") == hour).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    out = run(live.lease_stream(live.event_stream(spark, f"{tmp_path}/in", "task_id long, ts timestamp_ntz, kind string")), "early").collect()
+    told = {}
+    for r in sorted(out, key=lambda r: (r.at_s, r.outcome == "done")):
+        told.setdefault(r.task_id, []).append(r.outcome)
+    assert told[1] == ["leased", "done"]  # its completion came first
+    assert told[2] == ["leased", "done", "leased", "done"]  # a repeated message at once starts nothing, one after the state has gone does
+
+
 def test_completions_within_their_lease(spark, tmp_path):
     tasks = spark.createDataFrame([(1, "2024-01-01 00:00:00"), (2, "2024-01-01 00:00:00")], "task_id long, ts string").withColumn("ts", F.col("ts").cast("timestamp_ntz"))
     done = spark.createDataFrame([(1, "2024-01-01 00:10:00"), (2, "2024-01-01 00:40:00")], "task_id long, ts string").withColumn("ts", F.col("ts").cast("timestamp_ntz"))

@@ -19,13 +19,14 @@ def multilook(t: DataFrame, looks: tuple[int, int] = (2, 2), mode: str = "block"
     if mode == "block":
         keys = [F.col("product_id"), F.floor(F.col("row") / lr).cast("int").alias("row"), F.floor(F.col("col") / lc).cast("int").alias("col"), *map(F.col, by)]
         return t.groupBy(*keys).agg(*[F.avg(n).alias(n) for n in names], F.count("*").alias("n_look"))
-    # each pixel goes to the windows it lies in, on both axes, so ragged edges and gaps are counted right; sums are
-    # combined before the shuffle, and a window stays where its centre is a pixel
-    dr, dc = F.explode(F.sequence(F.lit(-(lr // 2)), F.lit((lr - 1) // 2))), F.explode(F.sequence(F.lit(-(lc // 2)), F.lit((lc - 1) // 2)))
-    spread = t.withColumn("dr", dr).withColumn("dc", dc)
-    keys = [F.col("product_id"), (F.col("row") + F.col("dr")).alias("row"), (F.col("col") + F.col("dc")).alias("col"), *map(F.col, by)]
-    own = F.max((F.col("dr") == 0) & (F.col("dc") == 0)).alias("own")
-    return spread.groupBy(*keys).agg(*[F.avg(n).alias(n) for n in names], F.count("*").alias("n_look"), own).where("own").drop("own")
+    # each pixel goes to the windows it lies in, along columns and then, as sums, along rows: looks rows + looks columns copies
+    # instead of their product; ragged edges and gaps are counted right, and a window stays where its centre is a pixel
+    side = lambda n: F.explode(F.sequence(F.lit(-(n // 2)), F.lit((n - 1) // 2)))
+    rest = [F.col("product_id"), *map(F.col, by)]
+    sums = [F.sum(n).alias(n) for n in names]
+    wide = t.withColumn("d", side(lc)).groupBy(*rest, "row", (F.col("col") + F.col("d")).alias("col")).agg(*sums, F.count("*").alias("n_look"), F.max(F.col("d") == 0).alias("own"))
+    whole = wide.withColumn("d", side(lr)).groupBy(*rest, (F.col("row") + F.col("d")).alias("row"), "col").agg(*sums, F.sum("n_look").alias("n_look"), F.max((F.col("d") == 0) & F.col("own")).alias("own"))
+    return whole.where("own").select("product_id", "row", "col", *by, *[(F.col(n) / F.col("n_look")).alias(n) for n in names], "n_look")
 
 
 def decompose(t: DataFrame) -> DataFrame:

@@ -4,11 +4,14 @@ from __future__ import annotations
 
 import math
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from tilemine.functions.vector import sqdist, sqnorm
+from tilemine.functions.vector import sqnorm
+from tilemine.operators.passes import nearest, vectors
 from tilemine.operators.tsvq import Index
 
 
@@ -30,11 +33,22 @@ def wcss(df: DataFrame, by: str = "code") -> DataFrame:
 
 
 def check_cells(assigned: DataFrame, codebook: DataFrame) -> DataFrame:
-    """Violations of the nearest-codeword rule and of one cell a row: both are 0 for a Voronoi partition."""
-    pairs = assigned.select("id", "cid", "v").crossJoin(F.broadcast(codebook.select(F.col("cid").alias("other"), F.col("c"))))
-    d = pairs.select("id", "cid", "other", sqdist(F.transform("v", lambda a: a.cast("double")), F.col("c")).alias("d"))
-    per = d.groupBy("id").agg(F.min(F.struct("d", "other")).alias("best"), F.min("cid").alias("cid"), F.countDistinct("cid").alias("cells"))
-    return per.agg(F.count("*").alias("n_rows"), F.count_if(F.col("best.other") != F.col("cid")).alias("n_farther"), F.count_if(F.col("cells") != 1).alias("n_overlaps"))
+    """Violations of the nearest-codeword rule and of one cell a row: both are 0 for a Voronoi partition.  The codebook (k x d numbers, which
+    coding sends to every task anyway) meets each batch of rows as a matrix."""
+    book = codebook.select("cid", "c").orderBy("cid").collect()
+    sent = assigned.sparkSession.sparkContext.broadcast((np.array([r.cid for r in book]), np.array([r.c for r in book], float)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names, y = sent.value
+        for batch in batches:
+            x, own = vectors(batch.column(2)), batch.column(1).to_numpy(zero_copy_only=False)
+            if len(x):
+                near, _ = nearest(x, y)
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(names[near] != own)], names=["id", "cid", "farther"])
+
+    told = assigned.select(F.col("id").cast("long"), F.col("cid").cast("int"), "v").mapInArrow(run, "id long, cid int, farther boolean")
+    per = told.groupBy("id").agg(F.max("farther").alias("farther"), F.min("cid").alias("a"), F.max("cid").alias("b"))
+    return per.agg(F.count("*").alias("n_rows"), F.count_if("farther").alias("n_farther"), F.count_if(F.col("a") != F.col("b")).alias("n_overlaps"))
 
 
 def rate_curve(index: Index) -> list[dict]:

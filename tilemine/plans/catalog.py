@@ -2,52 +2,38 @@
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
-from pyspark.sql import SparkSession, functions as F, types as T
+from pyspark.sql import SparkSession, functions as F
 
 from tilemine.operators.tsvq import Index, codebook
 
 
-def _scalar(fn, kind):
-    return F.pandas_udf(fn, kind)
-
-
-def _sqdist(a: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([float(((np.asarray(x) - np.asarray(y)) ** 2).sum()) for x, y in zip(a, b)])
-
-
-def _side(x: pd.Series, w: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([int(np.dot(p, q) > r) for p, q, r in zip(x, w, b)])
-
-
-def _entropy(p1: pd.Series, p2: pd.Series, p3: pd.Series) -> pd.Series:
-    p = np.stack([p1, p2, p3], axis=1)
-    return pd.Series(-(p * np.log(np.where(p > 0, p, 1))).sum(1) / np.log(3))
-
-
-def _anisotropy(l2: pd.Series, l3: pd.Series) -> pd.Series:
-    total = l2 + l3
-    return ((l2 - l3) / total.where(total > 0, 1)).where(total > 0, 0.0)
+#: Scalar functions as SQL expressions, so that they stay in generated code.
+FUNCTIONS = {
+    "vq_sqdist(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE": "aggregate(zip_with(a, b, (x, y) -> (x - y) * (x - y)), 0D, (s, x) -> s + x)",
+    "vq_side(x ARRAY<DOUBLE>, w ARRAY<DOUBLE>, b DOUBLE) RETURNS INT": "CAST(aggregate(zip_with(x, w, (p, q) -> p * q), 0D, (s, p) -> s + p) > b AS INT)",
+    "polsar_entropy(p1 DOUBLE, p2 DOUBLE, p3 DOUBLE) RETURNS DOUBLE": "aggregate(array(p1, p2, p3), 0D, (s, p) -> s - if(p > 0, p * ln(if(p > 0, p, 1D)), 0D)) / ln(3D)",
+    "polsar_anisotropy(l2 DOUBLE, l3 DOUBLE) RETURNS DOUBLE": "if(l2 + l3 > 0, (l2 - l3) / if(l2 + l3 > 0, l2 + l3, 1D), 0D)",
+}
 
 
 class _VqSearch:
-    """SELECT * FROM vq_search(TABLE(candidates), query, k): the k nearest candidate rows (id, v) of the table argument."""
+    """SELECT * FROM vq_search(TABLE(candidates) PARTITION BY code, query, k): the k nearest candidate rows (id, v) of each partition, in a
+    heap of k; ORDER BY dist, id LIMIT k over them merges.  Without PARTITION BY one task gets all rows."""
 
     def __init__(self):
         self.best: list[tuple[float, int]] = []
-        self.k = 10
 
     def eval(self, row, query, k: int):
-        self.k = k
         d = float(((np.asarray(row["v"]) - np.asarray(query)) ** 2).sum())
-        self.best = sorted([*self.best, (d, row["id"])])[:k]
+        (heapq.heappush if len(self.best) < k else heapq.heappushpop)(self.best, (-d, -row["id"]))
 
     def terminate(self) -> Iterator[tuple[int, int, float]]:
-        for rank, (d, i) in enumerate(self.best, 1):
-            yield rank, i, d
+        for rank, (d, i) in enumerate(sorted(self.best, reverse=True), 1):
+            yield rank, -i, -d
 
 
 class _Ancestors:
@@ -64,9 +50,7 @@ def register(spark: SparkSession, index: Index | None = None) -> None:
         index.labelled.createOrReplaceTempView("tiles")
         index.table(spark).createOrReplaceTempView("nodes")
         codebook(index, spark).createOrReplaceTempView("codebook")
-    spark.udf.register("vq_sqdist", _scalar(_sqdist, T.DoubleType()))
-    spark.udf.register("vq_side", _scalar(_side, T.IntegerType()))
-    spark.udf.register("polsar_entropy", _scalar(_entropy, T.DoubleType()))
-    spark.udf.register("polsar_anisotropy", _scalar(_anisotropy, T.DoubleType()))
+    for head, body in FUNCTIONS.items():
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
     spark.udtf.register("vq_search", F.udtf(_VqSearch, returnType="rank int, id long, dist double"))
     spark.udtf.register("vq_path", F.udtf(_Ancestors, returnType="code string"))

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition, SimpleDataSourceStreamReader
 
@@ -92,15 +94,21 @@ def read_foreign(spark: SparkSession, path: str, kind: str, schema: str | None =
     return (reader.schema(schema) if schema else reader).load(path)
 
 
-def rasters_of_files(spark: SparkSession, path: str, width: int) -> DataFrame:
-    """Raw little-endian double files, eight values a pixel, as pixels; the file name's digits are the product."""
-    files = spark.read.format("binaryFile").load(path).select(F.regexp_extract("path", r"(\d+)[^/]*$", 1).cast("long").alias("product_id"), "content")
+def rasters_of_files(spark: SparkSession, path: str, width: int, part_bytes: int = 16 << 20) -> DataFrame:
+    """Raw little-endian double files, eight values a pixel, as pixels; the file name's digits are the product.  A file of any size is
+    read in stretches of about ``part_bytes`` of whole raster rows, each by one task at a time; no cell holds a file."""
+    step = max(1, part_bytes // (64 * width)) * 64 * width
+    files = spark.read.format("binaryFile").load(path).where("length > 0").select("path", "length")  # contents stay unread
+    parts = files.select(F.regexp_extract("path", r"(\d+)[^/]*$", 1).cast("long").alias("product_id"), "path", "length", F.explode(F.expr(f"sequence(0L, length - 1, {step}L)")).alias("offset"))
+    dealt = parts.repartition(max(spark.sparkContext.defaultParallelism, 1), "path", "offset")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for i in range(batch.num_rows):
-                values = np.frombuffer(batch.column(1)[i].as_py(), "<f8").reshape(-1, 8)
-                n = len(values)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(n, batch.column(0)[i].as_py())), pa.array((np.arange(n) // width).astype(np.int32)), pa.array((np.arange(n) % width).astype(np.int32)), *(pa.array(values[:, j].copy()) for j in range(8))], names=["product_id", "row", "col", *_PX])
-
-    return files.mapInArrow(run, _PX_SCHEMA)
+            for product, name, length, offset in zip(*(c.to_pylist() for c in batch.columns)):
+                store, at = fs.FileSystem.from_uri(re.sub(r"^file:/+", "file:///", name))
+                with store.open_input_file(at) as raw:
+                    values = np.frombuffer(raw.read_at(min(step, length - offset), offset), "<f8").reshape(-1, 8)
+                place = offset // 64 + np.arange(len(values))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), product)), pa.array((place // width).astype(np.int32)), pa.array((place % width).astype(np.int32)), *(pa.array(values[:, j].copy()) for j in range(8))], names=["product_id", "row", "col", *_PX])
+
+    return dealt.mapInArrow(run, _PX_SCHEMA)
