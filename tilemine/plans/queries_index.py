@@ -16,8 +16,9 @@ from tilemine.operators import haa, kmeans, measures, search, tsvq
 from tilemine.operators.tsvq import Index, Stop
 from tilemine.plans.queries_pixels import HAA, _BIN
 from tilemine.plans.retrieve import RetrievePlan
-from tilemine.sources import archives
+from tilemine.sources import archives, storage
 from tilemine.sources.archives import table
+from tilemine.streaming import live
 
 UPDATES, LEVELS = 3, 2
 _held: dict[tuple, Index] = {}
@@ -272,6 +273,12 @@ def q53_top(spark: SparkSession, d: str) -> DataFrame:
     return search.by_vectors(_index(spark, d), [_query(spark, d)], 10).withColumn("dist", F.round("dist", 6))
 
 
+def q53_two_signatures(spark: SparkSession, d: str) -> DataFrame:
+    """One query of two signatures over all leaves: a row counts by the nearer one."""
+    found = search.by_vectors(_index(spark, d), _first_two(spark, d), 10, probes=2**LEVELS)
+    return found.select("rank", "id", F.round("dist", 6).alias("dist"))
+
+
 def _ten(spark: SparkSession, d: str) -> DataFrame:
     return _parts(spark, d).where(F.col("id") % 100 == 0).select(F.col("id").alias("query_id"), _d().alias("v"))
 
@@ -377,6 +384,53 @@ def q65_library_controls(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "method string, wcss double")
 
 
+def _node_sums(index: Index, spark: SparkSession) -> DataFrame:
+    return index.table(spark).select("code", "n", F.round("sq", 4).alias("sq"))
+
+
+def q71_insert(spark: SparkSession, d: str) -> DataFrame:
+    """Every second row is taken out and put in again: the nodes are those of the whole."""
+    odd = _parts(spark, d).where("id % 2 = 1")
+    return _node_sums(tsvq.insert(tsvq.delete(_index(spark, d), odd), odd), spark)
+
+
+def q72_delete(spark: SparkSession, d: str) -> DataFrame:
+    return _node_sums(tsvq.delete(_index(spark, d), _parts(spark, d).where("id % 3 = 0")), spark)
+
+
+def q73_modify(spark: SparkSession, d: str) -> DataFrame:
+    """Rows of every fifth id get the descriptor of the smallest id, and so its leaf."""
+    first = _lit(_query(spark, d))
+    return tsvq.modify(_index(spark, d), _parts(spark, d).where("id % 5 = 0").withColumn("v", first)).labelled.select("id", "code")
+
+
+def q74_regrow(spark: SparkSession, d: str) -> DataFrame:
+    """A tree of one level, grown on: that of two."""
+    index = _index(spark, d, stop=Stop(h_max=1))
+    return tsvq.regrow(index, Stop(h_max=LEVELS), tol=0.0, max_iter=UPDATES).labelled.select("id", "code")
+
+
+def q74_live_index(spark: SparkSession, d: str) -> DataFrame:
+    """Embeddings come in as a stream of micro-batches and fall down the tree of the others: rows by leaf are those of a batch descent."""
+    rows = archives.vec_embeddings(spark, d).select("id", "v")
+    index = tsvq.grow(rows.where("id % 4 <> 0"), Stop(n_min=64), schedule="hybrid")
+    source, target, checkpoint = (storage.new_folder(spark, f"live-{x}") for x in ("source", "target", "checkpoint"))
+    for part in (0, 4):
+        rows.where(F.col("id") % 8 == part).write.mode("append").parquet(source)
+    live.live_index(live.event_stream(spark, source, "id long, v array<double>"), index, target, checkpoint).awaitTermination()
+    grown = live.with_live(index, spark, target)
+    whole = tsvq.descend(tsvq.prepare(rows), index.nodes).select("id", F.col("code").alias("batch"))
+    both = grown.labelled.select("id", "code").join(whole, "id", "full")
+    return both.agg(F.count("*").alias("n"), F.count_if(~F.col("code").eqNullSafe(F.col("batch"))).alias("n_elsewhere"), F.lit(grown.nodes[""].n).cast("long").alias("n_root"))
+
+
+def q18_storage(spark: SparkSession, d: str) -> DataFrame:
+    """An index written, sorted by code, and read again."""
+    path = storage.new_folder(spark, "saved")
+    tsvq.save(_index(spark, d), path)
+    return tsvq.load(spark, path).labelled.select("id", "code")
+
+
 def q80_rate_curve(spark: SparkSession, d: str) -> DataFrame:
     rows = [(r["step"], round(r["wcss"], 4), round(r["code_length"], 6)) for r in measures.rate_curve(_index(spark, d))]
     return spark.createDataFrame(rows, "step int, wcss double, code_length double")
@@ -589,6 +643,12 @@ SQL = {
     "q87_agreement": f"WITH {VD}, {_TENTHS}, {nearest_sql('vq', 'v')}, {VE}, {nearest_sql('veq', 've', 10, 's')} SELECT query_id, count(*) FILTER (r.id IS NOT NULL AND s.id IS NOT NULL) AS n_both, count(*) AS n_any, round(count(*) FILTER (r.id IS NOT NULL AND s.id IS NOT NULL) / count(*), 6) AS jaccard FROM r FULL JOIN s USING (query_id, id) GROUP BY query_id",
     "q90_ablation_holds": f"WITH {VD} SELECT CAST(m AS INTEGER) AS n_min, count(DISTINCT id) AS n_rows, true AS obeys, true AS moved FROM v, unnest([128, 64, 32]) AS t(m) GROUP BY m",
     "q91_session_replay": f"WITH {VD}, {letters_sql('vt', 'conversations', 'conv_id * 1000 + turn', chr(39).join(['WHERE role = ', 'user', '']))}, {nearest_sql('vt', 'v', 1)} {_FOUND}",
+    "q18_storage": _LABELS, "q74_regrow": _LABELS,
+    "q53_two_signatures": f"WITH {VP}, q AS (SELECT id AS q, dim, x AS y FROM v WHERE id IN (SELECT id FROM vi ORDER BY id LIMIT 2)), dist AS (SELECT id, min(e) AS dist FROM (SELECT v.id, q, sum((x - y) ** 2) AS e FROM v JOIN q USING (dim) GROUP BY ALL) GROUP BY id) SELECT CAST(row_number() OVER (ORDER BY dist, id) AS INTEGER) AS rank, id, round(dist, 6) AS dist FROM dist ORDER BY dist, id LIMIT 10",
+    "q71_insert": f"WITH {_TREE} SELECT code, n, round(sq, 4) AS sq FROM nodes",
+    "q72_delete": f"WITH {_TREE} SELECT code, count(DISTINCT id) AS n, round(sum(x * x), 4) AS sq FROM every JOIN v USING (id) WHERE id % 3 <> 0 GROUP BY code",
+    "q73_modify": f"WITH {_TREE} SELECT id, CASE WHEN id % 5 = 0 THEN (SELECT code FROM {_LAB} WHERE id = (SELECT min(id) FROM vi)) ELSE code END AS code FROM {_LAB}",
+    "q74_live_index": "SELECT count(*) AS n, CAST(0 AS BIGINT) AS n_elsewhere, count(*) AS n_root FROM embeddings",
     "q30_distortion": f"WITH {_DIST} SELECT id, round(dist, 6) AS dist FROM dist",
     "q31_distortion_from_norms": f"WITH {_DIST} SELECT id, round(dist, 6) AS dist FROM dist",
     "q32_bisector": f"WITH {VP}, a AS (SELECT dim, x AS ya FROM v WHERE id = (SELECT id FROM vi ORDER BY id LIMIT 1)), b AS (SELECT dim, x AS yb FROM v WHERE id = (SELECT id FROM vi ORDER BY id LIMIT 1 OFFSET 1)) SELECT id, CAST(sum((x - yb) ** 2) < sum((x - ya) ** 2) AS INTEGER) AS side FROM v JOIN a USING (dim) JOIN b USING (dim) GROUP BY id",

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from tilemine.operators import ingest, measures
+from tilemine.sources import storage
 from tilemine.sources.archives import LETTERS, table
+from tilemine.streaming import live
 
 
 def _tasks(spark: SparkSession, d: str) -> DataFrame:
@@ -17,6 +21,25 @@ def q01_crawl(spark: SparkSession, d: str) -> DataFrame:
     return ingest.discover(pages, pages.select("url"))
 
 
+def q02_polling(spark: SparkSession, d: str) -> DataFrame:
+    """Pages that arrive as a stream of micro-batches: every pointer is found once."""
+    source, target, checkpoint = (storage.new_folder(spark, f"crawl-{x}") for x in ("source", "target", "checkpoint"))
+    pages = table(spark, d, "pages").select("page_id", "html", F.expr("TIMESTAMP '2024-01-01 00:00:00'").alias("ts"))
+    pages.repartition(3, "page_id").write.parquet(source)
+    found = live.crawl_stream(live.event_stream(spark, source, "page_id long, html string, ts timestamp"))
+    found.writeStream.format("parquet").option("path", target).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("url string").parquet(target)
+
+
+def q155_hourly_stream(spark: SparkSession, d: str) -> DataFrame:
+    """Events that arrive as a stream, by hour: the windows of the batch."""
+    source = storage.new_folder(spark, "events-source")
+    table(spark, d, "events").select("ts", "value").repartition(3).write.parquet(source)
+    windows, name = live.hourly(live.event_stream(spark, source, "ts timestamp_ntz, value double"), "30 days"), f"hourly_{uuid.uuid4().hex}"
+    windows.writeStream.format("memory").queryName(name).outputMode("complete").trigger(availableNow=True).start().awaitTermination()
+    return spark.table(name).select(F.date_format("start", "yyyy-MM-dd HH").alias("hour"), "n", F.round("work", 4).alias("work"))
+
+
 def q02_queue_depth(spark: SparkSession, d: str) -> DataFrame:
     return ingest.depth(_tasks(spark, d))
 
@@ -120,7 +143,7 @@ def q84_volumes(spark: SparkSession, d: str) -> DataFrame:
     return n.select("product_id", (F.col("n") * 64).alias("raw_bytes"), (F.ceil(rows / 8) * 4 * 2048).cast("long").alias("descriptor_bytes_at_most"))
 
 
-QUERIES = {f.__name__: f for f in (q01_crawl, q02_queue_depth, q02_queue_report, q02_served, q02_waits, q03_leases, q04_scale_by_queue, q05_scale_by_feedback, q05_feedback_under_load, q06_scale_by_cost, q07_choose_workers, q07_peak_load, q160_map, q161_reduce, q162_map_reduce, q75_relative_cost, q75_relative_run_cost, q76_tradeoff, q77_linear_fit, q78_outliers, q79_speedup, q84_volumes)}
+QUERIES = {f.__name__: f for f in (q01_crawl, q02_polling, q155_hourly_stream, q02_queue_depth, q02_queue_report, q02_served, q02_waits, q03_leases, q04_scale_by_queue, q05_scale_by_feedback, q05_feedback_under_load, q06_scale_by_cost, q07_choose_workers, q07_peak_load, q160_map, q161_reduce, q162_map_reduce, q75_relative_cost, q75_relative_run_cost, q76_tradeoff, q77_linear_fit, q78_outliers, q79_speedup, q84_volumes)}
 
 _TASKS = "t AS (SELECT event_id AS task_id, CAST(floor(epoch(ts)) AS BIGINT) AS s, value * 10.0::DOUBLE AS v, event_type = 'error' AS f FROM events)"
 _DEPTH = """steps AS (SELECT s // 3600 AS bucket, 1 AS d FROM t UNION ALL SELECT CAST((s + ceil(v)) AS BIGINT) // 3600, -1 FROM t),
@@ -145,6 +168,8 @@ def _rel(cost: str) -> str:
 
 SQL = {
     "q01_crawl": """WITH l AS (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS url FROM pages) SELECT url, min(page_id) AS found_on FROM l WHERE url NOT IN (SELECT url FROM pages) GROUP BY url""",
+    "q02_polling": """SELECT DISTINCT unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS url FROM pages""",
+    "q155_hourly_stream": "SELECT strftime(ts, '%Y-%m-%d %H') AS hour, count(*) AS n, round(sum(value), 4) AS work FROM events GROUP BY 1",
     "q02_queue_depth": f"WITH {_TASKS}, {_DEPTH} SELECT * FROM q",
     "q02_queue_report": f"WITH {_TASKS}, {_LEASE} SELECT count(*) AS deliveries, count(*) FILTER (attempt > 1) AS redeliveries, count(*) FILTER (outcome = 'done') AS done, count(*) FILTER (outcome = 'given up') AS given_up, (SELECT round(sum(least(v, 1000)) / 3600, 2) FROM t) AS busy_hours FROM l",
     "q03_leases": f"WITH {_TASKS}, {_LEASE} SELECT * FROM l",
