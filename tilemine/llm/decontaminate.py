@@ -5,7 +5,7 @@ them and the longest match that ends at each word is tracked.  A match of ``wind
 or of a whole shorter item, marks its words.
 
 The items are dealt to blocks of about ``block_words`` words (an item is never cut).  Tasks build a block's automaton each and write
-it as flat numpy arrays, some 60 bytes a word, into the shared folder.  Nothing of it passes the driver, and documents
+it as flat numpy arrays, some 80 bytes a word, into the shared folder.  Nothing of it passes the driver, and documents
 are not shuffled: a task reads the blocks, holds the only one, or goes through many in turn, each read once
 for every ``slice_bytes`` of text, so memory is bounded by one block and one slice whatever the size of the benchmark.
 

@@ -2,14 +2,14 @@
 
 A chunk is a run of whitespace markers with the word after it.  If no piece of the model has
 a marker behind another character (checked when a model is loaded), no merge crosses a chunk's
-start, so a text's ids are its chunks' ids in turn.  Each task keeps a table of the distinct
-chunks it has met: a chunk is segmented once, by the library, and its ids are joined back to
+start, so a text's ids are its chunks' ids in turn.  Each Python worker keeps a table of the distinct
+chunks that its tasks have met: a chunk is segmented once, by the library, and its ids are joined back to
 every position that holds it.  The table is emptied when it holds ``table_chars`` characters,
 which costs time but no results, so memory is bounded.  A chunk of over ``long_chunk`` characters
 is segmented where it stands and never stored.
 
 ``encoded_by_join`` is the same with one table for the whole corpus and a Spark join by position; it shuffles more than the text itself (figures
-in the README), which is why ``digests`` and the query keep a table in each task.  A model whose pieces cross markers is refused, as is one that trims or rewrites text.
+in the README), which is why ``digests`` and the query keep a table in each worker.  A model whose pieces cross markers is refused, as is one that trims or rewrites text.
 
 Edge cases: null and empty texts have no ids and decode to the empty string; a very long text is held whole, its chunks one by one; repeated rows give
 repeated results; an empty table gives none; other columns are ignored.
@@ -17,6 +17,7 @@ repeated results; an empty table gives none; other columns are ignored.
 
 from __future__ import annotations
 
+import functools
 import hashlib
 import re
 from collections.abc import Iterator
@@ -35,6 +36,7 @@ _MARK = "▁"
 _CHUNK = re.compile(f"[ {_MARK}]+[^ {_MARK}]*|[^ {_MARK}]+")
 
 
+@functools.lru_cache(maxsize=4)
 def load(model: str = MODEL) -> sentencepiece.SentencePieceProcessor:
     """The model, if its ids are those of its chunks."""
     sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path(model))
@@ -80,6 +82,12 @@ class Chunks:
         return ids, shown
 
 
+@functools.lru_cache(maxsize=1)
+def worker_chunks(model: str) -> Chunks:
+    """One table for all tasks that a Python worker runs."""
+    return Chunks(load(model))
+
+
 def decode(sp: sentencepiece.SentencePieceProcessor, ids: list[int]) -> str:
     return sp.decode(ids) if ids else ""
 
@@ -90,8 +98,7 @@ def digests(docs: DataFrame, model: str = MODEL, with_ids: bool = False) -> Data
     schema = pa.schema(fields + [("ids", pa.list_(pa.int32()))] * with_ids)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sp = load(model)
-        chunks = Chunks(sp)
+        sp, chunks = load(model), worker_chunks(model)
 
         def rows(x: dict[str, list]) -> dict[str, list]:
             out: dict[str, list] = {"doc_id": x["doc_id"], "n_tokens": [], "ids_sha256": [], "decoded_sha256": [], "ids": []}
@@ -136,12 +143,12 @@ def distinct_chunks(docs: DataFrame) -> DataFrame:
 def encoded_by_join(docs: DataFrame, model: str = MODEL) -> DataFrame:
     """(doc_id, ids) by one table for all documents: every distinct chunk of the corpus is segmented once, and its ids are joined back to
     the places that hold it.  A row for each distinct chunk of a document is shuffled twice (see the README for what that costs), so ``digests``
-    keeps a table in each task instead."""
+    keeps a table in each worker instead."""
     found = park(distinct_chunks(docs), "chunks")
     schema = pa.schema([("chunk", pa.string()), ("ids", pa.list_(pa.int32()))])
 
     def segment(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        chunks = Chunks(load(model))
+        chunks = worker_chunks(model)
         yield from by_batch(lambda x: {"chunk": x["chunk"], "ids": [chunks._segment(c)[0] for c in x["chunk"]]}, schema)(batches)
 
     segments = park(found.where("chunk IS NOT NULL").select("chunk").distinct().mapInArrow(segment, "chunk string, ids array<int>"), "segments")

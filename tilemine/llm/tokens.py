@@ -17,6 +17,7 @@ held as a whole and encoded by chunks; a text without stable places is encoded w
 
 from __future__ import annotations
 
+import functools
 import json
 import os
 import re
@@ -30,7 +31,7 @@ from tilemine.llm.common import by_batch, id_and_bytes, table
 
 FILE = "word_bpe_49k.json"
 #: Characters of a chunk, and of what neighbouring chunks share.
-CHUNK, OVERLAP = 6000, 400
+CHUNK, OVERLAP = 16_000, 400
 #: White space between two characters that neither are white space nor combine with what stands before them.
 _STABLE = re.compile(r"(?<=[A-Za-z0-9.,;:!?])[ \n\t](?=[A-Za-z0-9])")
 #: What the normaliser would do more to than turn capitals into small letters: combining marks and all beyond them, a letter whose small form is two characters, special strings.
@@ -38,7 +39,9 @@ _NOT_PLAIN = re.compile("[\u0130\u0300-\U0010ffff]|<\\|")
 _COLLAPSE = {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}
 
 
+@functools.lru_cache(maxsize=4)
 def load(file: str = FILE):
+    """The tokenizer, read once by each Python worker."""
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
     from tokenizers import Tokenizer, normalizers
 
@@ -55,14 +58,16 @@ def load(file: str = FILE):
     return tokenizer
 
 
+@functools.lru_cache(maxsize=4)
 def load_plain(file: str = FILE):
     """The tokenizer without its normaliser, for small letters below the combining marks, which NFC leaves alone; None if its normaliser is another."""
-    from tokenizers import normalizers
+    from tokenizers import Tokenizer, normalizers
 
-    tokenizer, spec = load(file), json.load(open(public_tokenizers.path(file)))
+    spec = json.load(open(public_tokenizers.path(file)))
     kinds = [p["type"] for p in (spec["normalizer"] or {}).get("normalizers", [])]
     if sorted(kinds) != ["Lowercase", "NFC", "Replace"] or any("<|" not in t["content"] or t["normalized"] for t in spec["added_tokens"]):
         return None
+    tokenizer = Tokenizer.from_str(load(file).to_str())
     tokenizer.normalizer = normalizers.Sequence([])
     return tokenizer
 
