@@ -62,6 +62,25 @@ def test_edges_pass_all_stages(spark, tmp_path):
     assert sorted(P.decoded(C.run(spark, str(tmp_path))).select("text").toPandas()["text"]) == sorted([words[0], words[1], words[2], words[3], long])
 
 
+def test_hot_keys_meet_a_broadcast_table(spark):
+    rows = spark.createDataFrame([(k, i) for k, n in (("hot", 900), ("warm", 90), ("a", 6), ("b", 4)) for i in range(n)], "fp string, i int")
+    keyed = common.park(rows.groupBy("fp").count().withColumnRenamed("count", "n").where("fp <> 'b'"), "keyed")
+    joined = common.hot_join(rows, keyed, ["fp"], 1000, most=20)
+    assert joined.groupBy("fp").count().orderBy("fp").collect() == rows.where("fp <> 'b'").groupBy("fp").count().orderBy("fp").collect()
+    assert "BroadcastHashJoin" in joined._jdf.queryExecution().executedPlan().toString()
+    assert common.hot_join(rows.limit(0), keyed, ["fp"], 0).count() == 0
+
+
+def test_parked_tables_go_but_the_last(spark):
+    folder = common.shared_folder(spark).removeprefix("file://")
+    before = set(os.listdir(folder))
+    out = common.park_only(spark, lambda: common.park_only(spark, lambda: common.park(spark.range(3).toDF("a"), "x"), "y").join(common.park(spark.range(9).toDF("a"), "z"), "a"), "kept")
+    assert [n.rpartition("-")[0] for n in set(os.listdir(folder)) - before] == ["kept"] and out.count() == 3
+    with pytest.raises(ZeroDivisionError):
+        common.park_only(spark, lambda: (common.park(spark.range(3).toDF("a"), "lost"), 1 // 0)[0], "never")
+    assert not [n for n in os.listdir(folder) if n.startswith("lost")]
+
+
 def test_empty_table_passes_all_stages(spark, tmp_path):
     edge_tables(spark, tmp_path, [])
     assert C.run(spark, str(tmp_path)).count() == 0
