@@ -6,15 +6,13 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F, types as T
 
+from tilemine.sources.storage import table
+
 WIDTH = 32
 LETTERS = "abcdefghijklmnopqrstuvwxyzäöüßéèêçñáíóú"
 _LINE = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"]
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
 def scene_lineitem(spark: SparkSession, sf_dir: str, bistatic: bool = False, width: int = WIDTH) -> DataFrame:
     """A raster for each supplier, pixels in the order of all columns; one shuffle, by product."""
     order = Window.partitionBy("l_suppkey").orderBy(*_LINE)
