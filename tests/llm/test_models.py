@@ -41,7 +41,7 @@ def test_chunk_table_may_be_emptied():
     small = P.Chunks(sp, table_chars=300, long_chunk=8)
     for _ in range(60):
         text = "".join(r.choice("ab é▁\n ß") for _ in range(r.randrange(80)))
-        assert [i for c in small.encode(text)[0] for i in c] == sp.encode(text), repr(text)
+        assert [i for ids, _ in small.blocks(text, 7) for i in ids] == sp.encode(text), repr(text)
 
 
 def test_token_counts(docs, by_id):
@@ -138,6 +138,16 @@ def test_rules_on_lines_and_wording(docs):
     assert {r.doc_id: r.rule for r in Q.assess(docs(list(texts.items()))).collect()} == {1: None, 2: "bullets", 3: "ellipses", 4: "placeholder", 5: "insults", 6: None, 7: None, 8: "base" if Q.base_failed(Q.Text(texts[8].encode())) else None, 9: None}
 
 
+def test_words_of_long_texts_come_in_stretches():
+    from tilemine.llm.common import word_lists
+
+    r = random.Random(5)
+    for size in (1, 3, 10, 1000):
+        for _ in range(40):
+            body = "".join(r.choice(["a", "bc", " ", "\n", "\t ", "é", "\xa0"]) for _ in range(r.randrange(60))).encode()
+            assert [w for ws in word_lists(body, size) for w in ws] == body.split()
+
+
 def test_very_long_text_has_a_verdict(docs):
     text = " ".join(f"word{i}" for i in range(300_000))
     assert [(r.n_words, r.kept) for r in Q.assess(docs([(1, text)])).collect()] == [(300_000, True)]

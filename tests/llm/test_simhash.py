@@ -57,6 +57,14 @@ def test_fingerprints_and_components(docs, by_id):
     assert got == want
 
 
+def test_stretches_of_a_long_text_make_one_fingerprint(monkeypatch):
+    whole = [S.fingerprint((t or "").encode()) for t in near_texts()]
+    assert whole == [brute(t) for t in near_texts()]
+    plain = S.word_lists
+    monkeypatch.setattr(S, "word_lists", lambda body: plain(body, 7))
+    assert [S.fingerprint((t or "").encode()) for t in near_texts()] == whole
+
+
 def test_hot_groups_are_cut_without_losing_links(docs, by_id):
     rows = [(i, t) for i, t in enumerate(near_texts())]
     df = docs(rows)

@@ -8,6 +8,7 @@ also deletes the tables that were parked on the way.
 
 from __future__ import annotations
 
+import re
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -15,8 +16,7 @@ import pyarrow as pa
 from pyarrow import fs
 from pyspark.sql import Column, DataFrame, functions as F
 
-from tilemine.sources.archives import table  # noqa: F401
-from tilemine.sources.storage import delete, new_folder, park, park_only, shared_folder  # noqa: F401
+from tilemine.sources.storage import delete, new_folder, park, park_only, shared_folder, table  # noqa: F401
 
 #: Null document ids sort before all others and are one document.
 NULL_ID = -(2**63)
@@ -62,10 +62,27 @@ def by_batch(rows: Callable[[dict[str, list]], dict[str, list]], schema: pa.Sche
                 part = batch.slice(start, 512)
                 out = rows({n: part.column(i).to_pylist() for i, n in enumerate(part.schema.names)})
                 yield pa.RecordBatch.from_arrays([pa.array(out[f.name], f.type) for f in schema], schema=schema)
+        pa.default_memory_pool().release_unused()  # the worker lives on
 
     return run
 
 
+_GAP = re.compile(rb"[\x20\x09-\x0D]")
+
+
+def word_lists(body: bytes, size: int = 1 << 20) -> Iterator[list[bytes]]:
+    """The words of a text in order, those of about ``size`` bytes at a time: the words of a very long text would take some ten times its size."""
+    if len(body) <= size:
+        yield body.split()
+        return
+    at = 0
+    while at < len(body):
+        gap = _GAP.search(body, at + size) if at + size < len(body) else None
+        end = gap.start() if gap else len(body)
+        yield body[at:end].split()
+        at = end
+
+
 def id_and_bytes(docs: DataFrame, text: str = "text", doc: str = "doc_id") -> DataFrame:
     """(doc_id, body): the id and the text's UTF-8 bytes; a null text is empty."""
     return docs.select(F.col(doc).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("body"))

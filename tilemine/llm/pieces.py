@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import functools
 import hashlib
+import itertools
 import re
 from collections.abc import Iterator
 
@@ -50,7 +51,7 @@ def load(model: str = MODEL) -> sentencepiece.SentencePieceProcessor:
 class Chunks:
     """Distinct chunk -> (ids, ids as text)."""
 
-    def __init__(self, sp: sentencepiece.SentencePieceProcessor, table_chars: int = 16_000_000, long_chunk: int = 2000):
+    def __init__(self, sp: sentencepiece.SentencePieceProcessor, table_chars: int = 4_000_000, long_chunk: int = 2000):
         self.sp, self.limit, self.long_chunk = sp, table_chars, long_chunk
         self.known: dict[str, tuple[list[int], str]] = {}
         self.held = 0
@@ -61,25 +62,25 @@ class Chunks:
         ids = self.sp.encode(chunk[1:]) if len(chunk) > 1 else self.mark_alone
         return ids, ",".join(map(str, ids))
 
-    def encode(self, text: str) -> tuple[list[list[int]], list[str]]:
-        """Ids of each chunk, and the same as text."""
-        if not text:
-            return [], []
+    def blocks(self, text: str, most: int = 100_000) -> Iterator[tuple[list[int], list[str]]]:
+        """Ids of a text, and the ids of each chunk as text, for ``most`` chunks at a time."""
         known = self.known
-        ids, shown = [], []
-        for chunk in _CHUNK.findall(" " + text):
-            got = known.get(chunk)
-            if got is None:
-                got = self._segment(chunk)
-                if len(chunk) <= self.long_chunk:
-                    if self.held > self.limit:
-                        known.clear()
-                        self.held = 0
-                    known[chunk] = got
-                    self.held += len(chunk) + 40
-            ids.append(got[0])
-            shown.append(got[1])
-        return ids, shown
+        found = (m.group() for m in _CHUNK.finditer(" " + text)) if text else iter(())
+        while some := list(itertools.islice(found, most)):
+            ids, shown = [], []
+            for chunk in some:
+                got = known.get(chunk)
+                if got is None:
+                    got = self._segment(chunk)
+                    if len(chunk) <= self.long_chunk:
+                        if self.held > self.limit:
+                            known.clear()
+                            self.held = 0
+                        known[chunk] = got
+                        self.held += len(chunk) + 40
+                ids += got[0]
+                shown.append(got[1])
+            yield ids, shown
 
 
 @functools.lru_cache(maxsize=1)
@@ -103,10 +104,12 @@ def digests(docs: DataFrame, model: str = MODEL, with_ids: bool = False) -> Data
         def rows(x: dict[str, list]) -> dict[str, list]:
             out: dict[str, list] = {"doc_id": x["doc_id"], "n_tokens": [], "ids_sha256": [], "decoded_sha256": [], "ids": []}
             for body in x["body"]:
-                ids, shown = chunks.encode(body.decode())
-                flat = [i for c in ids for i in c]
+                flat, sha = [], hashlib.sha256()
+                for ids, shown in chunks.blocks(body.decode()):
+                    sha.update((("," if flat else "") + ",".join(shown)).encode())
+                    flat += ids
                 out["n_tokens"].append(len(flat))
-                out["ids_sha256"].append(hashlib.sha256(",".join(shown).encode()).hexdigest())
+                out["ids_sha256"].append(sha.hexdigest())
                 out["decoded_sha256"].append(hashlib.sha256(decode(sp, flat).encode()).hexdigest())
                 if with_ids:
                     out["ids"].append(np.array(flat, np.int32))

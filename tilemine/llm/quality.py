@@ -14,7 +14,7 @@ The rule on insults (English words alone) is the only one on wording: a text wit
 two hundred goes.
 
 Edge cases: a null or wordless text has no words and fails the base rule; a very long text is judged whole, in memory of some
-100 bytes a word; equal texts have equal verdicts, and a share equal to its limit passes (but for the insults' share, which is reached at one in two hundred);
+50 bytes a word; equal texts have equal verdicts, and a share equal to its limit passes (but for the insults' share, which is reached at one in two hundred);
 repeated rows give repeated results; an empty table gives none; other columns are ignored by ``assess`` and kept by ``keep_good``, whatever their names.
 """
 
@@ -29,7 +29,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from tilemine.llm.common import by_batch, id_and_bytes, table
+from tilemine.llm.common import by_batch, id_and_bytes, table, word_lists
 
 _SYMBOLS = b"#*$%&|<>"
 _SPACE = bytes([32, 9, 10, 11, 12, 13])
@@ -50,14 +50,9 @@ INSULTS = frozenset(
 )
 
 
-def repeated_words(ws: list[bytes], window: int = 5) -> int:
-    """Words covered by windows that occur twice or more in ``ws``."""
-    n = len(ws) - window + 1
-    if n < 2:
-        return 0
-    ids: dict[bytes, int] = {}
-    code = np.fromiter((ids.setdefault(w, len(ids)) for w in ws), np.int64, len(ws))
-    if len(ids) == len(ws):
+def repeated_words(code: np.ndarray, distinct: int, window: int = 5) -> int:
+    """Words covered by windows that occur twice or more in a text, given as the numbers of its words."""
+    if len(code) - window + 1 < 2 or distinct == len(code):
         return 0
     # exact names of longer and longer windows: a pair of names is renumbered before it can overflow
     name, size = code, 1
@@ -67,10 +62,10 @@ def repeated_words(ws: list[bytes], window: int = 5) -> int:
         name = np.unique(name[:-step] * (int(name.max()) + 1) + name[step:], return_inverse=True)[1]
         size += step
     while size < window:
-        name = np.unique(name[:-1] * len(ids) + code[size : size + len(name) - 1], return_inverse=True)[1]
+        name = np.unique(name[:-1] * distinct + code[size : size + len(name) - 1], return_inverse=True)[1]
         size += 1
     twice = np.bincount(name)[name] > 1
-    edge = np.zeros(len(ws) + 1, np.int64)
+    edge = np.zeros(len(code) + 1, np.int64)
     np.add.at(edge, np.flatnonzero(twice), 1)
     np.add.at(edge, np.flatnonzero(twice) + window, -1)
     return int((np.cumsum(edge[:-1]) > 0).sum())
@@ -83,8 +78,11 @@ class Text:
         self.body = body
 
     @cached_property
-    def words(self) -> list[bytes]:
-        return self.body.split()
+    def coded(self) -> tuple[np.ndarray, dict[bytes, int]]:
+        """The text's words as numbers, and the number of each distinct word."""
+        ids: dict[bytes, int] = {}
+        parts = [np.fromiter([ids.setdefault(w, len(ids)) for w in ws], np.int64, len(ws)) for ws in word_lists(self.body)]
+        return (parts[0] if len(parts) == 1 else np.concatenate(parts) if parts else np.zeros(0, np.int64)), ids
 
     @cached_property
     def lines(self) -> list[bytes]:
@@ -92,7 +90,7 @@ class Text:
 
     @cached_property
     def n_words(self) -> int:
-        return len(self.words)
+        return len(self.coded[0])
 
     @cached_property
     def word_chars(self) -> int:
@@ -108,14 +106,20 @@ class Text:
 
     @cached_property
     def n_repeat_words(self) -> int:
-        return repeated_words(self.words)
+        return repeated_words(self.coded[0], len(self.coded[1]))
+
+    @cached_property
+    def n_letter_words(self) -> int:
+        code, ids = self.coded
+        letters = np.fromiter((_HAS_LETTER.search(w) is not None for w in ids), bool, len(ids))
+        return int(np.bincount(code, minlength=len(ids))[letters].sum())
 
 
 FIGURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
 
 def _insulting(x: Text) -> bool:
-    n = sum(map(INSULTS.__contains__, x.body.translate(_FOLD).split()))
+    n = sum(sum(map(INSULTS.__contains__, ws)) for ws in word_lists(x.body.translate(_FOLD)))
     return n >= 2 and 200 * n >= x.n_words
 
 
@@ -128,7 +132,7 @@ RULES: dict[str, Callable[[Text], bool]] = {
     "words_too_short_or_long": lambda x: not 2 * x.n_words <= x.word_chars <= 14 * x.n_words,
     "symbols": lambda x: 10 * x.n_symbols > 3 * x.n_words,
     "repeated_lines": lambda x: 2 * x.n_dup_lines > x.body.count(b"\n") + 1,
-    "few_letter_words": lambda x: 2 * sum(1 for w in x.words if _HAS_LETTER.search(w)) < x.n_words,
+    "few_letter_words": lambda x: 2 * x.n_letter_words < x.n_words,
     "shouting": lambda x: 10 * x.body.count(b"!!") > 3 * x.n_words,
     "bullets": lambda x: 10 * sum(1 for line in x.lines if _BULLET.match(line)) > 9 * len(x.lines),
     "ellipses": lambda x: 10 * sum(1 for line in x.lines if _ELLIPSIS.search(line)) > 3 * len(x.lines),

@@ -20,7 +20,7 @@ Ranges of the Gray order alone, without step 2, would have to take copies of a f
 
 Edge cases: a null or wordless text has fingerprint zero, which links like any other; repeated rows
 give repeated result rows; rows that repeat an id share its smallest component; null ids sort first; a very long text is hashed in
-stretches of 65,536 shingles; equal distances need no order, as every link counts; an empty table gives an empty result; other
+stretches of a million bytes; equal distances need no order, as every link counts; an empty table gives an empty result; other
 columns are ignored.
 """
 
@@ -35,27 +35,29 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from tilemine.llm.common import NULL_ID, back_to_id, by_batch, id_and_bytes, park, remove, table
+from tilemine.llm.common import NULL_ID, back_to_id, by_batch, id_and_bytes, park, remove, table, word_lists
 
 _WEIGHT = np.uint64(1) << np.arange(64, dtype=np.uint64)
 
 
 def fingerprint(body: bytes, shingle: int = 3, seed: int = 42) -> int:
     """The 64-bit SimHash of the lower-cased words' shingles, repeats included."""
-    ws = body.lower().split()
-    n = len(ws)
-    if not n:
-        return 0
-    joined, digest = b" ".join(ws), xxhash.xxh64_intdigest
-    if n <= shingle:
-        return digest(joined, seed)
-    stop = np.cumsum(np.fromiter(map(len, ws), np.int64, n) + 1) - 1
-    start = np.concatenate(([0], stop[:-1] + 1))
-    counts, total = np.zeros(64, np.int64), n - shingle + 1
-    for at in range(0, total, 65536):
-        a, b = start[at : min(at + 65536, total)].tolist(), stop[at + shingle - 1 : min(at + 65536, total) + shingle - 1].tolist()
-        h = np.array([digest(joined[i:j], seed) for i, j in zip(a, b)], np.uint64)
-        counts += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    digest, counts, total, held = xxhash.xxh64_intdigest, np.zeros(64, np.int64), 0, []
+    for some in word_lists(body.lower()):
+        ws = held + some
+        n = len(ws) - shingle + 1
+        if n > 0:
+            joined = b" ".join(ws)
+            stop = np.cumsum(np.fromiter(map(len, ws), np.int64, len(ws)) + 1) - 1
+            start = np.concatenate(([0], stop[:-1] + 1))
+            for at in range(0, n, 65536):
+                a, b = start[at : min(at + 65536, n)].tolist(), stop[at + shingle - 1 : min(at + 65536, n) + shingle - 1].tolist()
+                h = np.array([digest(joined[i:j], seed) for i, j in zip(a, b)], np.uint64)
+                counts += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+            total += n
+        held = ws[max(0, len(ws) - shingle + 1) :]  # the next stretch's first shingles begin here
+    if not total:
+        return digest(b" ".join(held), seed) if held else 0
     return int(_WEIGHT[2 * counts > total].sum(dtype=np.uint64))
 
 
