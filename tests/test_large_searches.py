@@ -39,3 +39,15 @@ def test_nearest_keeps_the_same_rows_in_small_steps():
     got = sorted(zip(*(c.tolist() for c in near.found()[:3])))
     want = sorted((q, int(i), float(d)) for q in range(11) for d, i in sorted(zip(((x - y[q]) ** 2).sum(1), ids))[:6])
     assert got == want
+
+
+def test_sampled_tree_grows_in_a_task(spark, monkeypatch):
+    def refused(self):
+        raise AssertionError("the sample reached the driver")
+
+    monkeypatch.setattr(DataFrame, "toPandas", refused)
+    df = rows_of(spark)
+    index = search.sampled_index(df, 2, stop=Stop(n_min=8))
+    assert index.nodes[""].n == 600 and index.labelled.count() == 600
+    q = df.where("id % 20 = 0").select(F.col("id").alias("query_id"), "v")
+    assert sorted((r.query_id, r["rank"], r.id, r.dist) for r in search.batch(index, q, 9, 2, exact=True).collect()) == brute(df, 9, 20)
