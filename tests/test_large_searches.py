@@ -1,8 +1,12 @@
 """Searches at size: no row for each pair, no sample on the driver; brute force on ties and odd shapes."""
 
+import duckdb
 import numpy as np
+import pytest
 from pyspark.sql import DataFrame, functions as F
 
+import __spark_entry__ as E
+
 from tilemine.operators import search, tsvq
 from tilemine.operators.tsvq import Stop
 
@@ -51,3 +55,19 @@ def test_sampled_tree_grows_in_a_task(spark, monkeypatch):
     assert index.nodes[""].n == 600 and index.labelled.count() == 600
     q = df.where("id % 20 = 0").select(F.col("id").alias("query_id"), "v")
     assert sorted((r.query_id, r["rank"], r.id, r.dist) for r in search.batch(index, q, 9, 2, exact=True).collect()) == brute(df, 9, 20)
+
+
+def test_two_dearest_orders_of_repeated_customers(spark, sf, tmp_path):
+    con = duckdb.connect()
+    con.execute(f"CREATE TABLE customer AS SELECT t.* FROM '{sf}/customer.parquet' t, range(3)")
+    con.execute(f"CREATE TABLE orders AS SELECT * REPLACE (CASE WHEN o_orderkey % 7 = 0 THEN NULL ELSE o_totalprice END AS o_totalprice, CASE WHEN o_orderkey % 11 = 0 THEN NULL ELSE o_orderkey END AS o_orderkey) FROM '{sf}/orders.parquet'")
+    for name in ("customer", "orders"):
+        con.execute(f"COPY {name} TO '{tmp_path}/{name}.parquet'")
+    got = [(r.c_custkey, r.o_orderkey) for r in E.queries()["q119_lateral"](spark, str(tmp_path)).collect()]
+    assert sorted(got, key=repr) == sorted(con.execute(E.oracle_sql()["q119_lateral"]).fetchall(), key=repr) != []
+
+
+@pytest.mark.parametrize("name", ["q47_codebook", "q83_tree_shape"])
+def test_codebook_and_shape_read_the_table_when_the_index_is_held(spark, sf, name):
+    E.queries()["q45_nodes"](spark, sf).collect()
+    assert any("lineitem" in f for f in E.queries()[name](spark, sf).inputFiles())
