@@ -71,3 +71,8 @@ def test_two_dearest_orders_of_repeated_customers(spark, sf, tmp_path):
 def test_codebook_and_shape_read_the_table_when_the_index_is_held(spark, sf, name):
     E.queries()["q45_nodes"](spark, sf).collect()
     assert any("lineitem" in f for f in E.queries()[name](spark, sf).inputFiles())
+
+
+@pytest.mark.parametrize("name", ["q54_batch", "q54_all_leaves"])
+def test_batches_of_parts_join_no_pairs(spark, sf, name):
+    assert "Join" not in E.queries()[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
