@@ -76,3 +76,16 @@ def test_codebook_and_shape_read_the_table_when_the_index_is_held(spark, sf, nam
 @pytest.mark.parametrize("name", ["q54_batch", "q54_all_leaves"])
 def test_batches_of_parts_join_no_pairs(spark, sf, name):
     assert "Join" not in E.queries()[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_few_pairs_are_ranked_once_limits_are_known(monkeypatch):
+    r = np.random.default_rng(11)
+    x, y = r.integers(0, 9, (6000, 8)).astype(float), r.integers(0, 9, (40, 8)).astype(float)
+    partition, ranked = np.partition, []
+    monkeypatch.setattr(np, "partition", lambda d, *a, **k: ranked.append(np.size(d)) or partition(d, *a, **k))
+    near = search.Nearest(y, 5)
+    for part in np.array_split(np.argsort(x[:, 0], kind="stable"), 3):  # as leaves: a stretch of one is far from some queries
+        near.add(x[part], part, np.arange(40))
+    assert sum(ranked) < len(x) * len(y) / 3
+    got = sorted(zip(*(c.tolist() for c in near.found()[:3])))
+    assert got == sorted((q, int(i), float(d)) for q in range(40) for d, i in sorted(zip(((x - y[q]) ** 2).sum(1), range(6000)))[:5])
