@@ -89,3 +89,26 @@ def test_few_pairs_are_ranked_once_limits_are_known(monkeypatch):
     assert sum(ranked) < len(x) * len(y) / 3
     got = sorted(zip(*(c.tolist() for c in near.found()[:3])))
     assert got == sorted((q, int(i), float(d)) for q in range(40) for d, i in sorted(zip(((x - y[q]) ** 2).sum(1), range(6000)))[:5])
+
+
+def cached_parts(df):
+    held = df.select("*").persist()
+    held.count()
+    n = held.rdd.getNumPartitions()
+    held.unpersist()
+    return n
+
+
+def test_parts_grow_in_as_many_tasks_as_their_size_asks_for(spark, sf, monkeypatch):
+    from tilemine.plans import queries_index
+
+    seen, grow = [], tsvq.grow
+    monkeypatch.setattr(tsvq, "grow", lambda df, **how: seen.append(cached_parts(df)) or grow(df.coalesce(1), **how))
+    monkeypatch.setattr(queries_index, "_held", {})
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "40")
+    try:
+        queries_index._index(spark, sf)
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert seen[0] <= 8
