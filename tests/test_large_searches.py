@@ -112,3 +112,21 @@ def test_parts_grow_in_as_many_tasks_as_their_size_asks_for(spark, sf, monkeypat
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
     assert seen[0] <= 8
+
+
+def test_draws_by_squared_distance_end_near_the_best_for_every_seed(spark):
+    from tilemine.sources import archives
+
+    rows = archives.text_docs(spark, "/root/testdata/sf0.01").select("id", "v").toArrow().sort_by("id")
+    ids, x = rows["id"].to_numpy(), np.array(rows["v"].to_pylist(), float)
+    cost = [sum(n.wcss for n in tsvq.grow_local(ids, x, "", Stop(h_max=2), init, 1e-6, 30, seed)[0] if n.split is None) for init in ("dsquare", "parallel") for seed in range(4)]
+    assert max(cost) <= 1.5 * min(cost)
+
+
+@pytest.mark.parametrize("init", ["dsquare", "parallel"])
+def test_seeds_of_passes_are_those_of_one_task(spark, init):
+    df = rows_of(spark)
+    level, local = (tsvq.grow(df, Stop(h_max=2), init=init, schedule=s) for s in ("level", "hybrid"))
+    assert sorted(map(tuple, level.labelled.select("id", "code").collect())) == sorted(map(tuple, local.labelled.select("id", "code").collect()))
+    equal = spark.createDataFrame([(i, [1, 2]) for i in range(9)] + [(9, [3, 2])], "id long, v array<int>")
+    assert [len(tsvq.grow(equal, Stop(h_max=2), init=init, schedule=s).leaves) for s in ("level", "hybrid")] == [2, 2]
